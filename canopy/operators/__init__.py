@@ -1,0 +1 @@
+"""canopy.operators"""
