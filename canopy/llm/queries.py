@@ -1,10 +1,12 @@
 """Queries of this subpackage, by contract name."""
 
-from canopy.llm import exact_dedup, secret_scan, url_filter
+from canopy.llm import exact_dedup, mixing, secret_scan, substring_dedup, url_filter
 
 QUERIES = {
+    "op1_substring_dedup": substring_dedup.query,
     "op3_exact_dedup": exact_dedup.query,
     "op5_secret_scan": secret_scan.query,
     "op7_url_filter": url_filter.query,
+    "op8_source_mixing": mixing.query,
 }
 ORACLES = {"op3_exact_dedup": exact_dedup.ORACLE}
