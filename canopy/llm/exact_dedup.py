@@ -82,6 +82,7 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         .agg(F.sort_array(F.collect_list(F.struct("pos", "v"))).alias("vs"))
         .select("text_sha256", F.concat_ws(",", F.transform("vs", lambda x: F.hex(x["v"]))).alias("proof"))
     )
+    doubtful = write(doubtful, "doubtful").df
     ids = F.transform("chunks", lambda c: c["h"]).alias("ids")
     keyed = r.select("id", "text_sha256", ids).join(doubtful, "text_sha256", "left")
     keyed = keyed.withColumn("proof", F.coalesce("proof", F.lit("")))

@@ -138,7 +138,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner:
         F.count_if(F.col("live") & (F.col("s.k") < KINDS["live"])).alias("n_live"),
         F.count_if(~F.col("live") & (F.col("s.k") < KINDS["live"])).alias("n_copied"),
     )
-    out = found.withColumn("key", F.when(F.size("base") + F.size("wide") > 0, key)).join(per, "key", "left")
+    out = found.withColumn("key", key).join(per, "key", "left")
     return out.select(
         "id",
         "base",
