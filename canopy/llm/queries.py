@@ -1,6 +1,6 @@
 """Queries of this subpackage, by contract name."""
 
-from canopy.llm import exact_dedup, mixing, secret_scan, substring_dedup, url_filter
+from canopy.llm import embedding_dedup, exact_dedup, mixing, packing, secret_scan, substring_dedup, url_filter
 
 QUERIES = {
     "op1_substring_dedup": substring_dedup.query,
@@ -8,5 +8,7 @@ QUERIES = {
     "op5_secret_scan": secret_scan.query,
     "op7_url_filter": url_filter.query,
     "op8_source_mixing": mixing.query,
+    "op9_genetic_packing": packing.query,
+    "op10_embedding_dedup": embedding_dedup.query,
 }
 ORACLES = {"op3_exact_dedup": exact_dedup.ORACLE}
