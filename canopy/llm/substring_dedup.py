@@ -256,7 +256,8 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     asks = asks.groupBy(F.col("src").alias("doc_id"), F.col("at.th").alias("th")).agg(
         F.collect_list(F.struct(F.col("at.pos").alias("pos"), "n", "c1", "c2", "src")).alias("asks")
     )
-    asked = d.join(write(asks, "asks").df, ["doc_id", "th"]).select("text", "asks")
+    # what is asked grows with the corpus: a merge join at every size, so that cost stays in proportion
+    asked = d.join(write(asks, "asks").df.hint("merge"), ["doc_id", "th"]).select("text", "asks")
     win = write(asked.mapInArrow(_open, _OPEN).distinct(), "windows").df
     low = write(win.groupBy("w1", "w2").agg(F.min("src").alias("low"), F.max("src").alias("high")).filter("low < high"), "low").df
     opened = win.join(low, ["w1", "w2"]).filter("low < src").groupBy(*node)
@@ -333,7 +334,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """``(doc_id, n_words, n_removed, kept_sha256, kept)``, one row per input row; ``kept`` is null without ``with_text``."""
     spans = write(repeated_spans(docs, id_col, text_col), "spans").df
     d = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.xxhash64(text_col).alias("th"))
-    return d.join(spans, ["doc_id", "th"], "left").select("doc_id", "text", "spans").mapInArrow(_keep(with_text), _KEPT)
+    return d.join(spans.hint("merge"), ["doc_id", "th"], "left").select("doc_id", "text", "spans").mapInArrow(_keep(with_text), _KEPT)
 
 
 def query(spark, sf_dir: str) -> DataFrame:
