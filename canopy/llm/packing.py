@@ -22,6 +22,7 @@ import bisect
 import random
 import zlib
 from collections.abc import Iterator
+from itertools import filterfalse
 
 import numpy as np
 import pyarrow as pa
@@ -38,7 +39,10 @@ POPULATION, GENERATIONS = 6, 12
 WELL_FILLED = 0.98
 MERGE = 32
 VOCABULARY = "word_bpe_49k.json"
-CACHE_WORDS = 400_000
+#: Words whose ids a worker remembers (about 200 bytes each).
+CACHE_WORDS = 1_300_000
+#: Plain words that are encoded as one text.
+JOINED = 64
 #: Bytes of text that are tokenised together.
 GROUP_BYTES = 1 << 20
 
@@ -54,35 +58,53 @@ def _tokenizer(vocabulary: str):
         from tokenizers import Tokenizer
 
         path = vocabulary if os.path.isabs(vocabulary) else public_tokenizers.path(vocabulary)
-        _LOADED[vocabulary] = (Tokenizer.from_file(path), {})
+        tok = Tokenizer.from_file(path)
+        ends = np.zeros(max(tok.get_vocab().values()) + 1, dtype=bool)
+        ends[[i for t, i in tok.get_vocab().items() if t.endswith("</w>")]] = True
+        _LOADED[vocabulary] = (tok, ends, {})
     return _LOADED[vocabulary]
 
 
+def _encode_words(words: list[bytes], tok, ends: np.ndarray) -> Iterator[tuple[bytes, bytes]]:
+    """(word, its ids).  Words of ASCII letters are one token sequence with one word end, so many share a call."""
+    encode = getattr(tok, "encode_batch_fast", tok.encode_batch)
+    plain = [w for w in words if w.isalpha()]
+    for lo in range(0, len(plain), JOINED * 256):
+        part = plain[lo : lo + JOINED * 256]
+        texts = [b" ".join(part[k : k + JOINED]).decode() for k in range(0, len(part), JOINED)]
+        ids = np.concatenate([np.array(e.ids, dtype="<u4") for e in encode(texts, add_special_tokens=False)])
+        cuts = ((np.flatnonzero(ends[ids]) + 1) * 4).tolist()
+        raw = ids.tobytes()
+        assert len(cuts) == len(part), "a plain word must have one word end"
+        yield from zip(part, map(raw.__getitem__, map(slice, [0, *cuts[:-1]], cuts)))
+    other = [w for w in words if not w.isalpha()]
+    for lo in range(0, len(other), 8192):
+        part = other[lo : lo + 8192]
+        for w, e in zip(part, encode([w.decode() for w in part], add_special_tokens=False)):
+            yield w, np.array(e.ids, dtype="<u4").tobytes()
+
+
 def token_bytes(texts: list[bytes], vocabulary: str = VOCABULARY) -> list[bytes]:
     """Little-endian 32-bit ids of each text, the end id included.
 
     The vocabulary's splitter never lets a token cross ASCII white space, so words are
     encoded once and looked up; a test compares this with encoding whole texts.
     """
-    tok, cache = _tokenizer(vocabulary)
-    encode = getattr(tok, "encode_batch_fast", tok.encode_batch)
+    tok, ends, cache = _tokenizer(vocabulary)
     end = np.array([END_ID], dtype="<u4").tobytes()
     out: list[bytes] = []
     at = 0
     while at < len(texts):
-        stop, size = at, 0
+        stop, size, words = at, 0, []
         while stop < len(texts) and (stop == at or size + len(texts[stop]) <= GROUP_BYTES):
             size += len(texts[stop])
+            words.append(texts[stop].split())
             stop += 1
-        words = [t.split() for t in texts[at:stop]]
-        new = list(set().union(*words).difference(cache))
+        new = {w for t in words for w in filterfalse(cache.__contains__, t)}
         if len(cache) + len(new) > CACHE_WORDS:
             cache.clear()
-            new = list(set().union(*words))
-        for i in range(0, len(new), 8192):
-            part = new[i : i + 8192]
-            for w, e in zip(part, encode([w.decode() for w in part], add_special_tokens=False)):
-                cache[w] = np.array(e.ids, dtype="<u4").tobytes()
+            new = {w for t in words for w in t}
+        cache.update(_encode_words(list(new), tok, ends))
         look = cache.__getitem__
         out += [b"".join(map(look, w)) + end for w in words]
         at = stop
@@ -97,9 +119,9 @@ def _cut(vocabulary: str, capacity: int):
         for b in batches:
             ids = b.column(0).to_pylist()
             texts = b.column(1).cast(pa.binary()).to_pylist()
-            for lo in range(0, len(ids), 512):
+            for lo in range(0, len(ids), 1024):
                 out: list[list] = [[], [], [], [], []]
-                for i, raw in zip(ids[lo : lo + 512], token_bytes([t or b"" for t in texts[lo : lo + 512]], vocabulary)):
+                for i, raw in zip(ids[lo : lo + 1024], token_bytes([t or b"" for t in texts[lo : lo + 1024]], vocabulary)):
                     n = len(raw) // 4
                     for k, s in enumerate(range(0, n, capacity)):
                         e = min(n, s + capacity)
