@@ -40,9 +40,11 @@ WELL_FILLED = 0.98
 MERGE = 32
 VOCABULARY = "word_bpe_49k.json"
 #: Words whose ids a worker remembers (about 200 bytes each).
-CACHE_WORDS = 1_300_000
+CACHE_WORDS = 1_500_000
 #: Plain words that are encoded as one text.
 JOINED = 64
+#: Signs that may follow a word of letters (no apostrophe: contractions are splits of their own).
+SIGNS = b'.,;:!?$%&#*|)"'
 #: Bytes of text that are tokenised together.
 GROUP_BYTES = 1 << 20
 
@@ -65,23 +67,54 @@ def _tokenizer(vocabulary: str):
     return _LOADED[vocabulary]
 
 
-def _encode_words(words: list[bytes], tok, ends: np.ndarray) -> Iterator[tuple[bytes, bytes]]:
-    """(word, its ids).  Words of ASCII letters are one token sequence with one word end, so many share a call."""
+def _letters(word: bytes) -> bool:
+    """Letters only, also in lower case: the splitter then keeps the word whole."""
+    if word.isalpha():
+        return True
+    text = word.decode()
+    return text.isalpha() and text.lower().isalpha()
+
+
+def _encode_words(words: set[bytes], tok, ends: np.ndarray, cache: dict[bytes, bytes]) -> None:
+    """Put the ids of ``words`` into ``cache``.
+
+    Signs after a word of letters are a split of their own, so such words are put together
+    from two.  Words of letters have one word end, so many share a call; a group whose ends
+    don't add up is encoded word by word.
+    """
     encode = getattr(tok, "encode_batch_fast", tok.encode_batch)
-    plain = [w for w in words if w.isalpha()]
-    for lo in range(0, len(plain), JOINED * 256):
-        part = plain[lo : lo + JOINED * 256]
-        texts = [b" ".join(part[k : k + JOINED]).decode() for k in range(0, len(part), JOINED)]
-        ids = np.concatenate([np.array(e.ids, dtype="<u4") for e in encode(texts, add_special_tokens=False)])
-        cuts = ((np.flatnonzero(ends[ids]) + 1) * 4).tolist()
-        raw = ids.tobytes()
-        assert len(cuts) == len(part), "a plain word must have one word end"
-        yield from zip(part, map(raw.__getitem__, map(slice, [0, *cuts[:-1]], cuts)))
-    other = [w for w in words if not w.isalpha()]
-    for lo in range(0, len(other), 8192):
-        part = other[lo : lo + 8192]
+    signed, plain, other = [], set(), set()
+    for w in words:
+        core = w.rstrip(SIGNS)
+        if len(core) == len(w):
+            (plain if _letters(w) else other).add(w)
+        elif core and _letters(core):
+            tail = w[len(core) :]
+            signed.append((w, core, tail))
+            if core not in cache:
+                plain.add(core)
+            if tail not in cache:
+                other.add(tail)
+        else:
+            other.add(w)
+    letters = list(plain)
+    for lo in range(0, len(letters), JOINED * 256):
+        part = letters[lo : lo + JOINED * 256]
+        groups = [part[k : k + JOINED] for k in range(0, len(part), JOINED)]
+        for group, e in zip(groups, encode([b" ".join(g).decode() for g in groups], add_special_tokens=False)):
+            ids = np.array(e.ids, dtype="<u4")
+            cuts = ((np.flatnonzero(ends[ids]) + 1) * 4).tolist()
+            if len(cuts) != len(group):
+                other.update(group)
+                continue
+            cache.update(zip(group, map(ids.tobytes().__getitem__, map(slice, [0, *cuts[:-1]], cuts))))
+    rest = list(other)
+    for lo in range(0, len(rest), 8192):
+        part = rest[lo : lo + 8192]
         for w, e in zip(part, encode([w.decode() for w in part], add_special_tokens=False)):
-            yield w, np.array(e.ids, dtype="<u4").tobytes()
+            cache[w] = np.array(e.ids, dtype="<u4").tobytes()
+    for w, core, tail in signed:
+        cache[w] = cache[core] + cache[tail]
 
 
 def token_bytes(texts: list[bytes], vocabulary: str = VOCABULARY) -> list[bytes]:
@@ -104,7 +137,7 @@ def token_bytes(texts: list[bytes], vocabulary: str = VOCABULARY) -> list[bytes]
         if len(cache) + len(new) > CACHE_WORDS:
             cache.clear()
             new = {w for t in words for w in t}
-        cache.update(_encode_words(list(new), tok, ends))
+        _encode_words(new, tok, ends, cache)
         look = cache.__getitem__
         out += [b"".join(map(look, w)) + end for w in words]
         at = stop
