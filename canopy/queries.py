@@ -1,19 +1,6 @@
 """Queries of the forest engine and their SQL twins."""
 
-from canopy.components.fallback import star_components
-from canopy.store import table
+from canopy.operators.relational import OPS
 
-
-def flagship(spark, sf_dir):
-    """Components of the customer-order graph by star contraction."""
-    return star_components(table(spark, sf_dir, "orders").selectExpr("o_custkey * 8 + 2 a", "o_orderkey * 8 + 4 b"))
-
-
-QUERIES: dict = {"cc_orders": flagship}
-ORACLES: dict = {
-    "cc_orders": """
-with e as (select o_custkey * 8 + 2 as c, o_orderkey * 8 + 4 as o from orders),
-k as (select c, least(c, min(o)) as m from e group by c)
-select o as id, m as component from e join k using (c) union all select c, m from k
-"""
-}
+QUERIES: dict = {k: f for k, (f, _) in OPS.items()}
+ORACLES: dict = {k: sql for k, (_, sql) in OPS.items() if sql}

@@ -49,7 +49,7 @@ def event_sessions(spark, d, hours: int) -> Forest:
     """W3: W2 without the links whose gap exceeds ``hours``."""
     e = table(spark, d, "events").select("event_id", "user_id", "ts")
     w = W.partitionBy("user_id").orderBy("ts", "event_id")
-    e = e.withColumn("gap", F.unix_micros(F.lead("ts").over(w)) - F.unix_micros("ts"))
+    e = e.withColumn("nxt", F.lead("ts").over(w)).withColumn("gap", F.expr("timestampdiff(MICROSECOND, ts, nxt)"))
     return from_sequence(e, [F.col("user_id")], [F.col("ts"), F.col("event_id")], F.expr("event_id * 8 + 7"), F.coalesce(F.col("gap") > hours * 3_600_000_000, F.lit(True)))
 
 
