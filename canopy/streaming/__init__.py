@@ -1 +1,70 @@
-"""canopy.streaming"""
+"""Streams: windows and sessions of events, links between consecutive events, components kept up to date.
+
+The round loops are batch; a stream only feeds edges.  ``available`` runs a stream over what is there.
+"""
+
+from __future__ import annotations
+
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from canopy.components.fallback import star_components
+from canopy.store import shared_dir, write
+
+def events_stream(spark: SparkSession, path: str) -> DataFrame:
+    """The events as a file stream with event time ``at``."""
+    # a glob, since a stream's plain path must be a folder
+    raw = spark.readStream.schema(spark.read.parquet(path).schema).parquet(f"{path[:-1]}[{path[-1]}]")
+    return raw.withColumn("at", F.col("ts").cast("timestamp"))
+
+
+def available(stream: DataFrame, mode: str = "append") -> DataFrame:
+    """Run over all available input; the result as a table in memory."""
+    name = f"canopy_{uuid.uuid4().hex[:10]}"
+    q = (
+        stream.writeStream.format("memory").queryName(name).outputMode(mode)
+        .option("checkpointLocation", f"{shared_dir(stream.sparkSession)}/canopy-stream-{uuid.uuid4().hex[:8]}").trigger(availableNow=True).start()
+    )
+    q.awaitTermination()
+    return stream.sparkSession.table(name)
+
+
+def tumbling(events: DataFrame, size: str = "1 day") -> DataFrame:
+    w = events.withWatermark("at", "2 hours").groupBy(F.window("at", size), "event_type").agg(F.count(F.lit(1)).alias("n"))
+    return w.select(F.expr("unix_micros(window.start)").alias("start"), "event_type", "n")
+
+
+def sessions(events: DataFrame, gap: str = "6 hours") -> DataFrame:
+    w = events.withWatermark("at", "2 hours").groupBy(F.session_window("at", gap), "user_id").agg(F.count(F.lit(1)).alias("n"), F.max("event_id").alias("top"))
+    return w.select("user_id", "n", "top")
+
+
+def deduplicated(events: DataFrame) -> DataFrame:
+    return events.withWatermark("at", "2 hours").dropDuplicatesWithinWatermark(["event_id"])
+
+
+class LiveComponents:
+    """Components under arriving edges: a batch is mapped to current labels, the small graph of labels is solved,
+    and only touched labels are rewritten.  Edges inside one component would close a cycle and are set aside."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark = spark
+        self.labels = spark.createDataFrame([], "id long, component long")
+        self.rejected = spark.createDataFrame([], "a long, b long")
+
+    def add(self, pairs: DataFrame) -> None:
+        p = write(pairs.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).filter("a is not null and b is not null"), "batch").df
+        ids = p.select(F.col("a").alias("id")).unionByName(p.select(F.col("b").alias("id"))).distinct()
+        fresh = ids.join(self.labels, "id", "left_anti").select("id", F.col("id").alias("component"))
+        known = write(self.labels.unionByName(fresh), "labels").df
+        ca, cb = known.select(F.col("id").alias("a"), F.col("component").alias("ca")), known.select(F.col("id").alias("b"), F.col("component").alias("cb"))
+        q = write(p.join(ca, "a").join(cb, "b"), "quotient").df
+        self.rejected = write(self.rejected.unionByName(q.filter("ca = cb").select("a", "b")), "rejected").df
+        moved = star_components(q.filter("ca <> cb"), "ca", "cb").select(F.col("id").alias("component"), F.col("component").alias("new"))
+        self.labels = write(known.join(moved, "component", "left").select("id", F.coalesce("new", "component").alias("component")), "labels").df
+
+    def follow(self, pairs_stream: DataFrame) -> None:
+        q = pairs_stream.writeStream.foreachBatch(lambda df, _: self.add(df)).option("checkpointLocation", f"{shared_dir(self.spark)}/canopy-live-{uuid.uuid4().hex[:8]}").trigger(availableNow=True).start()
+        q.awaitTermination()
