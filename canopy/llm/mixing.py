@@ -157,7 +157,7 @@ def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     plan = t.groupBy(F.col("doc_id").alias("__id"), F.col("th").alias("__th")).agg(F.collect_list(F.struct("size", "copies")).alias("__plan"))
     plan = write(plan, "plan").df
     keyed = docs.withColumns({"__h": F.xxhash64(F.col(text_col).cast("string"))})
-    keyed = keyed.join(plan, F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__h") == F.col("__th")))
+    keyed = keyed.join(plan.hint("merge"), F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__h") == F.col("__th")))
     nth = F.row_number().over(W.partitionBy("__id", "__th").orderBy(F.lit(1)))
     keyed = keyed.withColumn("__n", nth).filter(F.col("__n") <= F.size("__plan")).withColumn("__p", F.element_at("__plan", F.col("__n")))
     keyed = keyed.withColumn("__c", F.explode("__p.copies"))

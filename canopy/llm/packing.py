@@ -22,7 +22,6 @@ import bisect
 import random
 import zlib
 from collections.abc import Iterator
-from itertools import filterfalse
 
 import numpy as np
 import pyarrow as pa
@@ -133,13 +132,16 @@ def token_bytes(texts: list[bytes], vocabulary: str = VOCABULARY) -> list[bytes]
             size += len(texts[stop])
             words.append(texts[stop].split())
             stop += 1
-        new = {w for t in words for w in filterfalse(cache.__contains__, t)}
+        got = [list(map(cache.get, t)) for t in words]
+        lack = [k for k, g in enumerate(got) if None in g]
+        new = {w for k in lack for w, g in zip(words[k], got[k]) if g is None}
         if len(cache) + len(new) > CACHE_WORDS:
             cache.clear()
-            new = {w for t in words for w in t}
+            new = {w for k in lack for w in words[k]}
         _encode_words(new, tok, ends, cache)
-        look = cache.__getitem__
-        out += [b"".join(map(look, w)) + end for w in words]
+        for k in lack:
+            got[k] = map(cache.__getitem__, words[k])
+        out += [b"".join(g) + end for g in got]
         at = stop
     return out
 
