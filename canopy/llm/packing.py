@@ -25,6 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -45,7 +46,7 @@ JOINED = 64
 #: Signs that may follow a word of letters (no apostrophe: contractions are splits of their own).
 SIGNS = b'.,;:!?$%&#*|)"'
 #: Bytes of text that are tokenised together.
-GROUP_BYTES = 1 << 20
+GROUP_BYTES = 1 << 23
 
 _LOADED: dict = {}
 
@@ -116,51 +117,71 @@ def _encode_words(words: set[bytes], tok, ends: np.ndarray, cache: dict[bytes, b
         cache[w] = cache[core] + cache[tail]
 
 
-def token_bytes(texts: list[bytes], vocabulary: str = VOCABULARY) -> list[bytes]:
-    """Little-endian 32-bit ids of each text, the end id included.
+def token_ids(texts: pa.Array, vocabulary: str = VOCABULARY) -> tuple[np.ndarray, np.ndarray]:
+    """(ids of all texts in a row, an end id after each; where each text starts, and the end of the last).
 
-    The vocabulary's splitter never lets a token cross ASCII white space, so words are
-    encoded once and looked up; a test compares this with encoding whole texts.
+    The vocabulary's splitter never lets a token cross ASCII white space, so the distinct
+    words of a batch are looked up or encoded once and laid out by index arithmetic; a test
+    compares this with encoding whole texts.
     """
     tok, ends, cache = _tokenizer(vocabulary)
-    end = np.array([END_ID], dtype="<u4").tobytes()
-    out: list[bytes] = []
-    at = 0
-    while at < len(texts):
-        stop, size, words = at, 0, []
-        while stop < len(texts) and (stop == at or size + len(texts[stop]) <= GROUP_BYTES):
-            size += len(texts[stop])
-            words.append(texts[stop].split())
-            stop += 1
-        got = [list(map(cache.get, t)) for t in words]
-        lack = [k for k, g in enumerate(got) if None in g]
-        new = {w for k in lack for w, g in zip(words[k], got[k]) if g is None}
-        if len(cache) + len(new) > CACHE_WORDS:
-            cache.clear()
-            new = {w for k in lack for w in words[k]}
-        _encode_words(new, tok, ends, cache)
-        for k in lack:
-            got[k] = map(cache.__getitem__, words[k])
-        out += [b"".join(g) + end for g in got]
-        at = stop
-    return out
+    lists = pc.ascii_split_whitespace(pc.fill_null(texts.cast(pa.large_string()), ""))
+    offsets = lists.offsets.to_numpy().astype(np.int64)
+    coded = lists.values.slice(offsets[0], offsets[-1] - offsets[0]).dictionary_encode()
+    offsets = offsets - offsets[0]
+    words = coded.dictionary.cast(pa.large_binary()).to_pylist()
+    new = {w for w in words if w not in cache}
+    if len(cache) + len(new) > CACHE_WORDS:
+        cache.clear()
+        new = set(words)
+    _encode_words(new, tok, ends, cache)
+    table = [*map(cache.__getitem__, words), np.array([END_ID], dtype="<u4").tobytes()]
+    sizes = np.fromiter(map(len, table), dtype=np.int64, count=len(table)) // 4
+    pool = np.frombuffer(b"".join(table), dtype="<u4")
+    first = np.cumsum(sizes) - sizes
+    # an end after the words of each text
+    codes = np.insert(coded.indices.to_numpy().astype(np.int64), offsets[1:], len(words))
+    n = sizes[codes]
+    stop = np.cumsum(n)
+    ids = pool[np.repeat(first[codes] - stop + n, n) + np.arange(stop[-1] if len(stop) else 0)]
+    bounds = np.concatenate(([0], stop[offsets[1:] + np.arange(len(texts))])) if len(texts) else np.zeros(1, np.int64)
+    return ids, bounds
+
+
+def token_bytes(texts: list[bytes], vocabulary: str = VOCABULARY) -> list[bytes]:
+    """Little-endian 32-bit ids of each text, the end id included."""
+    ids, bounds = token_ids(pa.array([t.decode() for t in texts], pa.large_string()), vocabulary)
+    return [ids[a:z].tobytes() for a, z in zip(bounds[:-1], bounds[1:])]
 
 
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
+def _groups(texts: pa.Array) -> Iterator[tuple[int, int]]:
+    """Stretches of rows with about ``GROUP_BYTES`` of text."""
+    sizes = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).tolist()
+    at, total = 0, 0
+    for k, n in enumerate(sizes):
+        if total and total + n > GROUP_BYTES:
+            yield at, k
+            at, total = k, 0
+        total += n + 1
+    if sizes:
+        yield at, len(sizes)
+
+
 def _cut(vocabulary: str, capacity: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids = b.column(0).to_pylist()
-            texts = b.column(1).cast(pa.binary()).to_pylist()
-            for lo in range(0, len(ids), 1024):
+            for lo, hi in _groups(b.column(1)):
+                doc = b.column(0).slice(lo, hi - lo).to_pylist()
+                ids, bounds = token_ids(b.column(1).slice(lo, hi - lo), vocabulary)
+                raw = memoryview(np.ascontiguousarray(ids)).cast("B")
                 out: list[list] = [[], [], [], [], []]
-                for i, raw in zip(ids[lo : lo + 1024], token_bytes([t or b"" for t in texts[lo : lo + 1024]], vocabulary)):
-                    n = len(raw) // 4
-                    for k, s in enumerate(range(0, n, capacity)):
-                        e = min(n, s + capacity)
-                        for o, x in zip(out, (i, k, s, e - s, zlib.crc32(raw[4 * s : 4 * e]))):
+                for i, a, z in zip(doc, bounds[:-1].tolist(), bounds[1:].tolist()):
+                    for k, s in enumerate(range(a, z, capacity)):
+                        e = min(z, s + capacity)
+                        for o, x in zip(out, (i, k, s - a, e - s, zlib.crc32(raw[4 * s : 4 * e]))):
                             o.append(x)
                 kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(o, k) for o, k in zip(out, kinds)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
