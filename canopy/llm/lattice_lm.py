@@ -115,12 +115,13 @@ class Lattice:
     def __init__(self, counts: dict[int, int], ends: int, vocabulary: str = VOCABULARY):
         sp = _model(vocabulary)
         size = sp.get_piece_size()
-        share = np.array([1.0 / (2 + i) for i in range(size)])  # the vocabulary is ordered by its scores
+        # the vocabulary is ordered by its scores; control pieces spell nothing and get no mass
+        share = np.array([0.0 if sp.is_control(i) or sp.is_unknown(i) else 1.0 / (2 + i) for i in range(size)])
         weight = PRIOR * size * share / share.sum()
         for i, c in counts.items():
-            weight[i] += c
+            weight[i] += c if share[i] else 0
         end = ends + 1.0
-        logp = np.log(weight) - math.log(weight.sum() + end)
+        logp = np.log(np.maximum(weight, 1e-300)) - math.log(weight.sum() + end)
         self.end = math.log(end) - math.log(weight.sum() + end)
         self.pieces: dict[str, float] = {}
         self.bytes = [0.0] * 256

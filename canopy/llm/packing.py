@@ -35,7 +35,7 @@ from canopy.store import write
 CAPACITY = 4096
 END_ID = 1
 SHARD, ISLANDS, EPOCHS = 4096, 3, 2
-POPULATION, GENERATIONS = 6, 12
+POPULATION, GENERATIONS = 6, 24
 WELL_FILLED = 0.98
 MERGE = 32
 VOCABULARY = "word_bpe_49k.json"
@@ -233,31 +233,31 @@ def crossover(one: list[list[int]], two: list[list[int]], lengths: list[int], ca
     return best_fit([*map(list, inject), *keep], displaced, lengths, capacity)
 
 
+def reopened(bins: list[list[int]], lengths: list[int], capacity: int, rnd: random.Random) -> list[list[int]]:
+    """A mutation: some of the emptiest bins and some at random give up their pieces, which go back by best fit."""
+    order = sorted(range(len(bins)), key=lambda k: -bins[k][0])
+    k = max(2, len(bins) // 20)
+    out = {*order[:k], *rnd.sample(order, min(k, len(order)))}
+    loose = [i for j in out for i in bins[j][1:]]
+    keep = [list(b) for j, b in enumerate(bins) if j not in out]
+    rnd.shuffle(keep)
+    return best_fit(keep, loose, lengths, capacity)
+
+
 def evolve(lengths: list[int], capacity: int, seed: int, elites: list[list[list[int]]]) -> list[list[int]]:
-    """The best packing after some generations, started from ``elites`` and best-fit orders."""
+    """The best packing after some generations; the best one is never lost, and the lower bound ends the search."""
     rnd = random.Random(seed)
     bound = -(-sum(lengths) // capacity)
-    pool = [*elites]
-    while len(pool) < POPULATION:
-        start = best_fit([], list(range(len(lengths))), lengths, capacity)
-        if len(start) > bound or pool:
-            for b in rnd.sample(start, max(1, len(start) // 10)):  # reopen a tenth of the bins
-                start.remove(b)
-            left = sorted(set(range(len(lengths))).difference(i for b in start for i in b[1:]))
-            rnd.shuffle(left)
-            for i in left:
-                start = best_fit(start, [i], lengths, capacity) if len(left) < 200 else start
-            if len(left) >= 200:
-                start = best_fit(start, left, lengths, capacity)
-        pool.append(start)
-        if len(start) <= bound:
-            return start
+    pool = [*elites] or [best_fit([], list(range(len(lengths))), lengths, capacity)]
+    while len(pool) < POPULATION and min(map(len, pool)) > bound:
+        pool.append(reopened(pool[0], lengths, capacity, rnd))
     for _ in range(GENERATIONS):
         pool.sort(key=lambda b: fitness(b, capacity))
         if len(pool[0]) <= bound:
             break
         one, two = rnd.sample(pool[: max(2, POPULATION // 2)], 2)
-        pool[-1] = crossover(one, two, lengths, capacity, rnd)
+        child = crossover(one, two, lengths, capacity, rnd)
+        pool[-1] = reopened(child, lengths, capacity, rnd) if rnd.random() < 0.5 else child
     return min(pool, key=lambda b: fitness(b, capacity))
 
 
