@@ -9,8 +9,10 @@ replay of the loop.  ``localCheckpoint`` is not used anywhere.
 from __future__ import annotations
 
 import atexit
+import os
 import tempfile
 import uuid
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -18,6 +20,20 @@ _OPEN: dict[str, SparkSession] = {}
 _FALLBACK: list[str] = []
 
 
+def reachable(spark: SparkSession) -> SparkSession:
+    """Let Python workers of this session import the package from where the driver has it.
+
+    Workers take their PYTHONPATH from the context's environment when a function is shipped.  On a cluster whose
+    executors don't share that folder, pass the package with ``--py-files`` as usual; this then changes nothing.
+    """
+    root = str(Path(__file__).resolve().parent.parent)
+    env = spark.sparkContext.environment
+    paths = [p for p in env.get("PYTHONPATH", "").split(os.pathsep) if p]
+    if root not in paths:
+        env["PYTHONPATH"] = os.pathsep.join([root, *paths])
+    return spark
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The shared folder of the session; a temporary one where none is set (tests)."""
     named = spark.conf.get("spark.checkpoint.dir", None)
