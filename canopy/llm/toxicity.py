@@ -137,7 +137,8 @@ class Automaton:
         best = self._run(word)
         folded = word.translate(LOOKS)
         if folded != word and (other := self._run(folded)) and (best is None or other[1] < best[1]):
-            best = (other[0], max(1, other[1]))
+            # look-alikes alone hardly ever happen by chance
+            best = (0.95 * other[0], 0) if other[1] == 0 else other
         if best and best[1] and word in self.common:
             best = None
         if len(self.known) > 400_000:

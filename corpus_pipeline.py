@@ -11,11 +11,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from canopy.llm import exact_dedup, mixing, ngram_join, packing, toxicity
-from canopy.store import cut, write
+from canopy.store import cut, reachable, write
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity model does not reject."""
+    reachable(spark)
     return toxicity.keep_clean(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
@@ -33,6 +34,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class of linked texts: the one with the smallest id."""
+    reachable(spark)
     j = ngram_join.similarity_join(docs)
     return _keep_rows(docs, j.filter("class_id = doc_id").select("doc_id").distinct())
 
@@ -44,6 +46,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The pieces of the mixture in sequences."""
+    reachable(spark)
     return packing.packed_documents(docs)
 
 
