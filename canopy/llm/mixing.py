@@ -136,7 +136,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     d = write(rows_of(docs, id_col, text_col, source_col), "sizes").df
     sources = write(source_table(d, weights), "sources").df
     placed = write(laid_out(d, sources), "placed").df
-    taken = blocks(placed).join(schedule(sources), ["sid", "rank"]).select("slot", "sid", "start", "epoch", "lo", "hi")
+    taken = blocks(placed).join(schedule(sources).hint("merge"), ["sid", "rank"]).select("slot", "sid", "start", "epoch", "lo", "hi")
     return placed, taken
 
 
@@ -145,7 +145,8 @@ def taken_words(docs: DataFrame, **columns) -> DataFrame:
     placed, taken = mix(docs, **columns)
     per = taken.groupBy("sid", "start", "epoch").agg(F.sum(F.col("hi") - F.col("lo")).alias("n"))
     per = per.groupBy("sid", "start").agg(F.sum("n").alias("taken"), F.sort_array(F.collect_list("n"), asc=False).alias("copies"))
-    per = write(per.withColumn("size_known", F.lit(True)), "taken").df
+    # a row for each document: sorted numbers compress so well that file sizes would let it be broadcast
+    per = write(per, "taken").df.hint("merge")
     d = placed.join(per, (placed.sid == per.sid) & (placed.start == per.start) & (placed["size"] > 0), "left")
     return d.select("doc_id", "th", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), "copies")
 
