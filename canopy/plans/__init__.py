@@ -71,3 +71,15 @@ def pointer_rounds(parents: DataFrame) -> int:
     ledger = Ledger()
     pointers(parents, ledger=ledger).count()
     return ledger.rounds()
+
+
+def exchanges(df: DataFrame) -> int:
+    """Shuffle exchanges in the physical plan of ``df`` (broadcasts not counted)."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return sum("Exchange " in line and "BroadcastExchange" not in line for line in plan.splitlines())
+
+
+def skew(df: DataFrame, key: str) -> DataFrame:
+    """``(keys, most, median)`` rows of a key: what one task may get."""
+    g = df.groupBy(key).agg(F.count(F.lit(1)).alias("n"))
+    return g.agg(F.count(F.lit(1)).alias("keys"), F.max("n").alias("most"), F.expr("percentile_disc(0.5) within group (order by n)").cast("long").alias("median"))

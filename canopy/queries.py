@@ -310,6 +310,11 @@ def stream_sessions(s, d):
     return streaming.available(streaming.sessions(streaming.events_stream(s, f"{d}/events.parquet")), "complete")
 
 
+@query("stream_interval_join", ORACLES["ops_interval_join"])
+def stream_interval_join(s, d):
+    return streaming.available(streaming.view_to_purchase(streaming.events_stream(s, f"{d}/events.parquet")))
+
+
 @query("stream_components", "select event_id as id, min(event_id) over (partition by user_id) as component from events")
 def stream_components(s, d):
     """Links user's first event - event, fed as a stream and kept as components."""

@@ -45,6 +45,14 @@ def deduplicated(events: DataFrame) -> DataFrame:
     return events.withWatermark("at", "2 hours").dropDuplicatesWithinWatermark(["event_id"])
 
 
+def view_to_purchase(events: DataFrame, within: str = "1 hour") -> DataFrame:
+    """Stream-stream interval join: purchases of a user at most ``within`` after a view."""
+    e = events.withWatermark("at", "2 hours")
+    v = e.filter("event_type = 'view'").select(F.col("user_id").alias("vu"), F.col("event_id").alias("v"), F.col("at").alias("tv"))
+    p = e.filter("event_type = 'purchase'").select(F.col("user_id").alias("pu"), F.col("event_id").alias("p"), F.col("at").alias("tp"))
+    return v.join(p, F.expr(f"vu = pu and tp > tv and tp <= tv + interval {within}")).select("v", "p")
+
+
 class LiveComponents:
     """Components under arriving edges: a batch is mapped to current labels, the small graph of labels is solved,
     and only touched labels are rewritten.  Edges inside one component would close a cycle and are set aside."""

@@ -70,3 +70,10 @@ def test_costs(spark):
 def test_stream_dedup(spark):
     e = streaming.events_stream(spark, f"{D}/events.parquet")
     assert streaming.available(streaming.deduplicated(e).select("event_id")).count() == 1000
+
+
+def test_plan_reports(spark):
+    e = workloads.shapes(spark, "star", 30).edges
+    assert plans.exchanges(spark.range(10).groupBy(F.col("id") % 3).count()) == 1 and plans.exchanges(spark.range(10)) == 0
+    r = plans.skew(e, "src").first()
+    assert (r.keys, r.most, r.median) == (30, 29, 1)
