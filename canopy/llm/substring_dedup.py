@@ -275,8 +275,11 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     # a piece that is covered as a whole is one span, else each covered window is one
     full = F.exists("cover", lambda x: (x["a"] == 0) & (x["b"] == F.col("n") - 1))
     one = F.struct(F.lit(0).alias("a"), (F.col("n") - 1).alias("b"), F.array_min(F.transform("cover", lambda x: x["src"])).alias("src"))
-    hit = hit.withColumn("full", full)
-    spans = hit.select("doc_id", "th", "pos", (F.col("full") & F.col("g1").isNotNull()).alias("joined"), F.explode(F.when(F.col("full"), F.array(one)).otherwise(F.col("cover"))).alias("s"))
+    # a glued edge joins two pieces of a row only if the row's piece before is covered as a whole too
+    row = W.partitionBy("doc_id", "th").orderBy("pos")
+    beside = F.lag("full", 1, False).over(row) & (F.lag("pos").over(row) + F.lag("n").over(row) == F.col("pos"))
+    hit = hit.withColumn("full", full).withColumn("joined", F.col("full") & F.col("g1").isNotNull() & beside)
+    spans = hit.select("doc_id", "th", "pos", "joined", F.explode(F.when(F.col("full"), F.array(one)).otherwise(F.col("cover"))).alias("s"))
     spans = spans.select("doc_id", "th", "joined", (F.col("pos") + F.col("s.a")).alias("start"), (F.col("pos") + F.col("s.b") + WINDOW).alias("end"), F.col("s.src").alias("src"))
     # glued or overlapping spans of a row become one
     line = W.partitionBy("doc_id", "th").orderBy("start", "end")
