@@ -3,13 +3,17 @@
 * Sets.  A document is the set of its ``N``-word shingles (a text of fewer words is one
   shingle).  Equal sets become one item with a multiplicity.
 * Paths.  A set is embedded as ``COORDS`` min-hashes.  A run starts at the root; each
-  node of a path picks coordinates by a hash of the path, about 1/0.8 of them, and a set goes
-  to the child (path, coordinate, its own min-hash): sets that agree on the sampled token
-  go down together.  At the root ``RUNS`` runs of two coordinates are taken; a pair at
-  similarity 0.8 misses all of them with probability 0.2^12, so the recall target is met
-  by the runs and small buckets are compared at once.  Buckets over ``LIMIT`` sets
-  recurse, to depth ``DEPTH``; what is left (groups of sets that are all alike) is
-  compared block by block, exactly.
+  node of a path picks coordinates by a hash of the path, and a set goes to the child
+  (path, coordinate, its own min-hash): sets that agree on the sampled token go down
+  together.  At the root ``RUNS`` runs of two coordinates are taken; small buckets are
+  compared at once.  A bucket over ``LIMIT`` sets is split by ``FAN`` coordinates that its
+  path has not used, to depth ``DEPTH``, unless the children would cost as many
+  comparisons as the bucket itself (a family of near copies): then, and at the last
+  depth, it is compared block by block, exactly.
+* Misses.  A pair at similarity 0.8 whose buckets are never split is missed with
+  probability 0.2^12 (4e-9).  A split can lose a pair that met in the bucket, so this
+  does not hold for pairs all of whose buckets are split; the README has the rate
+  simulated for pairs whose buckets are split on every level.
 * Check.  In the buckets all pairs are compared on full shingle sets in integers
   (5 i >= 4 u); each pair is counted in one bucket, pairs are never emitted.
 
@@ -38,7 +42,7 @@ from canopy.store import write
 N = 5
 NUM, DEN = 4, 5  # similarity 0.8 as a fraction
 COORDS, RUNS, PER_RUN = 24, 6, 2
-LIMIT, DEPTH = 256, 3
+LIMIT, DEPTH, FAN = 256, 3, 3
 #: Cells of the incidence matrix that are multiplied at once.
 CELLS = 8_000_000
 
@@ -107,26 +111,34 @@ def similar(sets: list[np.ndarray]) -> np.ndarray:
 
 def paths(sets: DataFrame) -> DataFrame:
     """``(bucket, sid)`` of ``sets(sid, sig)``: the leaves of the chosen paths."""
-    coord = lambda path, j: F.pmod(F.xxhash64(path, F.lit(j)), F.lit(COORDS)).cast("int")
     roots = [F.struct(F.xxhash64(F.lit(r), F.lit("root")).alias("p"), F.lit((r * PER_RUN + j) % COORDS).alias("c")) for r in range(RUNS) for j in range(PER_RUN)]
     now = sets.select("sid", F.explode(F.array(*roots)).alias("x"), "sig")
-    now = now.select("sid", F.xxhash64("x.p", "x.c", F.get("sig", F.col("x.c"))).alias("bucket"))
+    now = now.select("sid", F.xxhash64("x.p", "x.c", F.get("sig", F.col("x.c"))).alias("bucket"), F.expr("shiftleft(1L, x.c)").alias("used"))
+    # the coordinates that the path has not used, in an order of its own
+    free = F.filter(F.sequence(F.lit(0), F.lit(COORDS - 1)), lambda j: F.getbit("used", j) == 0)
+    order = F.sort_array(F.transform(free, lambda j: F.struct(F.xxhash64("bucket", j).alias("h"), j.alias("c"))))
+    picks = F.transform(F.slice(order, 1, FAN), lambda x: x["c"])
     done: list[DataFrame] = []
-    for depth in range(DEPTH):
+    for _ in range(DEPTH):
         now = write(now, "paths").df
-        size = now.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > LIMIT)
-        big = write(size, "big").df
+        size = now.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.max("used").alias("used")).filter(F.col("n") > LIMIT)
+        big = write(size.select("bucket", "n", picks.alias("picks")), "big").df
         if big.isEmpty():
-            done.append(now)
+            done.append(now.select("sid", "bucket"))
             break
-        done.append(now.join(big, "bucket", "left_anti"))
-        over = now.join(big.select("bucket"), "bucket", "left_semi").join(sets.select("sid", "sig"), "sid")
-        # one coordinate always, a second one for a quarter of the paths: 1/0.8 on average
-        picks = F.when(F.pmod(F.xxhash64("bucket"), F.lit(4)) == 0, F.array(coord("bucket", 0), coord("bucket", 1))).otherwise(F.array(coord("bucket", 0)))
-        over = over.select("sid", "bucket", "sig", F.explode(F.array_distinct(picks)).alias("c"))
-        now = over.select("sid", F.xxhash64("bucket", "c", F.get("sig", F.col("c"))).alias("bucket"))
+        done.append(now.join(big, "bucket", "left_anti").select("sid", "bucket"))
+        over = now.join(big, "bucket").join(sets.select("sid", "sig"), "sid")
+        over = over.select("sid", F.col("bucket").alias("parent"), "used", "sig", F.explode("picks").alias("c"))
+        over = over.select("sid", "parent", F.xxhash64("parent", "c", F.get("sig", F.col("c"))).alias("bucket"), F.expr("used | shiftleft(1L, c)").alias("used"))
+        over = write(over, "children").df
+        # a bucket whose children cost no fewer comparisons is compared as it is
+        cost = over.groupBy("parent", "bucket").agg(F.count(F.lit(1)).cast("double").alias("m")).groupBy("parent").agg(F.sum(F.col("m") * F.col("m")).alias("cost"))
+        alike = big.join(cost, F.col("bucket") == F.col("parent")).filter(F.col("cost") >= F.col("n").cast("double") * F.col("n")).select("bucket")
+        alike = write(alike, "alike").df
+        done.append(now.join(alike, "bucket", "left_semi").select("sid", "bucket"))
+        now = over.join(alike.withColumnRenamed("bucket", "parent"), "parent", "left_anti").select("sid", "bucket", "used")
     else:
-        done.append(now)
+        done.append(now.select("sid", "bucket"))
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)

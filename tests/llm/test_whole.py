@@ -4,7 +4,7 @@ import random
 
 import numpy as np
 
-from canopy.llm import substring_dedup
+from canopy.llm import ngram_join, substring_dedup
 
 
 def _first_alone(rnd, passages=400):
@@ -39,3 +39,15 @@ def test_substring_words_between_two_passages_stay(spark):
     want = substring_dedup.brute(rows)
     got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert want[3][1] == len(a) + len(b) and got == want
+
+
+def test_join_pairs_survive_split_buckets(spark):
+    # every root bucket holds about a sixth of 16,000 sets and every child a sixth of that: all are split
+    rng = np.random.default_rng(7)
+    n, values = 8_000, 6
+    one = rng.integers(0, values, (n, ngram_join.COORDS))
+    two = np.where(rng.random(one.shape) < 0.8, one, rng.integers(values, 2 * values, one.shape))
+    rows = [(i, s.tolist()) for i, s in enumerate(np.concatenate([one, two]))]
+    got = ngram_join.paths(spark.createDataFrame(rows, "sid long, sig array<long>"))
+    met = got.groupBy("bucket", (got.sid % n).alias("pair")).count().filter("count > 1").select("pair").distinct().count()
+    assert met == n
