@@ -9,8 +9,10 @@
   into the other, removes the bins that hold any of the same pieces, and puts the
   displaced pieces back by best fit.  Between epochs the best packing of each island
   moves to the next one; an island stops at the lower bound ceil(tokens / capacity).
-* Rest.  Bins that stay underfilled are pooled over shards and packed again, with
-  32 times fewer shards each time, so the waste is one bin in the end, not one per shard.
+* Rest.  Bins that stay underfilled are pooled over shards and packed again, in shards of
+  about ``SHARD`` pieces again, until one shard holds the rest or a level needs as many
+  bins as the level before: the waste is one bin in the end, not one per shard, where the
+  pieces allow it.
 
 Defined results: null text counts as empty: one piece of length 1 (the end id); repeated
 rows are packed apart; null ids are kept; an empty table gives an empty result.
@@ -37,7 +39,6 @@ END_ID = 1
 SHARD, ISLANDS, EPOCHS = 4096, 3, 2
 POPULATION, GENERATIONS = 6, 24
 WELL_FILLED = 0.98
-MERGE = 32
 VOCABULARY = "word_bpe_49k.json"
 #: Words whose ids a worker remembers (about 200 bytes each).
 CACHE_WORDS = 1_500_000
@@ -321,7 +322,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, shard_items: int = SHARD,
     todo = write(pieces.select(F.struct(*own).alias("x"), F.col("length"), F.xxhash64(*own, F.monotonically_increasing_id()).alias("u")), "pieces").df
     n = todo.count()
     count = max(1, -(-n // shard_items))
-    made, first_id, level = [], 0, 0
+    made, rest, level, open_bins = [], None, 0, 0
     todo = todo.withColumn("shard", F.pmod("u", F.lit(count)))
     while True:
         shards = write(todo.groupBy("shard").agg(F.sort_array(F.collect_list(F.struct("length", "u", "x")), asc=False).alias("items")), "shards").df
@@ -336,18 +337,26 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, shard_items: int = SHARD,
             }
         )
         placed = write(placed, "placed").df
-        last = count == 1
-        full = placed if last else placed.filter(F.col("fill") >= WELL_FILLED * capacity)
-        made.append(full.select("x", F.struct(F.lit(level).alias("l"), "shard", "bin").alias("s"), "offset"))
-        if last:
+        under = F.col("fill") < WELL_FILLED * capacity
+        first = F.col("offset") == 0
+        left = placed.agg(F.count_if(first).alias("bins"), F.count_if(first & under).alias("open"), F.count_if(under).alias("pieces")).first()
+        if level and left["bins"] >= open_bins:
+            # no bin saved by pooling: the bins stay as they were
+            made.append(rest)
             break
-        level, count = level + 1, max(1, count // MERGE)
-        todo = placed.filter(F.col("fill") < WELL_FILLED * capacity).select("x", "length", "u", F.pmod(F.xxhash64("shard", "bin"), F.lit(count)).alias("shard"))
+        chosen = placed.select("x", F.struct(F.lit(level).alias("l"), "shard", "bin").alias("s"), "offset", under.alias("under"))
+        if count == 1 or not left["open"]:
+            made.append(chosen.drop("under"))
+            break
+        made.append(chosen.filter("not under").drop("under"))
+        rest = chosen.filter("under").drop("under")
+        level, count, open_bins = level + 1, -(-left["pieces"] // shard_items), left["open"]
+        todo = placed.filter(under).select("x", "length", "u", F.pmod(F.xxhash64(F.lit(level), "shard", "bin"), F.lit(count)).alias("shard"))
     out = made[0]
     for m in made[1:]:
         out = out.unionByName(m)
     # level, shard and bin in one number: bins of a shard are fewer than its pieces
-    number = F.col("s.shard") * F.lit(1 << 24) + F.col("s.bin") + F.col("s.l").cast("long") * F.lit(1 << 58)
+    number = F.col("s.shard") * F.lit(1 << 24) + F.col("s.bin") + F.col("s.l").cast("long") * F.lit(1 << 48)
     return out.select("x.*", number.alias("sequence_id"), F.col("offset").cast("long").alias("offset"))
 
 

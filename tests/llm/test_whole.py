@@ -4,7 +4,7 @@ import random
 
 import numpy as np
 
-from canopy.llm import ngram_join, substring_dedup
+from canopy.llm import ngram_join, packing, substring_dedup
 
 
 def _first_alone(rnd, passages=400):
@@ -51,3 +51,25 @@ def test_join_pairs_survive_split_buckets(spark):
     got = ngram_join.paths(spark.createDataFrame(rows, "sid long, sig array<long>"))
     met = got.groupBy("bucket", (got.sid % n).alias("pair")).count().filter("count > 1").select("pair").distinct().count()
     assert met == n
+
+
+def test_packing_of_bins_that_cannot_be_filled(spark, monkeypatch):
+    # 600 pieces of 2,100 tokens need a bin each, and the short ones can't fill them
+    largest, evolve = [], packing._pack_shards
+
+    def seen(shards, *a):
+        largest.append(shards.selectExpr("max(size(items))").first()[0])
+        return evolve(shards, *a)
+
+    monkeypatch.setattr(packing, "_pack_shards", seen)
+    rows = [(i, 2_100 if i < 600 else 40) for i in range(1_000)]
+    got = packing.pack(spark.createDataFrame(rows, "doc_id long, length long"), shard_items=64, islands=2, epochs=1).collect()
+    bins = {}
+    for r in got:
+        bins.setdefault(r.sequence_id, []).append((r.offset, r.length))
+    assert sorted(r.doc_id for r in got) == list(range(1_000)) and len(bins) == 600
+    for b in bins.values():
+        b.sort()
+        assert [o for o, _ in b] == [sum(n for _, n in b[:k]) for k in range(len(b))] and sum(n for _, n in b) <= packing.CAPACITY
+    # bins of up to 49 pieces are dealt whole, so shards differ in size
+    assert max(largest) <= 4 * 64 and len(largest) <= 4
