@@ -12,12 +12,16 @@ import atexit
 import os
 import tempfile
 import uuid
+import warnings
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 _OPEN: dict[str, SparkSession] = {}
 _FALLBACK: list[str] = []
+_SCOPES: list = []
 
 
 def reachable(spark: SparkSession) -> SparkSession:
@@ -35,11 +39,15 @@ def reachable(spark: SparkSession) -> SparkSession:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared folder of the session; a temporary one where none is set (tests)."""
+    """The shared folder of the session; in local mode a temporary one where none is set."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    master = spark.conf.get("spark.master", "")
+    if not master.startswith("local"):
+        raise RuntimeError(f"set spark.checkpoint.dir to a folder that all executors of {master} share")
     if not _FALLBACK:
+        warnings.warn("spark.checkpoint.dir is not set: tables are cut in a temporary folder of this machine", stacklevel=3)
         _FALLBACK.append(tempfile.mkdtemp(prefix="canopy-"))
     return f"file://{_FALLBACK[0]}"
 
@@ -51,8 +59,33 @@ class Cut:
         self.spark, self.path, self.df = spark, path, df
 
     def drop(self) -> None:
-        _delete(self.spark, self.path)
-        _OPEN.pop(self.path, None)
+        if _OPEN.pop(self.path, None) is not None:
+            _delete(self.spark, self.path)
+
+
+@contextmanager
+def scope() -> Iterator[Callable[[Cut], Cut]]:
+    """Drop the tables written inside when the block ends, but for those handed to the yielded function.
+
+    Kept tables belong to the scope around, if there is one.
+    """
+    made: list[Cut] = []
+    kept: list[Cut] = []
+
+    def keep(c: Cut) -> Cut:
+        kept.append(c)
+        return c
+
+    _SCOPES.append(made)
+    try:
+        yield keep
+    finally:
+        _SCOPES.remove(made)
+        for c in made:
+            if c not in kept:
+                c.drop()
+        if _SCOPES:
+            _SCOPES[-1].extend(kept)
 
 
 def write(df: DataFrame, name: str = "cut") -> Cut:
@@ -61,7 +94,10 @@ def write(df: DataFrame, name: str = "cut") -> Cut:
     path = f"{shared_dir(spark)}/canopy-{name}-{uuid.uuid4().hex[:12]}"
     df.write.mode("errorifexists").option("compression", "zstd").parquet(path)
     _OPEN[path] = spark
-    return Cut(spark, path, spark.read.schema(df.schema).parquet(path))
+    made = Cut(spark, path, spark.read.schema(df.schema).parquet(path))
+    if _SCOPES:
+        _SCOPES[-1].append(made)
+    return made
 
 
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
