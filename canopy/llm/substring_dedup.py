@@ -9,15 +9,20 @@ never stored window by window:
    coordinates.  Equal windows always have equal minimizers, so nothing is missed.
 2. *Repeats.*  Minimizers seen in one document only are dropped by a join with the
    aggregated minimizer table (16 bytes a row); the rest of the work is on what repeats.
-3. *Compaction.*  Equal pieces become one node with its smallest document.  Where a
-   node's successor and predecessor are unique, the path is glued (two joins), so long
-   repeats become single spans.
-4. *Verification by source coordinates.*  Pieces that share a minimizer but differ (the
-   ends of shared passages, edited copies) are opened again: the text at one source
-   coordinate of each distinct piece is read once more and its windows are matched
-   one by one on 128-bit hashes, whatever the number of copies.
+3. *Compaction.*  Where every row of a piece is followed by one and the same piece, and every
+   row of that one is preceded by it, the edge is glued (joins on the aggregated
+   degrees).  Glued pieces of a row become one row: a nonbranching path, with one
+   hash, one smallest document and one source coordinate.  Coverage is decided on paths.
+4. *Verification at source coordinates.*  The text at the source coordinate of each
+   path is read once more for a digest of its words, with which the last pass
+   compares the words that it is about to remove.  Pieces that share a minimizer but differ (the
+   ends of shared passages, edited copies) are opened in the same pass: the windows of each
+   distinct one are matched on 128-bit hashes, whatever the number of copies.
 5. *Cut.*  Covered words of each document are removed in one last pass.
 
+Hashes: words by two chained 64-bit mixes of their bytes (a keyed digest above ``LONG`` bytes), windows by
+two binary trees of mixes over these: neither is a polynomial, so no words or word patterns collide by form.
+
 Defined results: null text has no words; texts under 50 words keep all words; rows with a
 null id lose nothing and are no source; repeated rows (same id and text) are all
 returned and are no source for each other; an empty table gives an empty result; very
@@ -35,14 +40,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from canopy.store import write
+from canopy.store import scope, write
 
 WINDOW, K = 50, 20
 SEGMENT = 1 << 20  # bytes hashed at once
+LONG = 64  # bytes of a word that are mixed block by block
 
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
-_BYTE_BASE, _WORD_BASE_1, _WORD_BASE_2 = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F
+_WORD_BASE = 0xD6E8FEB86659FD93
+_ODD = np.array([0x9E3779B97F4A7C15, 0xA0761D6478BD642F], dtype=np.uint64)
+_MASK = np.array([(1 << 8 * k) - 1 for k in range(9)], dtype=np.uint64)
 _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
@@ -84,8 +92,45 @@ def word_bounds(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return edge[0::2], edge[1::2]
 
 
-def word_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    return Prefix(data.astype(np.uint64) + np.uint64(1), _BYTE_BASE).span(start, end)
+def word_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray, seeds: int = 1) -> np.ndarray:
+    """Hashes of words, or with ``seeds=2`` a row of them for each of two independent functions."""
+    padded = np.zeros(len(data) + 8, dtype=np.uint8)
+    padded[: len(data)] = data
+    load = np.ndarray(len(data) + 1, dtype="<u8", buffer=padded.data, strides=(1,))
+    size = (end - start).astype(np.int64)
+    odd = _ODD[:seeds, None]
+    h = _mix(size.astype(np.uint64)[None, :] * odd + odd)
+    at, left, who = start.astype(np.int64), size, None
+    for _ in range(0, LONG, 8):
+        block = load[at] & _MASK[np.minimum(left, 8)]
+        if who is None:
+            h = _mix((h ^ block) * odd)
+        else:
+            h[:, who] = _mix((h[:, who] ^ block) * odd)
+        more = np.flatnonzero(left > 8)
+        if not len(more):
+            break
+        who = more if who is None else who[more]
+        at, left = at[more] + 8, left[more] - 8
+    for k in np.flatnonzero(size > LONG).tolist():
+        digest = hashlib.blake2b(padded[start[k] : end[k]].tobytes(), digest_size=16).digest()
+        h[:, k] = np.frombuffer(digest, dtype="<u8")[:seeds]
+    return h if seeds > 1 else h[0]
+
+
+def fixed_spans(h: np.ndarray, width: int) -> np.ndarray:
+    """Hashes of all runs of ``width`` values along the last axis: a binary tree of mixes."""
+    n = h.shape[-1] - width + 1
+    level, span, out, covered = h, 1, None, 0
+    while True:
+        if width & span:
+            part = level[..., covered : covered + n]
+            out = part if out is None else _mix(out * _ODD[0] + part)
+            covered += span
+        if 2 * span > width:
+            return out
+        level = _mix(level[..., :-span] * _ODD[1] + level[..., span:])
+        span *= 2
 
 
 def segments(data: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
@@ -120,13 +165,13 @@ def _argmin(values: np.ndarray, width: int) -> np.ndarray:
 
 
 def pieces(h: np.ndarray, doc: np.ndarray) -> dict[str, np.ndarray]:
-    """Runs of windows with one minimizer; ``h`` are word hashes, ``doc`` the (rising) document of each word."""
-    n = len(h) - WINDOW + 1
+    """Runs of windows with one minimizer; ``h`` are word hashes (one row, or two), ``doc`` the (rising) document of each word."""
+    h = h if h.ndim == 2 else np.stack([h, _mix(h)])
+    n = h.shape[1] - WINDOW + 1
     if n <= 0:
         return {}
-    one, two = Prefix(h, _WORD_BASE_1), Prefix(_mix(h ^ np.uint64(_WORD_BASE_2)), _WORD_BASE_2)
-    i = np.arange(len(h) - K + 1)
-    mz = one.span(i, i + K)
+    i = np.arange(h.shape[1] - K + 1)
+    mz = Prefix(h[0], _WORD_BASE).span(i, i + K)
     best = _argmin(mz, WINDOW - K + 1)[:n]
     ok = doc[:n] == doc[WINDOW - 1 :]
     new = np.ones(n, dtype=bool)
@@ -134,22 +179,10 @@ def pieces(h: np.ndarray, doc: np.ndarray) -> dict[str, np.ndarray]:
     first = np.flatnonzero(new & ok)
     stop = np.append(np.flatnonzero(new | ~ok), n)
     count = stop[np.searchsorted(stop, first, side="right")] - first
-    last = first + count - 1 + WINDOW
-    tail = (best[first] - first).astype(np.uint64) << np.uint64(32)
-    return {
-        "first": first,
-        "n": count,
-        "mz": mz[best[first]],
-        "c1": _mix(one.span(first, last) + tail),
-        "c2": two.span(first, last),
-    }
-
-
-def window_hashes(h: np.ndarray, first: int, n: int) -> tuple[np.ndarray, np.ndarray]:
-    part = h[first : first + n - 1 + WINDOW]
-    one, two = Prefix(part, _WORD_BASE_1), Prefix(_mix(part ^ np.uint64(_WORD_BASE_2)), _WORD_BASE_2)
-    j = np.arange(n)
-    return one.span(j, j + WINDOW), two.span(j, j + WINDOW)
+    # all windows of a piece hold its minimizer, so its first and last window overlap and name its words
+    w = fixed_spans(h, WINDOW)
+    c = _mix(w[:, first] * _ODD[0] + _mix(w[:, first + count - 1] + count.astype(np.uint64)))
+    return {"first": first, "n": count, "mz": mz[best[first]], "c1": c[0], "c2": c[1]}
 
 
 def _bytes(column: pa.Array) -> list[np.ndarray]:
@@ -176,7 +209,7 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if not len(start):
             return
         doc = np.searchsorted(edges, start, side="right")
-        p = pieces(word_hashes(data, start, end), doc)
+        p = pieces(word_hashes(data, start, end, 2), doc)
         if not p or not len(p["first"]):
             return
         d = doc[p["first"]]
@@ -212,8 +245,14 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 _OPEN = "c1 long, c2 long, src long, j int, w1 long, w2 long"
 
 
+def digest(words: list[bytes]) -> tuple[int, int]:
+    """Two halves of a digest of words."""
+    d = hashlib.blake2b(b" ".join(words), digest_size=16).digest()
+    return int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True)
+
+
 def _open(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Windows of the pieces asked for: columns text, asks list<struct<pos, n, c1, c2, src>>."""
+    """Columns text, asks list<struct<pos, n, c1, c2, src, whole>>: the windows of what is asked for, or (j = -1) a digest of the whole."""
     for b in batches:
         out: list[list[np.ndarray]] = [[] for _ in range(6)]
         asked = b.column(1).to_pylist()
@@ -221,85 +260,27 @@ def _open(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             start, end = word_bounds(data)
             for a in asks:
                 s, e = start[a["pos"]], end[a["pos"] + a["n"] - 2 + WINDOW]
-                lo, hi = a["pos"], a["pos"] + a["n"] - 1 + WINDOW
-                h = word_hashes(data[s:e], start[lo:hi] - s, end[lo:hi] - s)
-                w1, w2 = window_hashes(h, 0, a["n"])
-                one = np.ones(a["n"], dtype=np.int64)
-                for o, x in zip(out, (one * a["c1"], one * a["c2"], one * a["src"], np.arange(a["n"], dtype=np.int32), w1.view(np.int64), w2.view(np.int64))):
+                if a["whole"]:
+                    d = digest(data[s:e].tobytes().split())
+                    row = [np.array([x]) for x in (a["c1"], a["c2"], a["src"], -1, *d)]
+                    row[3] = row[3].astype(np.int32)
+                else:
+                    lo, hi = a["pos"], a["pos"] + a["n"] - 1 + WINDOW
+                    w = fixed_spans(word_hashes(data[s:e], start[lo:hi] - s, end[lo:hi] - s, 2), WINDOW).view(np.int64)
+                    one = np.ones(a["n"], dtype=np.int64)
+                    row = [one * a["c1"], one * a["c2"], one * a["src"], np.arange(a["n"], dtype=np.int32), w[0], w[1]]
+                for o, x in zip(out, row):
                     o.append(x)
         if out[0]:
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(o)) for o in out], names=["c1", "c2", "src", "j", "w1", "w2"])
 
 
-def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(doc_id, th, spans array<struct<start, end, src>>)``: word spans whose windows also start in a smaller document.
-
-    ``th`` is the hash of the text: the pair names the row.  ``src`` is a document the span's windows start in.
-    """
-    d = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("th"), F.col(text_col).cast("string").alias("text"))
-    d = d.filter("doc_id is not null and text is not null")
-    scan = write(d.mapInArrow(_scan, _SCAN), "pieces")
-    mz = scan.df.groupBy("mz").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo < hi")
-    often = write(mz.select("mz"), "minimizers")
-    rep = write(scan.df.join(often.df, "mz", "left_semi"), "repeats")
-    scan.drop()
-    often.drop()
-    occ = rep.df
-    node = ["c1", "c2"]
-    # nodes: equal pieces; source coordinate = any row of the smallest document
-    nodes = occ.groupBy(*node, "mz", "n").agg(
-        F.min("doc_id").alias("src"), F.max("doc_id").alias("top"), F.min_by(F.struct("th", "pos"), "doc_id").alias("at")
-    )
-    nodes = write(nodes, "nodes").df
-    shared = nodes.groupBy("mz").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").select("mz")
-    asks = nodes.join(write(shared, "shared").df, "mz", "left_semi")
-    asks = asks.groupBy(F.col("src").alias("doc_id"), F.col("at.th").alias("th")).agg(
-        F.collect_list(F.struct(F.col("at.pos").alias("pos"), "n", "c1", "c2", "src")).alias("asks")
-    )
-    # what is asked grows with the corpus: a merge join at every size, so that cost stays in proportion
-    asked = d.join(write(asks, "asks").df.hint("merge"), ["doc_id", "th"]).select("text", "asks")
-    win = write(asked.mapInArrow(_open, _OPEN).distinct(), "windows").df
-    low = write(win.groupBy("w1", "w2").agg(F.min("src").alias("low"), F.max("src").alias("high")).filter("low < high"), "low").df
-    opened = win.join(low, ["w1", "w2"]).filter("low < src").groupBy(*node)
-    opened = opened.agg(F.collect_list(F.struct(F.col("j").alias("a"), F.col("j").alias("b"), F.col("low").alias("src"))).alias("more"))
-    whole = F.struct(F.lit(0).alias("a"), (F.col("n") - 1).alias("b"), "src")
-    none = F.array().cast("array<struct<a:int,b:int,src:bigint>>")
-    cover = nodes.join(opened, node, "left").select(
-        *node, F.concat(F.when(F.col("src") < F.col("top"), F.array(whole)).otherwise(none), F.coalesce("more", none)).alias("cover")
-    )
-    cover = write(cover.filter(F.size("cover") > 0), "cover").df
-    glued, path = _glue(occ)
-    before = F.filter("cover", lambda x: x["src"] < F.col("doc_id"))
-    hit = path.join(cover, node).withColumn("cover", before).filter(F.size("cover") > 0)
-    hit = hit.join(glued, (F.col("pv") == F.col("g1")) & (F.col("c1") == F.col("g2")), "left")
-    # a piece that is covered as a whole is one span, else each covered window is one
-    full = F.exists("cover", lambda x: (x["a"] == 0) & (x["b"] == F.col("n") - 1))
-    one = F.struct(F.lit(0).alias("a"), (F.col("n") - 1).alias("b"), F.array_min(F.transform("cover", lambda x: x["src"])).alias("src"))
-    # a glued edge joins two pieces of a row only if the row's piece before is covered as a whole too
-    row = W.partitionBy("doc_id", "th").orderBy("pos")
-    beside = F.lag("full", 1, False).over(row) & (F.lag("pos").over(row) + F.lag("n").over(row) == F.col("pos"))
-    hit = hit.withColumn("full", full).withColumn("joined", F.col("full") & F.col("g1").isNotNull() & beside)
-    spans = hit.select("doc_id", "th", "pos", "joined", F.explode(F.when(F.col("full"), F.array(one)).otherwise(F.col("cover"))).alias("s"))
-    spans = spans.select("doc_id", "th", "joined", (F.col("pos") + F.col("s.a")).alias("start"), (F.col("pos") + F.col("s.b") + WINDOW).alias("end"), F.col("s.src").alias("src"))
-    # glued or overlapping spans of a row become one
-    line = W.partitionBy("doc_id", "th").orderBy("start", "end")
-    past = F.max("end").over(line.rowsBetween(W.unboundedPreceding, -1))
-    spans = spans.withColumn("fresh", F.when(F.col("joined") | (F.col("start") <= past), 0).otherwise(1))
-    spans = spans.withColumn("g", F.sum("fresh").over(line.rowsBetween(W.unboundedPreceding, 0)))
-    merged = spans.groupBy("doc_id", "th", "g").agg(F.min("start").alias("start"), F.max("end").alias("end"), F.min("src").alias("src"))
-    return merged.groupBy("doc_id", "th").agg(F.sort_array(F.collect_list(F.struct("start", "end", "src"))).alias("spans"))
-
-
-def _glue(occ: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Edges ``(g1, g2)`` inside nonbranching paths of repeated pieces, and the pieces with their predecessor.
+def glued_edges(path: DataFrame) -> DataFrame:
+    """Edges ``(g1, g2)`` of ``path(c1, nx, pv)`` inside nonbranching paths.
 
     An edge is nonbranching when every row of its tail is followed by its head and every
     row of its head is preceded by its tail.
     """
-    line = W.partitionBy("doc_id", "th").orderBy("pos")
-    after = F.when(F.lead("pos").over(line) == F.col("pos") + F.col("n"), F.lead("c1").over(line))
-    ahead = F.when(F.lag("pos").over(line) + F.lag("n").over(line) == F.col("pos"), F.lag("c1").over(line))
-    path = write(occ.select("doc_id", "th", "pos", "n", "c1", "c2", after.alias("nx"), ahead.alias("pv")), "path").df
 
     def only(c: str):
         return F.when((F.count(c) == F.count(F.lit(1))) & (F.min(c) == F.max(c)), F.min(c))
@@ -307,7 +288,85 @@ def _glue(occ: DataFrame) -> tuple[DataFrame, DataFrame]:
     deg = write(path.groupBy("c1").agg(only("nx").alias("nx"), only("pv").alias("pv")), "degree").df
     tails = deg.filter("nx is not null").select(F.col("c1").alias("g1"), F.col("nx").alias("g2"))
     heads = deg.filter("pv is not null").select(F.col("pv").alias("g1"), F.col("c1").alias("g2"))
-    return write(tails.join(heads, ["g1", "g2"]), "glued").df, path
+    return write(tails.join(heads, ["g1", "g2"]), "glued").df
+
+
+def compacted(occ: DataFrame) -> DataFrame:
+    """``doc_id, th, pos, n, pieces, u1, u2``: the nonbranching paths of each row, ``n`` windows from word ``pos``.
+
+    ``occ(doc_id, th, pos, n, c1, c2)`` are pieces; ``(u1, u2)`` names equal paths.
+    """
+    line = W.partitionBy("doc_id", "th").orderBy("pos")
+    # repeated rows of an id and text are one row here
+    once = occ.withColumn("was", F.lag("pos").over(line)).filter("was is null or was <> pos").drop("was")
+    after = F.when(F.lead("pos").over(line) == F.col("pos") + F.col("n"), F.lead("c1").over(line))
+    ahead = F.when(F.lag("pos").over(line) + F.lag("n").over(line) == F.col("pos"), F.lag("c1").over(line))
+    path = write(once.select("doc_id", "th", "pos", "n", "c1", "c2", after.alias("nx"), ahead.alias("pv")), "path").df
+    edges = glued_edges(path).withColumn("glued", F.lit(True))
+    # rows without a predecessor get a key of their own, so they don't meet in one partition
+    before = F.coalesce("pv", F.xxhash64("doc_id", "th", "pos"))
+    p = path.withColumn("before", before).join(edges, (F.col("before") == F.col("g1")) & (F.col("c1") == F.col("g2")), "left")
+    p = p.select("doc_id", "th", "pos", "n", "c1", "c2", (F.col("glued").isNotNull() & F.col("pv").isNotNull()).alias("glued"))
+    p = p.withColumn("start", F.last(F.when(~F.col("glued"), F.col("pos")), ignorenulls=True).over(line.rowsBetween(W.unboundedPreceding, 0)))
+    inside = F.xxhash64("c1", "c2", F.col("pos") - F.col("start"))
+    other = F.xxhash64("c2", F.col("pos") - F.col("start"), "c1")
+    runs = p.groupBy("doc_id", "th", "start").agg(
+        F.sum("n").cast("int").alias("n"), F.count(F.lit(1)).alias("pieces"), F.bit_xor(inside).alias("x"), F.bit_xor(other).alias("y")
+    )
+    return runs.select("doc_id", "th", F.col("start").alias("pos"), "n", "pieces", F.xxhash64("x", "n").alias("u1"), F.xxhash64("n", "y").alias("u2"))
+
+
+def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(doc_id, th, spans array<struct<start, end, src, w1, w2>>)``: word spans whose windows also start in a smaller document.
+
+    ``th`` is the hash of the text: the pair names the row.  ``src`` is a document that the span's windows start in;
+    ``w1, w2`` are the digest of the words at the source, null for spans of single windows.
+    """
+    d = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("th"), F.col(text_col).cast("string").alias("text"))
+    d = d.filter("doc_id is not null and text is not null")
+    with scope() as held:
+        scan = write(d.mapInArrow(_scan, _SCAN), "pieces")
+        mz = scan.df.groupBy("mz").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).filter("lo < hi")
+        often = write(mz.select("mz"), "minimizers")
+        rep = write(scan.df.join(often.df, "mz", "left_semi"), "repeats")
+        scan.drop()
+        often.drop()
+        occ = rep.df
+        with scope() as kept:
+            runs = kept(write(compacted(occ), "paths")).df
+        # equal paths; source coordinate = any row of the smallest document
+        first = [F.min("doc_id").alias("src"), F.max("doc_id").alias("top")]
+        paths = runs.groupBy("u1", "u2", "n").agg(*first, F.min_by(F.struct("th", "pos"), "doc_id").alias("at")).filter("src < top")
+        paths = write(paths, "sources").df
+        # distinct pieces that share a minimizer
+        nodes = write(occ.groupBy("c1", "c2", "mz", "n").agg(F.min("doc_id").alias("src"), F.min_by(F.struct("th", "pos"), "doc_id").alias("at")), "nodes").df
+        shared = write(nodes.groupBy("mz").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").select("mz"), "shared").df
+        ask = lambda t, a, b, whole: t.select("src", "at.th", F.struct(F.col("at.pos").alias("pos"), "n", F.col(a).alias("c1"), F.col(b).alias("c2"), "src", F.lit(whole).alias("whole")).alias("ask"))
+        asks = ask(nodes.join(shared, "mz", "left_semi"), "c1", "c2", False).unionByName(ask(paths, "u1", "u2", True))
+        asks = asks.groupBy(F.col("src").alias("doc_id"), "th").agg(F.collect_list("ask").alias("asks"))
+        # what is asked grows with the corpus: a merge join at every size, so that cost stays in proportion
+        asked = d.join(write(asks, "asks").df.hint("merge"), ["doc_id", "th"]).select("text", "asks")
+        seen = write(asked.mapInArrow(_open, _OPEN).distinct(), "windows").df
+        # paths: every row beyond the smallest document is covered
+        proof = seen.filter("j < 0").select(F.col("c1").alias("u1"), F.col("c2").alias("u2"), "src", "w1", "w2")
+        whole = runs.join(proof, ["u1", "u2"]).filter("src < doc_id")
+        whole = whole.select("doc_id", "th", F.col("pos").alias("start"), (F.col("pos") + F.col("n") - 1 + WINDOW).alias("end"), "src", "w1", "w2")
+        # windows that another piece holds in a smaller document count in the smallest document of their own piece
+        win = seen.filter("j >= 0")
+        low = write(win.groupBy("w1", "w2").agg(F.min("src").alias("low"), F.max("src").alias("high")).filter("low < high"), "low").df
+        opened = win.join(low, ["w1", "w2"]).filter("low < src").groupBy("c1", "c2", F.col("src").alias("doc_id"))
+        opened = write(opened.agg(F.collect_list(F.struct("j", "low")).alias("more")), "opened").df
+        parts = occ.join(opened, ["c1", "c2", "doc_id"]).select("doc_id", "th", "pos", F.explode("more").alias("m"))
+        parts = parts.select("doc_id", "th", (F.col("pos") + F.col("m.j")).alias("start"), (F.col("pos") + F.col("m.j") + WINDOW).alias("end"), F.col("m.low").alias("src"))
+        line = W.partitionBy("doc_id", "th").orderBy("start", "end")
+        past = F.max("end").over(line.rowsBetween(W.unboundedPreceding, -1))
+        parts = parts.withColumn("fresh", F.when(F.col("start") <= past, 0).otherwise(1))
+        parts = parts.withColumn("g", F.sum("fresh").over(line.rowsBetween(W.unboundedPreceding, 0)))
+        merged = parts.groupBy("doc_id", "th", "g").agg(F.min("start").alias("start"), F.max("end").alias("end"), F.min("src").alias("src")).drop("g")
+        none = F.lit(None).cast("long")
+        spans = whole.unionByName(merged.withColumns({"w1": none, "w2": none}))
+        spans = spans.groupBy("doc_id", "th").agg(F.sort_array(F.collect_list(F.struct("start", "end", "src", "w1", "w2"))).alias("spans"))
+        return held(write(spans, "spans")).df
 
 
 _KEPT = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string"
@@ -321,6 +380,9 @@ def _keep(with_text: bool):
                 words = (text or "").encode().split()
                 kept, at = [], 0
                 for s in spans or ():
+                    # a path is removed if its words are those at the source
+                    if s["w1"] is not None and digest(words[s["start"] : s["end"]]) != (s["w1"], s["w2"]):
+                        continue
                     kept += words[at : s["start"]]
                     at = max(at, s["end"])
                 kept += words[at:]
@@ -335,7 +397,7 @@ def _keep(with_text: bool):
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", with_text: bool = True) -> DataFrame:
     """``(doc_id, n_words, n_removed, kept_sha256, kept)``, one row per input row; ``kept`` is null without ``with_text``."""
-    spans = write(repeated_spans(docs, id_col, text_col), "spans").df
+    spans = repeated_spans(docs, id_col, text_col)
     d = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.xxhash64(text_col).alias("th"))
     return d.join(spans.hint("merge"), ["doc_id", "th"], "left").select("doc_id", "text", "spans").mapInArrow(_keep(with_text), _KEPT)
 
