@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from canopy.components.fallback import star_components
 from canopy.store import write
 
 
@@ -133,9 +134,98 @@ def bucket_links(items: DataFrame, linked_of: Callable[[list[np.ndarray]], np.nd
 
     ``items(sid, mult, leaves, payload)``; ``linked_of`` gives the symmetric link matrix of payloads.
     """
-    r = items.select("sid", "mult", "payload", F.transform("leaves", lambda x: x["bucket"]).alias("leaves"), F.explode("leaves").alias("l"))
+    named = items.select("sid", "mult", "payload", "leaves", F.transform("leaves", lambda x: x["bucket"]).alias("names"))
+    r = blocks_of(named, limit, "mult", "payload", "names").drop("split").withColumnRenamed("names", "leaves")
+    key = ["bucket", "bx", "by"]
+    return r.repartition(*key).sortWithinPartitions(*key).mapInArrow(_compare(linked_of), _LINKS)
+
+
+_GROUPS = "bucket long, split boolean, sid long, root long"
+
+
+def _candidates(alike: Callable[[np.ndarray, np.ndarray], np.ndarray]):
+    def groups(t: pa.Table) -> pa.RecordBatch | None:
+        bucket, sid, block = (t.column(c).to_numpy() for c in ("bucket", "sid", "block"))
+        bx, by = t.column("bx").to_numpy(), t.column("by").to_numpy()
+        width = len(t.column("payload")[0])
+        data = np.concatenate(lists(t.column("payload"))).reshape(-1, width)
+        key = np.zeros(len(sid), dtype=np.int64)
+        key[1:] = np.cumsum((bucket[1:] != bucket[:-1]) | (bx[1:] != bx[:-1]) | (by[1:] != by[:-1]))
+        pairs = []
+        for k in range(1, len(sid)):
+            one = np.flatnonzero(key[k:] == key[:-k])
+            if not len(one):
+                break
+            one = one[(bx[one] == by[one]) | (block[one] != block[one + k])]
+            one = one[alike(data[one], data[one + k])]
+            if len(one):
+                pairs.append(np.stack([one, one + k]))
+        if not pairs:
+            return None
+        a, b = np.concatenate(pairs, axis=1)
+        label = np.arange(len(sid))
+        while True:
+            low = np.minimum(label[a], label[b])
+            new = label.copy()
+            np.minimum.at(new, a, low)
+            np.minimum.at(new, b, low)
+            new = new[new]
+            if (new == label).all():
+                break
+            label = new
+        some = np.unique(np.concatenate([a, b]))
+        # every group names a block pair: blocks of a bucket are joined up afterwards
+        columns = [bucket[some], t.column("split").to_numpy(zero_copy_only=False)[some], sid[some], sid[label[some]]]
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["bucket", "split", "sid", "root"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
+        for b in batches:
+            if not b.num_rows:
+                continue
+            t = pa.Table.from_batches([b])
+            t = t if held is None else pa.concat_tables([held, t]).combine_chunks()
+            # the last group may go on in the next batch
+            last = np.ones(t.num_rows, dtype=bool)
+            for c in ("bucket", "bx", "by"):
+                x = t.column(c).to_numpy()
+                last &= x == x[-1]
+            stop = int(np.flatnonzero(~last)[-1]) + 1 if not last.all() else 0
+            held = t.slice(stop)
+            if stop:
+                got = groups(t.slice(0, stop).combine_chunks())
+                if got is not None:
+                    yield got
+        if held is not None and held.num_rows:
+            got = groups(held.combine_chunks())
+            if got is not None:
+                yield got
+
+    return run
+
+
+def blocks_of(items: DataFrame, limit: int, *carry: str) -> DataFrame:
+    """A row for each member, bucket and block pair that it takes part in."""
+    r = items.select("sid", *carry, F.explode("leaves").alias("l"))
     r = r.withColumn("k", F.ceil(F.col("l.n") / limit).cast("int")).withColumn("block", F.pmod(F.xxhash64("sid"), F.col("k")).cast("int"))
     r = r.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
-    r = r.select("sid", "mult", "leaves", "payload", "block", F.col("l.bucket").alias("bucket"), F.least("block", "other").alias("bx"), F.greatest("block", "other").alias("by"))
+    return r.select("sid", *carry, "block", (F.col("k") > 1).alias("split"), F.col("l.bucket").alias("bucket"), F.least("block", "other").alias("bx"), F.greatest("block", "other").alias("by"))
+
+
+def candidate_groups(items: DataFrame, alike: Callable[[np.ndarray, np.ndarray], np.ndarray], limit: int) -> DataFrame:
+    """``(bucket, sid)``: buckets cut down to groups of members joined by pairs that may be linked.
+
+    ``items(sid, leaves, payload array<int>)`` with payloads of one width; ``alike`` compares
+    rows of two tables of them.  Groups of a bucket that is dealt in blocks are joined over its blocks.
+    """
     key = ["bucket", "bx", "by"]
-    return r.repartition(*key).sortWithinPartitions(*key).mapInArrow(_compare(linked_of), _LINKS)
+    r = blocks_of(items, limit, "payload").repartition(*key).sortWithinPartitions(*key)
+    got = write(r.mapInArrow(_candidates(alike), _GROUPS), "candidates").df
+    plain = got.filter("not split").select(F.xxhash64("bucket", "root").alias("bucket"), "sid")
+    split = got.filter("split")
+    if split.isEmpty():
+        return plain
+    named = split.select(F.xxhash64("bucket", "sid").alias("a"), F.xxhash64("bucket", "root").alias("b"), "sid")
+    comp = star_components(named, "a", "b").withColumnRenamed("id", "a")
+    whole = named.select("a", "sid").distinct().join(comp, "a").select(F.col("component").alias("bucket"), "sid")
+    return plain.unionByName(whole)

@@ -5,20 +5,25 @@
 * Paths.  A set is embedded as ``COORDS`` min-hashes.  A run starts at the root; each
   node of a path picks coordinates by a hash of the path, and a set goes to the child
   (path, coordinate, its own min-hash): sets that agree on the sampled token go down
-  together.  At the root ``RUNS`` runs of two coordinates are taken; small buckets are
+  together.  A run takes ``PER_RUN`` coordinates at the root; small buckets are
   compared at once.  A bucket over ``LIMIT`` sets is split by ``FAN`` coordinates that its
   path has not used, to depth ``DEPTH``, unless the children would cost as many
   comparisons as the bucket itself (a family of near copies): then, and at the last
   depth, it is compared block by block, exactly.
-* Misses.  A pair at similarity 0.8 whose buckets are never split is missed with
-  probability 0.2^12 (4e-9).  A split can lose a pair that met in the bucket, so this
-  does not hold for pairs all of whose buckets are split; the README has the rate
-  simulated for pairs whose buckets are split on every level.
-* Check.  In the buckets all pairs are compared on full shingle sets in integers
-  (5 i >= 4 u); each pair is counted in one bucket, pairs are never emitted.
+* Recall.  ``RUNS`` runs are made, and more of them, up to all coordinates, until the
+  recall measured on probes reaches ``TARGET``.  A probe is the signature of a sampled set
+  (``PROBES`` on average, whatever the size of the corpus) and one of a partner at
+  similarity 0.8: each min-hash kept with that probability.  Probes go down the same
+  paths and through the same splits as the sets, and are in no result.
+* Sketches.  Members of a bucket are compared on their min-hashes first; a pair goes on
+  if its sizes allow the similarity and ``AGREE`` min-hashes are equal (a pair at 0.8 has
+  fewer with probability 1e-7).  Buckets fall apart into connected groups of such pairs,
+  groups with the same members become one.
+* Check.  In the groups all pairs are compared on full shingle sets in integers
+  (5 i >= 4 u); each pair is counted in one group, pairs are never emitted.
 
-Only sets with a partner are read a second time.  Hot groups: memberships are aggregated with
-a partial phase; buckets are dealt by block pairs.
+Texts move once, and full shingle sets only for members of groups.  Hot groups: memberships are
+aggregated with a partial phase; buckets and groups are dealt by block pairs.
 
 Defined results: null text and texts without words have no links; null ids have none either
 (their class is null); repeated rows are copies of each other; an empty table gives an
@@ -35,14 +40,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.components.fallback import star_components
-from canopy.llm.links import bucket_links, memberships
-from canopy.llm.substring_dedup import _WORD_BASE_1, Prefix, _bytes, _mix, word_bounds, word_hashes
-from canopy.store import write
+from canopy.llm.links import bucket_links, candidate_groups, memberships
+from canopy.llm.substring_dedup import _WORD_BASE, Prefix, _bytes, _mix, word_bounds, word_hashes
+from canopy.store import scope, write
 
 N = 5
 NUM, DEN = 4, 5  # similarity 0.8 as a fraction
 COORDS, RUNS, PER_RUN = 24, 6, 2
 LIMIT, DEPTH, FAN = 256, 3, 3
+AGREE = 8
+PROBES, TARGET = 512, 0.999
 #: Cells of the incidence matrix that are multiplied at once.
 CELLS = 8_000_000
 
@@ -56,7 +63,7 @@ def shingles(data: np.ndarray) -> np.ndarray:
         return np.zeros(0, dtype=np.uint64)
     h = word_hashes(data, start, end)
     i = np.arange(max(1, len(h) - N + 1))
-    return np.unique(Prefix(h, _WORD_BASE_1).span(i, np.minimum(i + N, len(h))))
+    return np.unique(Prefix(h, _WORD_BASE).span(i, np.minimum(i + N, len(h))))
 
 
 def min_hashes(s: np.ndarray) -> np.ndarray:
@@ -82,8 +89,14 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _payload(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        s = [shingles(d).view(np.int64) for d in _bytes(b.column(1))]
-        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(s, pa.list_(pa.int64()))], names=["sid", "payload"])
+        s = [shingles(d).view(np.int64) for d in _bytes(b.column(3))]
+        yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(s, pa.list_(pa.int64()))], names=["sid", "mult", "leaves", "payload"])
+
+
+def alike(one: np.ndarray, two: np.ndarray) -> np.ndarray:
+    """Which rows (size, min-hashes) of two tables may be similar."""
+    size = np.minimum(one[:, 0], two[:, 0]) * DEN >= np.maximum(one[:, 0], two[:, 0]) * NUM
+    return size & ((one[:, 1:] == two[:, 1:]).sum(axis=1) >= AGREE)
 
 
 def similar(sets: list[np.ndarray]) -> np.ndarray:
@@ -109,9 +122,9 @@ def similar(sets: list[np.ndarray]) -> np.ndarray:
     return DEN * common >= NUM * (size[:, None] + size[None, :] - common)
 
 
-def paths(sets: DataFrame) -> DataFrame:
-    """``(bucket, sid)`` of ``sets(sid, sig)``: the leaves of the chosen paths."""
-    roots = [F.struct(F.xxhash64(F.lit(r), F.lit("root")).alias("p"), F.lit((r * PER_RUN + j) % COORDS).alias("c")) for r in range(RUNS) for j in range(PER_RUN)]
+def paths(sets: DataFrame, first: int = 0, runs: int = RUNS) -> DataFrame:
+    """``(bucket, sid)`` of ``sets(sid, sig)``: the leaves of the chosen paths of ``runs`` runs."""
+    roots = [F.struct(F.xxhash64(F.lit(r), F.lit("root")).alias("p"), F.lit((r * PER_RUN + j) % COORDS).alias("c")) for r in range(first, first + runs) for j in range(PER_RUN)]
     now = sets.select("sid", F.explode(F.array(*roots)).alias("x"), "sig")
     now = now.select("sid", F.xxhash64("x.p", "x.c", F.get("sig", F.col("x.c"))).alias("bucket"), F.expr("shiftleft(1L, x.c)").alias("used"))
     # the coordinates that the path has not used, in an order of its own
@@ -133,10 +146,10 @@ def paths(sets: DataFrame) -> DataFrame:
         over = write(over, "children").df
         # a bucket whose children cost no fewer comparisons is compared as it is
         cost = over.groupBy("parent", "bucket").agg(F.count(F.lit(1)).cast("double").alias("m")).groupBy("parent").agg(F.sum(F.col("m") * F.col("m")).alias("cost"))
-        alike = big.join(cost, F.col("bucket") == F.col("parent")).filter(F.col("cost") >= F.col("n").cast("double") * F.col("n")).select("bucket")
-        alike = write(alike, "alike").df
-        done.append(now.join(alike, "bucket", "left_semi").select("sid", "bucket"))
-        now = over.join(alike.withColumnRenamed("bucket", "parent"), "parent", "left_anti").select("sid", "bucket", "used")
+        whole = big.join(cost, F.col("bucket") == F.col("parent")).filter(F.col("cost") >= F.col("n").cast("double") * F.col("n")).select("bucket")
+        whole = write(whole, "whole").df
+        done.append(now.join(whole, "bucket", "left_semi").select("sid", "bucket"))
+        now = over.join(whole.withColumnRenamed("bucket", "parent"), "parent", "left_anti").select("sid", "bucket", "used")
     else:
         done.append(now.select("sid", "bucket"))
     out = done[0]
@@ -145,6 +158,37 @@ def paths(sets: DataFrame) -> DataFrame:
     return out.distinct()
 
 
+def probes(items: DataFrame, n: int) -> DataFrame:
+    """``sid, sig, pair, side`` of ``items(sid, sig)``: about ``PROBES`` sampled signatures and their partners at the similarity."""
+    some = items.filter(F.pmod(F.xxhash64(F.lit("probe"), "sid"), F.lit(max(1, n // PROBES))) == 0)
+    other = F.transform(
+        "sig", lambda x, j: F.when(F.pmod(F.xxhash64(F.lit("kept"), "sid", j), F.lit(DEN)) < NUM, x).otherwise(F.xxhash64(F.lit("new"), "sid", j))
+    )
+    sides = F.array(F.struct(F.lit(0).alias("side"), F.col("sig")), F.struct(F.lit(1).alias("side"), other.alias("sig")))
+    some = some.select(F.col("sid").alias("pair"), F.explode(sides).alias("x"))
+    return some.select(F.xxhash64(F.lit("probe"), "pair", "x.side").alias("sid"), "x.sig", "pair", "x.side")
+
+
+def chosen_leaves(items: DataFrame, target: float = TARGET) -> tuple[DataFrame, float, int]:
+    """``(bucket, sid)`` of ``items(sid, sig)``, the recall measured on probes, and the number of runs."""
+    n = items.count()
+    tests = write(probes(items, n), "probes").df
+    total = tests.count() // 2
+    both = items.select("sid", "sig").unionByName(tests.select("sid", "sig"))
+    leaves, runs, recall = None, 0, 1.0
+    while runs * PER_RUN < COORDS:
+        more = RUNS if not runs else min(2, COORDS // PER_RUN - runs)
+        got = write(paths(both, runs, more), "leaves").df
+        leaves, runs = got if leaves is None else leaves.unionByName(got), runs + more
+        if not total:
+            break
+        met = leaves.join(tests.select("sid", "pair", "side"), "sid").groupBy("pair", "bucket").agg(F.count_distinct("side").alias("k"))
+        recall = met.filter("k = 2").agg(F.count_distinct("pair")).first()[0] / total
+        if recall >= target:
+            break
+    return leaves.join(tests.select("sid"), "sid", "left_anti"), recall, runs
+
+
 def similarity_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, th, class_id, n_links, class_size``: a row per document; ``th`` is the hash of the text.
 
@@ -152,37 +196,49 @@ def similarity_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     number of other documents at the similarity or above.
     """
     d = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(text_col).cast("string")).alias("th"), F.col(text_col).cast("string").alias("text"))
-    scan = write(d.mapInArrow(_sets, "doc_id long, th long, sid long, size int, sig array<long>"), "sets").df
-    known = scan.filter("sid is not null and doc_id is not null")
-    # the rows of an item are alike in shingles, so any signature will do
-    items = known.groupBy("sid").agg(F.count(F.lit(1)).alias("mult"), F.min("doc_id").alias("low"), F.min_by("th", "doc_id").alias("th"), F.first("sig").alias("sig"))
-    items = write(items, "items").df
-    leaves = write(memberships(paths(items.select("sid", "sig"))), "leaves").df
-    wanted = items.join(leaves.select("sid"), "sid", "left_semi").select("sid", F.col("low").alias("doc_id"), "th")
-    wanted = write(wanted, "wanted").df
-    text = d.join(wanted.hint("merge"), ["doc_id", "th"]).select("sid", "text")
-    payload = write(text.mapInArrow(_payload, "sid long, payload array<long>").dropDuplicates(["sid"]), "shingles").df
-    members = payload.join(leaves, "sid").join(items.select("sid", "mult"), "sid")
-    found = write(bucket_links(members, similar, LIMIT), "links").df
-    comp = write(star_components(found, "sid", "root").withColumnRenamed("id", "sid"), "components").df
-    comp = write(items.select("sid", "low", "mult").join(comp, "sid"), "components").df
-    low = comp.groupBy("component").agg(F.min("low").alias("class_id"), F.sum("mult").alias("class_size"))
-    links = found.groupBy("sid").agg(F.sum("links").alias("links"))
-    per = comp.join(low, "component").join(links, "sid").select("sid", "class_id", "class_size", "links")
-    per = items.select("sid", "low", "mult").join(per, "sid", "left")
-    per = per.select("sid", F.coalesce("class_id", "low").alias("c"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n"), F.coalesce("class_size", "mult").alias("s"))
-    per = write(per, "classes").df
-    # rows without a set get a key of their own kind, so they don't meet in one partition
-    keyed = scan.select("doc_id", "th", F.when(F.col("doc_id").isNotNull(), F.col("sid")).alias("own"), F.coalesce("sid", F.xxhash64("doc_id")).alias("k"))
-    j = keyed.join(per.withColumnRenamed("sid", "k"), "k", "left")
-    linked = F.col("own").isNotNull()
-    return j.select(
-        "doc_id",
-        "th",
-        F.when(linked, F.col("c")).otherwise(F.col("doc_id")).alias("class_id"),
-        F.when(linked, F.col("n")).otherwise(F.lit(0)).cast("long").alias("n_links"),
-        F.when(linked, F.col("s")).otherwise(F.lit(1)).cast("long").alias("class_size"),
-    )
+    with scope() as held:
+        scan = write(d.mapInArrow(_sets, "doc_id long, th long, sid long, size int, sig array<long>"), "sets")
+        known = scan.df.filter("sid is not null and doc_id is not null")
+        # the rows of an item are alike in shingles, so any signature will do
+        items = known.groupBy("sid").agg(F.count(F.lit(1)).alias("mult"), F.min("doc_id").alias("low"), F.min_by("th", "doc_id").alias("th"), F.first("size").alias("size"), F.first("sig").alias("sig"))
+        items = write(items, "items")
+        with scope() as kept:
+            leaves = write(memberships(chosen_leaves(items.df.select("sid", "sig"))[0]), "leaves")
+            kept(leaves)
+        sketch = F.concat(F.array("size"), F.transform("sig", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")))
+        members = leaves.df.join(items.df.select("sid", sketch.alias("payload")), "sid")
+        groups = write(memberships(candidate_groups(members, alike, LIMIT)), "groups")
+        leaves.drop()
+        wanted = groups.df.join(items.df.select("sid", "mult", F.col("low").alias("doc_id"), "th"), "sid")
+        wanted = write(wanted, "wanted")
+        groups.drop()
+        # the one pass in which texts move: repeated rows of an id and text meet in it
+        text = d.join(wanted.df.hint("merge"), ["doc_id", "th"]).dropDuplicates(["doc_id", "th"]).select("sid", "mult", "leaves", "text")
+        payload = text.mapInArrow(_payload, "sid long, mult long, leaves array<struct<bucket: long, n: long>>, payload array<long>")
+        found = write(bucket_links(payload, similar, LIMIT), "links")
+        wanted.drop()
+        comp = star_components(found.df, "sid", "root").withColumnRenamed("id", "sid")
+        comp = write(items.df.select("sid", "low", "mult").join(comp, "sid"), "components").df
+        low = comp.groupBy("component").agg(F.min("low").alias("class_id"), F.sum("mult").alias("class_size"))
+        links = found.df.groupBy("sid").agg(F.sum("links").alias("links"))
+        per = comp.join(low, "component").join(links, "sid").select("sid", "class_id", "class_size", "links")
+        per = items.df.select("sid", "low", "mult").join(per, "sid", "left")
+        per = per.select("sid", F.coalesce("class_id", "low").alias("c"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n"), F.coalesce("class_size", "mult").alias("s"))
+        per = write(per, "classes")
+        # rows without a set get a key of their own kind, so they don't meet in one partition
+        keyed = scan.df.select("doc_id", "th", F.when(F.col("doc_id").isNotNull(), F.col("sid")).alias("own"), F.coalesce("sid", F.xxhash64("doc_id")).alias("k"))
+        j = keyed.join(per.df.withColumnRenamed("sid", "k"), "k", "left")
+        linked = F.col("own").isNotNull()
+        out = j.select(
+            "doc_id",
+            "th",
+            F.when(linked, F.col("c")).otherwise(F.col("doc_id")).alias("class_id"),
+            F.when(linked, F.col("n")).otherwise(F.lit(0)).cast("long").alias("n_links"),
+            F.when(linked, F.col("s")).otherwise(F.lit(1)).cast("long").alias("class_size"),
+        )
+        out = write(out, "joined")
+        held(out)
+    return out.df
 
 
 ORACLE = r"""
