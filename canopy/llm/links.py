@@ -216,7 +216,8 @@ def candidate_groups(items: DataFrame, alike: Callable[[np.ndarray, np.ndarray],
     """``(bucket, sid)``: buckets cut down to groups of members joined by pairs that may be linked.
 
     ``items(sid, leaves, payload array<int>)`` with payloads of one width; ``alike`` compares
-    rows of two tables of them.  Groups of a bucket that is dealt in blocks are joined over its blocks.
+    rows of two tables of them.  Members of buckets that are dealt in blocks are joined over all blocks and all
+    such buckets: a family that fills several of them is one group.
     """
     key = ["bucket", "bx", "by"]
     r = blocks_of(items, limit, "payload").repartition(*key).sortWithinPartitions(*key)
@@ -225,7 +226,5 @@ def candidate_groups(items: DataFrame, alike: Callable[[np.ndarray, np.ndarray],
     split = got.filter("split")
     if split.isEmpty():
         return plain
-    named = split.select(F.xxhash64("bucket", "sid").alias("a"), F.xxhash64("bucket", "root").alias("b"), "sid")
-    comp = star_components(named, "a", "b").withColumnRenamed("id", "a")
-    whole = named.select("a", "sid").distinct().join(comp, "a").select(F.col("component").alias("bucket"), "sid")
+    whole = star_components(split, "sid", "root").select(F.xxhash64(F.lit("whole"), "component").alias("bucket"), F.col("id").alias("sid"))
     return plain.unionByName(whole)
