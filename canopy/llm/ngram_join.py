@@ -49,6 +49,8 @@ NUM, DEN = 4, 5  # similarity 0.8 as a fraction
 COORDS, RUNS, PER_RUN = 24, 6, 2
 LIMIT, DEPTH, FAN = 256, 3, 3
 AGREE = 8
+#: Random signs for the estimate of what a split would save.
+SIGNS = 8
 PROBES, TARGET = 512, 0.999
 #: Cells of the incidence matrix that are multiplied at once.
 CELLS = 8_000_000
@@ -122,6 +124,17 @@ def similar(sets: list[np.ndarray]) -> np.ndarray:
     return DEN * common >= NUM * (size[:, None] + size[None, :] - common)
 
 
+def _signs() -> list:
+    """Sums of random signs of the values that ``next`` holds: ``SIGNS`` for each of the ``FAN`` coordinates."""
+    sign = lambda k, j: F.expr(f"1 - 2 * cast(getbit(xxhash64('sign', next[{k}].c, next[{k}].v), {j}) as int)")
+    return [F.sum(sign(k, j)).cast("double").alias(f"s{k}_{j}") for k in range(FAN) for j in range(SIGNS)]
+
+
+def _pairs_left() -> str:
+    """The comparisons of a bucket's children, estimated: a squared sum of random signs is the sum of squared sizes on average."""
+    return "(" + " + ".join(f"s{k}_{j} * s{k}_{j}" for k in range(FAN) for j in range(SIGNS)) + f") / {SIGNS}"
+
+
 def paths(sets: DataFrame, first: int = 0, runs: int = RUNS) -> DataFrame:
     """``(bucket, sid)`` of ``sets(sid, sig)``: the leaves of the chosen paths of ``runs`` runs."""
     roots = [F.struct(F.xxhash64(F.lit(r), F.lit("root")).alias("p"), F.lit((r * PER_RUN + j) % COORDS).alias("c")) for r in range(first, first + runs) for j in range(PER_RUN)]
@@ -141,15 +154,12 @@ def paths(sets: DataFrame, first: int = 0, runs: int = RUNS) -> DataFrame:
             break
         done.append(now.join(big, "bucket", "left_anti").select("sid", "bucket"))
         over = now.join(big, "bucket").join(sets.select("sid", "sig"), "sid")
-        over = over.select("sid", F.col("bucket").alias("parent"), "used", "sig", F.explode("picks").alias("c"))
-        over = over.select("sid", "parent", F.xxhash64("parent", "c", F.get("sig", F.col("c"))).alias("bucket"), F.expr("used | shiftleft(1L, c)").alias("used"))
-        over = write(over, "children").df
-        # a bucket whose children cost no fewer comparisons is compared as it is
-        cost = over.groupBy("parent", "bucket").agg(F.count(F.lit(1)).cast("double").alias("m")).groupBy("parent").agg(F.sum(F.col("m") * F.col("m")).alias("cost"))
-        whole = big.join(cost, F.col("bucket") == F.col("parent")).filter(F.col("cost") >= F.col("n").cast("double") * F.col("n")).select("bucket")
-        whole = write(whole, "whole").df
+        over = over.select("sid", "bucket", "used", F.transform("picks", lambda c: F.struct(c.alias("c"), F.get("sig", c).alias("v"))).alias("next"))
+        over = write(over, "over").df
+        whole = write(over.groupBy("bucket").agg(F.count(F.lit(1)).cast("double").alias("n"), *_signs()).filter(f"{_pairs_left()} >= n * n").select("bucket"), "whole").df
         done.append(now.join(whole, "bucket", "left_semi").select("sid", "bucket"))
-        now = over.join(whole.withColumnRenamed("bucket", "parent"), "parent", "left_anti").select("sid", "bucket", "used")
+        now = over.join(whole, "bucket", "left_anti").select("sid", F.col("bucket").alias("parent"), "used", F.explode("next").alias("x"))
+        now = now.select("sid", F.xxhash64("parent", "x.c", "x.v").alias("bucket"), F.expr("used | shiftleft(1L, x.c)").alias("used"))
     else:
         done.append(now.select("sid", "bucket"))
     out = done[0]
