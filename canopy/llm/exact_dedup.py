@@ -10,6 +10,8 @@ moves again: shuffles carry 24 bytes for about 400 characters.
 * Verified identifiers: a chunk has a 64-bit hash and an independent 128-bit
   digest.  The dictionary of distinct (hash, digest) pairs shows which hashes stand
   for two contents; a recipe that holds such a hash also carries its digests.
+* Groups: rows with equal identifier lists (and equal digests of doubtful chunks) are one group;
+  the hash of the whole text is an output and decides nothing.
 * Hot groups: copies meet in a hash aggregate with a partial phase; its result is
   written, and the join back is plain on both sides so that skewed partitions split.
 
@@ -24,7 +26,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from canopy.store import write
+from canopy.store import scope, write
 
 SPACES = r"[\x20\x09-\x0D]+"
 CUT_CLASSES = 64
@@ -54,12 +56,13 @@ def _chunk(words: Column, ends: Column):
 
 
 def recipes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(id, text_sha256, chunks array<struct<h long, v binary>>)``, one row per input row."""
-    norm = docs.select(F.col(id_col).alias("id"), normalised(F.col(text_col)).alias("t"))
+    """``(id, th, text_sha256, chunks array<struct<h long, v binary>>)``, one row per input row; ``th`` is the hash of the text as it is."""
+    th = F.xxhash64(F.col(text_col).cast("string")).alias("th")
+    norm = docs.select(F.col(id_col).alias("id"), th, normalised(F.col(text_col)).alias("t"))
     # each step is a projection of its own: a column used inside a lambda is then computed once
-    w = norm.select("id", F.sha2("t", 256).alias("text_sha256"), F.split("t", " ").alias("w"))
+    w = norm.select("id", "th", F.sha2("t", 256).alias("text_sha256"), F.split("t", " ").alias("w"))
     w = w.withColumn("ends", _ends(F.col("w")))
-    return w.select("id", "text_sha256", F.transform("ends", _chunk(F.col("w"), F.col("ends"))).alias("chunks"))
+    return w.select("id", "th", "text_sha256", F.transform("ends", _chunk(F.col("w"), F.col("ends"))).alias("chunks"))
 
 
 def chunk_dictionary(recipe: DataFrame) -> DataFrame:
@@ -68,36 +71,40 @@ def chunk_dictionary(recipe: DataFrame) -> DataFrame:
     return c.groupBy("h", "v").agg(F.count(F.lit(1)).alias("uses"))
 
 
-def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(id, keep_id, group_size, kept, text_sha256, n_chunks)``, one row per input row."""
-    r = write(recipes(docs, id_col, text_col), "recipes").df
-    twins = chunk_dictionary(r).groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
-    twins = write(twins, "twins").df
-    doubtful = (
-        r.select("text_sha256", F.posexplode("chunks").alias("pos", "c"))
-        .select("text_sha256", "pos", F.col("c.h").alias("h"), F.col("c.v").alias("v"))
-        .distinct()
-        .join(twins.select("h"), "h")
-        .groupBy("text_sha256")
-        .agg(F.sort_array(F.collect_list(F.struct("pos", "v"))).alias("vs"))
-        .select("text_sha256", F.concat_ws(",", F.transform("vs", lambda x: F.hex(x["v"]))).alias("proof"))
-    )
-    doubtful = write(doubtful, "doubtful").df
-    ids = F.transform("chunks", lambda c: c["h"]).alias("ids")
-    keyed = r.select("id", "text_sha256", ids).join(doubtful, "text_sha256", "left")
-    keyed = keyed.withColumn("proof", F.coalesce("proof", F.lit("")))
-    key = ["text_sha256", "ids", "proof"]
-    groups = write(
-        keyed.groupBy(*key).agg(F.min("id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")), "groups"
-    ).df
-    return keyed.join(groups, key).select(
-        "id",
-        "keep_id",
-        "group_size",
-        F.col("id").eqNullSafe(F.col("keep_id")).alias("kept"),
-        "text_sha256",
-        F.size("ids").cast("long").alias("n_chunks"),
-    )
+def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", recipe_of=recipes) -> DataFrame:
+    """``(id, th, keep_id, group_size, kept, text_sha256, n_chunks)``, one row per input row.
+
+    ``recipe_of(docs, id_col, text_col)`` makes the recipes that are compared.
+    """
+    with scope() as held:
+        r = write(recipe_of(docs, id_col, text_col), "recipes").df
+        twins = write(chunk_dictionary(r).groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "twins").df
+        # the digests of doubtful chunks, by text: only recipes with such chunks have a row
+        doubtful = (
+            r.select("text_sha256", F.posexplode("chunks").alias("pos", "c"))
+            .select("text_sha256", "pos", F.col("c.h").alias("h"), F.col("c.v").alias("v"))
+            .distinct()
+            .join(twins.select("h"), "h")
+            .groupBy("text_sha256")
+            .agg(F.sort_array(F.collect_list(F.struct("pos", "v"))).alias("vs"))
+            .select("text_sha256", F.concat_ws(",", F.transform("vs", lambda x: F.hex(x["v"]))).alias("proof"))
+        )
+        doubtful = write(doubtful, "doubtful").df
+        ids = F.transform("chunks", lambda c: c["h"]).alias("ids")
+        keyed = r.select("id", "th", "text_sha256", ids).join(doubtful, "text_sha256", "left")
+        keyed = keyed.withColumn("proof", F.coalesce("proof", F.lit("")))
+        key = ["ids", "proof"]
+        groups = keyed.groupBy(*key).agg(F.min("id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
+        out = keyed.join(write(groups, "groups").df, key).select(
+            "id",
+            "th",
+            "keep_id",
+            "group_size",
+            F.col("id").eqNullSafe(F.col("keep_id")).alias("kept"),
+            "text_sha256",
+            F.size("ids").cast("long").alias("n_chunks"),
+        )
+        return held(write(out, "copies")).df
 
 
 ORACLE = r"""
