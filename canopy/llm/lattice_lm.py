@@ -275,8 +275,3 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def query(spark, sf_dir: str) -> DataFrame:
     return score_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"))
-
-
-def inspect(pdf) -> None:
-    h = pdf[pdf.held_out]
-    print("held out per token: base", h.base_score.sum() / h.n_tokens.sum(), "score", h.score.sum() / h.n_tokens.sum(), "known", h.n_known.sum() / h.n_tokens.sum())

@@ -11,13 +11,15 @@
   documents, laid end to end and repeated.  Slot ranks and word positions are two-level
   prefix sums (sums of small buckets, then rows inside a bucket), so that a source
   with a third of all rows is never one window.
-* Blocks and slots are joined; a document's share is the overlap with its blocks.
+* Blocks and slots are joined; a document's share is the overlap with its blocks, its place in
+  the mixture the slots of these blocks.  The mixture is written in slot order.
 
 The schedule depends on ids, texts and weights only, so reruns agree.
 
 Defined results: null text has size 0 and is never taken; the null source is a source
-of its own, last in order; ids may be null or repeated (rows are told apart by their
-place in the stream); an empty table, or one without words, takes nothing.
+of its own, last in order; ids may be null or repeated; repeated rows (same id, text and source) lie side
+by side in stretches of ``COPIES`` rows, and in the mixture one of them stands for all; an
+empty table, or one without words, takes nothing.
 """
 
 from __future__ import annotations
@@ -28,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from canopy.store import write
+from canopy.store import scope, write
 
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (5, 2, 1)
@@ -36,6 +38,7 @@ MAX_EPOCHS = 3
 BLOCK = 256
 BUCKET_ROWS = 4096
 CHUNK = 1 << 15
+COPIES = 64
 
 
 def size_of(text: Column) -> Column:
@@ -105,15 +108,21 @@ def laid_out(docs: DataFrame, sources: DataFrame) -> DataFrame:
     """``docs(doc_id, th, source, size)`` with ``sid, start, source_size, target, words``: places in the source's shuffled stream."""
     n = docs.count()
     bits = max(0, math.ceil(math.log2(max(1, n / BUCKET_ROWS))))
-    d = docs.join(sources.drop("weight", "slots", "first_slot").withColumnRenamed("source", "s"), F.col("source").eqNullSafe(F.col("s"))).drop("s")
-    u = F.xxhash64("doc_id", "th")
+    # repeated rows have one hash: they are dealt over the buckets in stretches
+    d = docs.groupBy("doc_id", "th", "source", "size").agg(F.count(F.lit(1)).alias("m"))
+    d = d.withColumn("part", F.explode(F.expr(f"sequence(0L, (m - 1) div {COPIES})")))
+    d = d.withColumn("m", F.expr(f"least({COPIES}L, m - part * {COPIES})"))
+    d = d.join(sources.drop("weight", "slots", "first_slot").withColumnRenamed("source", "s"), F.col("source").eqNullSafe(F.col("s"))).drop("s")
+    u = F.xxhash64("doc_id", "th", "part")
     d = d.withColumn("u", u).withColumn("bucket", F.shiftrightunsigned("u", 64 - bits) if bits else F.lit(0).cast("long"))
-    base = d.groupBy("sid", "bucket").agg(F.sum("size").alias("n"))
+    words = F.col("size") * F.col("m")
+    base = d.groupBy("sid", "bucket").agg(F.sum(words).alias("n"))
     base = base.withColumn("base", F.coalesce(F.sum("n").over(W.partitionBy("sid").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
-    line = W.partitionBy("sid", "bucket").orderBy("u", "doc_id", "th").rowsBetween(W.unboundedPreceding, -1)
-    d = d.withColumn("inside", F.coalesce(F.sum("size").over(line), F.lit(0)))
+    line = W.partitionBy("sid", "bucket").orderBy("u", "doc_id", "th", "part").rowsBetween(W.unboundedPreceding, -1)
+    d = d.withColumn("inside", F.coalesce(F.sum(words).over(line), F.lit(0)))
     d = d.join(base.select("sid", "bucket", "base"), ["sid", "bucket"])
-    return d.withColumn("start", F.col("base") + F.col("inside")).drop("u", "bucket", "inside", "base")
+    d = d.withColumn("copy", F.explode(F.expr("sequence(0L, m - 1)")))
+    return d.withColumn("start", F.col("base") + F.col("inside") + F.col("copy") * F.col("size")).drop("u", "bucket", "inside", "base", "m", "part", "copy")
 
 
 def blocks(placed: DataFrame, max_epochs: int = MAX_EPOCHS, block: int = BLOCK) -> DataFrame:
@@ -140,41 +149,58 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     return placed, taken
 
 
-def taken_words(docs: DataFrame, **columns) -> DataFrame:
-    """``doc_id, th, source, size, source_size, target, taken, copies``: a row per document; copies = words taken of each epoch."""
+def copies(docs: DataFrame, **columns) -> tuple[DataFrame, DataFrame]:
+    """``placed`` and ``(sid, start, epoch, n, slot, last_slot)``: the copies that the mixture takes, by their words and slots."""
     placed, taken = mix(docs, **columns)
-    per = taken.groupBy("sid", "start", "epoch").agg(F.sum(F.col("hi") - F.col("lo")).alias("n"))
-    per = per.groupBy("sid", "start").agg(F.sum("n").alias("taken"), F.sort_array(F.collect_list("n"), asc=False).alias("copies"))
-    # a row for each document: sorted numbers compress so well that file sizes would let it be broadcast
-    per = write(per, "taken").df.hint("merge")
-    d = placed.join(per, (placed.sid == per.sid) & (placed.start == per.start) & (placed["size"] > 0), "left")
-    return d.select("doc_id", "th", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), "copies")
+    per = taken.groupBy("sid", "start", "epoch").agg(F.sum(F.col("hi") - F.col("lo")).alias("n"), F.min("slot").alias("slot"), F.max("slot").alias("last_slot"))
+    return placed, write(per, "copies").df
+
 
+def taken_words(docs: DataFrame, **columns) -> DataFrame:
+    """``doc_id, th, source, size, source_size, target, taken, epochs, first_slot, last_slot``: a row per document.
 
-def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """The mixture as documents: each row once for each epoch that takes it, a last cut copy as its first words."""
+    ``epochs`` are the copies that the mixture takes, a last cut one included; slots are null where there are none.
+    """
+    with scope() as held:
+        placed, per = copies(docs, **columns)
+        per = per.groupBy("sid", "start").agg(
+            F.sum("n").alias("taken"), F.count(F.lit(1)).alias("epochs"), F.min("slot").alias("first_slot"), F.max("last_slot").alias("last_slot")
+        )
+        # a row for each document: sorted numbers compress so well that file sizes would let it be broadcast
+        per = write(per, "taken").df.hint("merge")
+        d = placed.join(per, (placed.sid == per.sid) & (placed.start == per.start) & (placed["size"] > 0), "left")
+        zero = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
+        out = d.select("doc_id", "th", "source", "size", "source_size", "target", zero("taken"), zero("epochs"), "first_slot", "last_slot")
+        return held(write(out, "mixed")).df
+
+
+def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", slot_col: str | None = None) -> DataFrame:
+    """The mixture as documents in slot order: a row for each copy that it takes, a last cut copy as its first words.
+
+    ``slot_col`` names a column for the slot at which a copy starts.
+    """
     own = docs.columns
-    t = taken_words(docs, id_col=id_col, text_col=text_col, source_col=source_col).filter("taken > 0")
-    plan = t.groupBy(F.col("doc_id").alias("__id"), F.col("th").alias("__th")).agg(F.collect_list(F.struct("size", "copies")).alias("__plan"))
-    plan = write(plan, "plan").df
-    keyed = docs.withColumns({"__h": F.xxhash64(F.col(text_col).cast("string"))})
-    keyed = keyed.join(plan.hint("merge"), F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__h") == F.col("__th")))
-    nth = F.row_number().over(W.partitionBy("__id", "__th").orderBy(F.lit(1)))
-    keyed = keyed.withColumn("__n", nth).filter(F.col("__n") <= F.size("__plan")).withColumn("__p", F.element_at("__plan", F.col("__n")))
-    keyed = keyed.withColumn("__c", F.explode("__p.copies"))
-    first = F.array_join(F.slice(F.regexp_extract_all(text_col, F.lit(WORD), F.lit(0)), F.lit(1), F.col("__c").cast("int")), " ")
-    text = F.when(F.col("__c") >= F.col("__p.size"), F.col(text_col)).otherwise(first)
-    keyed = keyed.withColumn(text_col, text)
+    with scope() as held:
+        placed, per = copies(docs, id_col=id_col, text_col=text_col, source_col=source_col)
+        d = placed.filter("size > 0").select("sid", "start", "doc_id", "th", "source", "size")
+        plan = per.hint("merge").join(d, ["sid", "start"])
+        keys = lambda i, h, src: [F.xxhash64(i, h, src).alias("__k"), F.xxhash64(F.lit(1), src, h, i).alias("__l")]
+        plan = plan.select(*keys("doc_id", "th", "source"), F.col("n").alias("__n"), F.col("size").alias("__size"), F.col("slot").alias("__slot"))
+        plan = held(write(plan, "plan")).df
+    th = F.xxhash64(F.col(text_col).cast("string"))
+    k, l = keys(F.col(id_col), th, F.col(source_col).cast("string"))
+    # repeated rows have one row here: their copies are rows of the plan
+    one = docs.withColumns({"__k": k, "__l": l}).dropDuplicates(["__k", "__l"])
+    m = one.join(plan.hint("merge"), ["__k", "__l"])
+    whole = F.col("__n") >= F.col("__size")
+    first = F.array_join(F.slice(F.regexp_extract_all(text_col, F.lit(WORD), F.lit(0)), F.lit(1), F.col("__n").cast("int")), " ")
+    m = m.withColumn(text_col, F.when(whole, F.col(text_col)).otherwise(first))
     if "n_chars" in own:
-        keyed = keyed.withColumn("n_chars", F.when(F.col("__c") >= F.col("__p.size"), F.col("n_chars")).otherwise(F.length(text_col).cast("long")))
-    return keyed.select(*[keyed[c] for c in own])
+        m = m.withColumn("n_chars", F.when(whole, F.col("n_chars")).otherwise(F.length(text_col).cast("long")))
+    m = m.repartitionByRange("__slot").sortWithinPartitions("__slot")
+    return m.select(*[m[c] for c in own], *([F.col("__slot").alias(slot_col)] if slot_col else []))
 
 
 def query(spark, sf_dir: str) -> DataFrame:
     t = taken_words(spark.read.parquet(f"{sf_dir}/documents.parquet"))
-    return t.select("doc_id", "size", "source_size", "target", "taken")
-
-
-def inspect(pdf) -> None:
-    g = pdf.groupby("target").agg(taken=("taken", "sum"), s=("source_size", "first"))
-    print(g.head(30), (pdf.taken <= 3 * pdf["size"]).all(), pdf["size"].sum(), pdf.taken.sum())
+    return t.select("doc_id", "size", "source_size", "target", "taken", "first_slot", "last_slot")
