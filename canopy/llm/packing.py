@@ -5,10 +5,11 @@
 * Shards.  Pieces are dealt by hash into shards of about ``SHARD`` pieces; a shard is one
   row with an array of piece lengths, so its size is bounded whatever the data.
 * Islands.  Each shard is evolved by ``ISLANDS`` independent populations, one row each.
-  A chromosome is a packing.  Crossover injects whole well-filled bins of one parent
-  into the other, removes the bins that hold any of the same pieces, and puts the
-  displaced pieces back by best fit.  Between epochs the best packing of each island
-  moves to the next one; an island stops at the lower bound ceil(tokens / capacity).
+  A chromosome is a packing.  A population starts from packings in random order.  Crossover
+  injects the fullest bins of one parent into the other, removes the bins that hold any
+  of the same pieces, and puts the displaced pieces back by best fit.  Between epochs the
+  best packing of each island moves to the next one; an island stops at the lower bound
+  ceil(tokens / capacity).
 * Rest.  Bins that stay underfilled are pooled over shards and packed again, in shards of
   about ``SHARD`` pieces again, until one shard holds the rest or a level needs as many
   bins as the level before: the waste is one bin in the end, not one per shard, where the
@@ -37,7 +38,9 @@ from canopy.store import write
 CAPACITY = 4096
 END_ID = 1
 SHARD, ISLANDS, EPOCHS = 4096, 3, 2
-POPULATION, GENERATIONS = 6, 24
+POPULATION, GENERATIONS = 6, 40
+#: Shares of the bins that a crossover injects.
+INJECTED = (0.2, 0.5)
 WELL_FILLED = 0.98
 VOCABULARY = "word_bpe_49k.json"
 #: Words whose ids a worker remembers (about 200 bytes each).
@@ -199,10 +202,10 @@ def pieces_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", v
 # A packing is a list of [free space, piece, piece, ...]; pieces are places in the shard's array of lengths.
 
 
-def best_fit(bins: list[list[int]], items: list[int], lengths: list[int], capacity: int) -> list[list[int]]:
-    """Put ``items``, longest first, each where the least room is left over."""
+def best_fit(bins: list[list[int]], items: list[int], lengths: list[int], capacity: int, by_length: bool = True) -> list[list[int]]:
+    """Put ``items``, longest first (or as they come), each where the least room is left over."""
     free = sorted((b[0], k) for k, b in enumerate(bins))
-    for i in sorted(items, key=lambda i: -lengths[i]):
+    for i in sorted(items, key=lambda i: -lengths[i]) if by_length else items:
         n = lengths[i]
         at = bisect.bisect_left(free, (n, -1))
         if at < len(free):
@@ -221,9 +224,16 @@ def fitness(bins: list[list[int]], capacity: int) -> tuple:
     return (len(bins), -sum(((capacity - b[0]) / capacity) ** 2 for b in bins))
 
 
+def random_fit(lengths: list[int], capacity: int, rnd: random.Random) -> list[list[int]]:
+    """A packing to start from: pieces in random order, each where the least room is left over."""
+    order = list(range(len(lengths)))
+    rnd.shuffle(order)
+    return best_fit([], order, lengths, capacity, by_length=False)
+
+
 def crossover(one: list[list[int]], two: list[list[int]], lengths: list[int], capacity: int, rnd: random.Random) -> list[list[int]]:
-    good = [b for b in two if capacity - b[0] >= WELL_FILLED * capacity] or [min(two)]
-    inject = rnd.sample(good, max(1, len(good) // 2))
+    full = sorted((b for b in two if capacity - b[0] >= WELL_FILLED * capacity), key=lambda b: (b[0], rnd.random())) or [min(two)]
+    inject = full[: max(1, int(len(two) * rnd.uniform(*INJECTED)))]
     have = {i for b in inject for i in b[1:]}
     keep, displaced = [], []
     for b in one:
@@ -249,14 +259,14 @@ def evolve(lengths: list[int], capacity: int, seed: int, elites: list[list[list[
     """The best packing after some generations; the best one is never lost, and the lower bound ends the search."""
     rnd = random.Random(seed)
     bound = -(-sum(lengths) // capacity)
-    pool = [*elites] or [best_fit([], list(range(len(lengths))), lengths, capacity)]
-    while len(pool) < POPULATION and min(map(len, pool)) > bound:
-        pool.append(reopened(pool[0], lengths, capacity, rnd))
+    pool = [*elites]
+    while len(pool) < POPULATION and min(map(len, pool), default=bound + 1) > bound:
+        pool.append(random_fit(lengths, capacity, rnd))
     for _ in range(GENERATIONS):
         pool.sort(key=lambda b: fitness(b, capacity))
-        if len(pool[0]) <= bound:
+        if len(pool) < 2 or len(pool[0]) <= bound:
             break
-        one, two = rnd.sample(pool[: max(2, POPULATION // 2)], 2)
+        one, two = rnd.sample(pool[: max(2, 2 * len(pool) // 3)], 2)
         child = crossover(one, two, lengths, capacity, rnd)
         pool[-1] = reopened(child, lengths, capacity, rnd) if rnd.random() < 0.5 else child
     return min(pool, key=lambda b: fitness(b, capacity))
@@ -367,11 +377,3 @@ def packed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
 def query(spark, sf_dir: str) -> DataFrame:
     return packed_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
-
-def inspect(pdf) -> None:
-    g = pdf.groupby("sequence_id")
-    total = pdf.length.sum()
-    print("sequences", len(g), "bound", -(-total // CAPACITY), "max fill", g.length.sum().max())
-    for _, x in g:
-        x = x.sort_values("offset")
-        assert list(x.offset) == [0, *x.length.cumsum()[:-1]], x
