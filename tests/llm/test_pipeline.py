@@ -36,3 +36,36 @@ def test_stages(spark):
 
 def test_run(spark):
     assert p.run(spark, D).count() > 0
+
+
+def _docs(spark, rows):
+    return spark.createDataFrame([(i, t, "en", s, len(t or ""), 5) for i, t, s in rows], "doc_id long, text string, lang string, source string, n_chars long, th int")
+
+
+def test_stages_on_odd_rows(spark):
+    long = " ".join(f"w{k}" for k in range(30_000))
+    rows = [(1, "a b", "s"), (6, "a b", "s"), (6, "c d", "s"), (7, None, None), (8, "", "t"), (None, "a b", "s"), (9, long, "t"), (2, "x y z", None), (2, "x y z", None)]
+    for name, stage in p.STAGES:
+        got = stage(spark, _docs(spark, rows), D)
+        found = sorted((str(r.doc_id) for r in got.collect()), key=str)
+        if name == "toxicity":
+            assert len(found) == len(rows)
+        if name == "ngram_join":
+            # (6, "a b") is linked to 1; texts without words are linked to nothing
+            assert len(found) == len(rows) - 1
+            assert {r.text for r in got.filter("doc_id = 6").collect()} == {"c d"}
+        if name == "exact_dedup":
+            # (6, "a b") is a copy of 1, (6, "c d") is not; null and empty texts are equal
+            assert found == sorted(["1", "6", "7", "None", "9", "2", "2"]), found
+            assert {r.text for r in got.filter("doc_id = 6").collect()} == {"c d"}
+        if name == "mixing":
+            assert "7" not in found and "8" not in found and {"1", "9", "None"} <= set(found)
+        if name == "packing":
+            assert set(found) == {"1", "2", "6", "7", "8", "9", "None"}
+        if name != "packing":
+            assert got.columns == _docs(spark, rows).columns, name
+
+
+def test_stages_on_an_empty_table(spark):
+    for name, stage in p.STAGES:
+        assert stage(spark, _docs(spark, [(1, "a", "s")]).limit(0), D).count() == 0, name

@@ -1,10 +1,11 @@
 """Inputs on which an operator once did less than the whole job."""
 
+import hashlib
 import random
 
 import numpy as np
 
-from canopy.llm import ngram_join, packing, substring_dedup
+from canopy.llm import exact_dedup, mixing, ngram_join, packing, substring_dedup
 
 
 def _first_alone(rnd, passages=400):
@@ -73,3 +74,116 @@ def test_packing_of_bins_that_cannot_be_filled(spark, monkeypatch):
         assert [o for o, _ in b] == [sum(n for _, n in b[:k]) for k in range(len(b))] and sum(n for _, n in b) <= packing.CAPACITY
     # bins of up to 49 pieces are dealt whole, so shards differ in size
     assert max(largest) <= 4 * 64 and len(largest) <= 4
+
+
+def test_substring_words_of_a_doubling_pattern(spark):
+    # words that collide under every polynomial hash modulo 2^64
+    one = "".join("ab"[bin(k).count("1") % 2] for k in range(1024))
+    two = "".join("ba"[bin(k).count("1") % 2] for k in range(1024))
+    side = [f"w{k}" for k in range(60)]
+    rows = [(1, " ".join([*side[:30], one, *side[30:]])), (2, " ".join([*side[:30], two, *side[30:]]))]
+    got = {r.doc_id: r.n_removed for r in substring_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: 0, 2: 0} == {i: v[1] for i, v in substring_dedup.brute(rows).items()}
+
+
+def test_word_hashes_name_words():
+    words = [b"a", b"a\0", b"a\0\0", b"12345678", b"12345678\0", b"1234567812345678", b"x" * 64, b"x" * 65, b"y" * 200]
+    data = np.frombuffer(b" ".join(words), np.uint8)
+    end = np.cumsum([len(w) + 1 for w in words]) - 1
+    h = substring_dedup.word_hashes(data, end - np.array([len(w) for w in words]), end, 2)
+    assert len({tuple(x) for x in h.T.tolist()}) == len(words) and not (h[0] == h[1]).any()
+    # the same words elsewhere
+    again = substring_dedup.word_hashes(np.frombuffer(b"  " + b" ".join(words), np.uint8), end - np.array([len(w) for w in words]) + 2, end + 2, 2)
+    assert (h == again).all()
+
+
+def test_substring_long_repeats_are_single_paths(spark):
+    rnd = random.Random(4)
+    some = lambda n: ["".join(rnd.choice("abcdefgh") for _ in range(7)) for _ in range(n)]
+    passage = some(700)
+    rows = [(i, " ".join(some(80) + passage + some(80))) for i in range(4)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    spans = {r.doc_id: r.spans for r in substring_dedup.repeated_spans(docs).collect()}
+    longest = [max((s["end"] - s["start"], s["w1"] is not None) for s in spans[i]) for i in (1, 2, 3)]
+    # inner windows of the passage are one path with one digest
+    assert all(n > 550 and proved for n, proved in longest) and 0 not in spans
+    # a span whose words are not those at the source is left alone
+    text = rows[1][1].split()
+    s = max(spans[1], key=lambda s: s["end"] - s["start"])
+    assert substring_dedup.digest([w.encode() for w in text[s["start"] : s["end"]]]) == (s["w1"], s["w2"])
+
+
+def test_exact_groups_come_from_recipes(spark):
+    rows = [(1, "a b c"), (2, "a  b\tc"), (3, "d e f"), (4, None), (5, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    keep = lambda g: {r.id: (r.keep_id, r.group_size) for r in g.collect()}
+    assert keep(exact_dedup.exact_groups(docs)) == {1: (1, 2), 2: (1, 2), 3: (3, 1), 4: (4, 2), 5: (4, 2)}
+
+    def empty(d, i, t):
+        return exact_dedup.recipes(d, i, t).withColumn("chunks", exact_dedup.F.slice("chunks", 1, 0))
+
+    def twins(d, i, t):
+        # one 64-bit hash for all chunks: digests must tell them apart
+        return exact_dedup.recipes(d, i, t).withColumn("chunks", exact_dedup.F.transform("chunks", lambda c: exact_dedup.F.struct(exact_dedup.F.lit(7).cast("long").alias("h"), c["v"].alias("v"))))
+
+    assert set(keep(exact_dedup.exact_groups(docs, recipe_of=empty)).values()) == {(1, 5)}
+    assert keep(exact_dedup.exact_groups(docs, recipe_of=twins)) == keep(exact_dedup.exact_groups(docs))
+
+
+def test_mixture_follows_the_schedule(spark, monkeypatch):
+    rnd = random.Random(6)
+    rows = [(i, " ".join(f"w{rnd.random()}" for _ in range(rnd.randint(0, 300))), "abc"[i % 3], 9) for i in range(300)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, slot int")
+    mixed = mixing.mixed_documents(docs, slot_col="at").collect()
+    at = [r["at"] for r in mixed]
+    assert at == sorted(at) and len(set(at)) > 50
+    first = {}
+    for r in mixed:
+        first.setdefault(r.doc_id, r["at"])
+    per = {r.doc_id: r for r in mixing.taken_words(docs).collect()}
+    assert first == {i: r.first_slot for i, r in per.items() if r.taken}
+    assert all(r.first_slot <= r.last_slot for r in per.values() if r.taken)
+    # sources meet in every stretch of the schedule at about their share
+    where = {i: s for i, _, s, _ in rows}
+    half = [where[r.doc_id] for r in mixed[: len(mixed) // 2]]
+    rest = [where[r.doc_id] for r in mixed[len(mixed) // 2 :]]
+    assert all(abs(half.count(s) - rest.count(s)) < 0.25 * len(half) for s in "abc")
+    # without the low-discrepancy points the order is another one
+    monkeypatch.setattr(mixing, "reversed_bits", lambda x, bits: x)
+    assert [r.doc_id for r in mixing.mixed_documents(docs).collect()] != [r.doc_id for r in mixed]
+
+
+def test_mixing_repeated_rows(spark):
+    rows = [(1, "a b c d", "s")] * 150 + [(2, "e f", "s"), (3, None, "t"), (None, "g h i", None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = mixing.taken_words(docs).collect()
+    assert len(got) == len(rows) and all(r.taken <= 3 * r["size"] for r in got)
+    total = sum(r.taken for r in got)
+    assert total == sum(len(r.text.split()) for r in mixing.mixed_documents(docs).collect()) and abs(total - 605) <= 3
+
+
+def test_evolution_beats_best_fit():
+    # triples that fill a bin exactly: longest first by best fit misses the bound
+    rnd = random.Random(8)
+    lengths = []
+    for _ in range(40):
+        a, b = rnd.randint(1100, 1700), rnd.randint(1100, 1500)
+        lengths += [a, b, 4096 - a - b]
+    plain = len(packing.best_fit([], list(range(len(lengths))), lengths, 4096))
+    start = packing.random_fit(lengths, 4096, random.Random(1))
+    best = packing.evolve(lengths, 4096, 3, [])
+    assert 40 <= len(best) <= plain and len(best) < len(start)
+    assert sorted(i for b in best for i in b[1:]) == list(range(len(lengths)))
+    # without crossover and mutation the start is all there is
+    assert hashlib.sha256(repr(best).encode()).digest() != hashlib.sha256(repr(start).encode()).digest()
+
+
+def test_join_measures_its_recall(spark):
+    rng = np.random.default_rng(3)
+    rows = [(i, s.tolist()) for i, s in enumerate(rng.integers(0, 1 << 40, (2_000, ngram_join.COORDS)))]
+    items = spark.createDataFrame(rows, "sid long, sig array<long>")
+    leaves, recall, runs = ngram_join.chosen_leaves(items)
+    assert recall >= ngram_join.TARGET and runs == ngram_join.RUNS
+    # a target that can't be met takes all coordinates
+    assert ngram_join.chosen_leaves(items, target=1.1)[2] * ngram_join.PER_RUN == ngram_join.COORDS
+    assert leaves.join(items, "sid", "left_anti").isEmpty()
