@@ -116,17 +116,30 @@ def _compare(linked_of: Callable[[list[np.ndarray]], np.ndarray]):
 
 
 def useful_buckets(members: DataFrame) -> DataFrame:
-    """``bucket, n``: buckets of two members at least, one for each set of members."""
+    """``bucket, n, low``: buckets of two members at least, one for each set of members; ``low`` is a min-hash of the set."""
     sizes = members.groupBy("bucket").agg(
-        F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("sid")).alias("x"), F.bit_xor(F.xxhash64(F.lit(7), "sid")).alias("y")
+        F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("sid")).alias("x"), F.bit_xor(F.xxhash64(F.lit(7), "sid")).alias("y"), F.min(F.xxhash64("sid")).alias("low")
     )
-    return sizes.filter("n > 1").groupBy("n", "x", "y").agg(F.min("bucket").alias("bucket")).select("bucket", "n")
+    return sizes.filter("n > 1").groupBy("n", "x", "y").agg(F.min("bucket").alias("bucket"), F.min("low").alias("low")).select("bucket", "n", "low")
 
 
-def memberships(members: DataFrame) -> DataFrame:
-    """``sid, leaves array<struct<bucket, n>>`` of the members of useful buckets."""
+def memberships(members: DataFrame, merge_above: int | None = None) -> DataFrame:
+    """``sid, leaves array<struct<bucket, n>>`` of the members of useful buckets.
+
+    Buckets of over ``merge_above`` members whose sets have one min-hash become one: those of a family of near
+    copies, which differ in a few members.  A union holds all pairs of its buckets.
+    """
     keep = write(useful_buckets(members), "buckets").df
-    return members.join(keep, "bucket").groupBy("sid").agg(F.sort_array(F.collect_set(F.struct("bucket", "n"))).alias("leaves"))
+    if merge_above is None:
+        return members.join(keep, "bucket").groupBy("sid").agg(F.sort_array(F.collect_set(F.struct("bucket", "n"))).alias("leaves"))
+    large = F.col("n") > merge_above
+    name = F.when(large, F.xxhash64(F.lit("merged"), "low")).otherwise(F.col("bucket"))
+    keep = keep.select("bucket", "n", name.alias("name"), large.alias("large"))
+    m = write(members.join(keep, "bucket").select("sid", F.col("name").alias("bucket"), "n", "large"), "members").df
+    union = m.filter("large").select("sid", "bucket").distinct()
+    union = union.join(union.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")), "bucket")
+    m = m.filter("not large").select("sid", "bucket", "n").unionByName(union.select("sid", "bucket", "n"))
+    return m.groupBy("sid").agg(F.sort_array(F.collect_set(F.struct("bucket", "n"))).alias("leaves"))
 
 
 def bucket_links(items: DataFrame, linked_of: Callable[[list[np.ndarray]], np.ndarray], limit: int) -> DataFrame:
@@ -140,6 +153,24 @@ def bucket_links(items: DataFrame, linked_of: Callable[[list[np.ndarray]], np.nd
     return r.repartition(*key).sortWithinPartitions(*key).mapInArrow(_compare(linked_of), _LINKS)
 
 
+#: Pairs of a bucket that are held before they are united.
+PAIRS = 1_000_000
+
+
+def united(label: np.ndarray, pairs: np.ndarray) -> np.ndarray:
+    """Labels (each the smallest place of its component) after more pairs."""
+    while True:
+        a, b = label[pairs[0]], label[pairs[1]]
+        if (a == b).all():
+            return label
+        label = label.copy()
+        low = np.minimum(a, b)
+        np.minimum.at(label, a, low)
+        np.minimum.at(label, b, low)
+        while (label[label] != label).any():
+            label = label[label]
+
+
 _GROUPS = "bucket long, split boolean, sid long, root long"
 
 
@@ -151,29 +182,26 @@ def _candidates(alike: Callable[[np.ndarray, np.ndarray], np.ndarray]):
         data = np.concatenate(lists(t.column("payload"))).reshape(-1, width)
         key = np.zeros(len(sid), dtype=np.int64)
         key[1:] = np.cumsum((bucket[1:] != bucket[:-1]) | (bx[1:] != bx[:-1]) | (by[1:] != by[:-1]))
-        pairs = []
+        label = np.arange(len(sid))
+        linked = np.zeros(len(sid), dtype=bool)
+        held: list[np.ndarray] = []
         for k in range(1, len(sid)):
             one = np.flatnonzero(key[k:] == key[:-k])
             if not len(one):
                 break
             one = one[(bx[one] == by[one]) | (block[one] != block[one + k])]
             one = one[alike(data[one], data[one + k])]
-            if len(one):
-                pairs.append(np.stack([one, one + k]))
-        if not pairs:
+            held.append(np.stack([one, one + k]))
+            if sum(x.shape[1] for x in held) > PAIRS:
+                label = united(label, np.concatenate(held, axis=1))
+                linked[np.concatenate(held, axis=None)] = True
+                held = []
+        if held:
+            label = united(label, np.concatenate(held, axis=1))
+            linked[np.concatenate(held, axis=None)] = True
+        some = np.flatnonzero(linked)
+        if not len(some):
             return None
-        a, b = np.concatenate(pairs, axis=1)
-        label = np.arange(len(sid))
-        while True:
-            low = np.minimum(label[a], label[b])
-            new = label.copy()
-            np.minimum.at(new, a, low)
-            np.minimum.at(new, b, low)
-            new = new[new]
-            if (new == label).all():
-                break
-            label = new
-        some = np.unique(np.concatenate([a, b]))
         # every group names a block pair: blocks of a bucket are joined up afterwards
         columns = [bucket[some], t.column("split").to_numpy(zero_copy_only=False)[some], sid[some], sid[label[some]]]
         return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["bucket", "split", "sid", "root"])

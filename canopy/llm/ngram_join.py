@@ -17,7 +17,7 @@
   paths and through the same splits as the sets, and are in no result.
 * Sketches.  Members of a bucket are compared on their min-hashes first; a pair goes on
   if its sizes allow the similarity and ``AGREE`` min-hashes are equal (a pair at 0.8 has
-  fewer with probability 1e-7).  Buckets fall apart into connected groups of such pairs,
+  fewer with probability 1e-7).  Oversized buckets of one family are one bucket.  Buckets fall apart into connected groups of such pairs,
   groups with the same members become one.
 * Check.  In the groups all pairs are compared on full shingle sets in integers
   (5 i >= 4 u); each pair is counted in one group, pairs are never emitted.
@@ -49,6 +49,8 @@ NUM, DEN = 4, 5  # similarity 0.8 as a fraction
 COORDS, RUNS, PER_RUN = 24, 6, 2
 LIMIT, DEPTH, FAN = 256, 3, 3
 AGREE = 8
+#: Members of a block when sketches are compared.
+SKETCHED = 2048
 #: Random signs for the estimate of what a split would save.
 SIGNS = 8
 PROBES, TARGET = 512, 0.999
@@ -213,11 +215,11 @@ def similarity_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         items = known.groupBy("sid").agg(F.count(F.lit(1)).alias("mult"), F.min("doc_id").alias("low"), F.min_by("th", "doc_id").alias("th"), F.first("size").alias("size"), F.first("sig").alias("sig"))
         items = write(items, "items")
         with scope() as kept:
-            leaves = write(memberships(chosen_leaves(items.df.select("sid", "sig"))[0]), "leaves")
+            leaves = write(memberships(chosen_leaves(items.df.select("sid", "sig"))[0], LIMIT), "leaves")
             kept(leaves)
         sketch = F.concat(F.array("size"), F.transform("sig", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")))
         members = leaves.df.join(items.df.select("sid", sketch.alias("payload")), "sid")
-        groups = write(memberships(candidate_groups(members, alike, LIMIT)), "groups")
+        groups = write(memberships(candidate_groups(members, alike, SKETCHED)), "groups")
         leaves.drop()
         wanted = groups.df.join(items.df.select("sid", "mult", F.col("low").alias("doc_id"), "th"), "sid")
         wanted = write(wanted, "wanted")
