@@ -46,29 +46,69 @@ def sparse_independent(two: DataFrame, strategy: str = "coin", seed: int = 1, se
     """Independent ids among ``two(id, lo, hi)``, the degree-2 nodes with their neighbours.
 
     ``coin``: a node is kept if its coin shows 1 and its neighbours' show 0 (an eighth on average, 3-wise
-    independent).  ``seed_search``: the best of several seeds by one aggregate, at least an eighth.
+    independent).  ``seed_search``: the best of several seeds by one aggregate.  ``conditional``: a seed fixed
+    piece by piece so that the expected number never falls, an eighth at least; ``two`` may have a column ``g``
+    (component), then each component has a seed of its own.
     ``local_minimum``: a node is kept if its hash is below its neighbours' (a third on average).
     """
-
-    def coin(c: str, s: int) -> Column:
-        return F.pmod(F.shiftright(poly_hash(F.col(c), coefficients(s)), 7), F.lit(2))
-
-    def chosen(s: int) -> Column:
-        return (coin("id", s) == 1) & (coin("lo", s) == 0) & (coin("hi", s) == 0)
-
-    if strategy == "coin":
-        return two.filter(chosen(seed)).select("id")
     if strategy == "seed_search":
         tried = range(seed, seed + seeds)
-        counts = two.agg(*[F.count_if(chosen(s)).alias(str(s)) for s in tried], F.count(F.lit(1)).alias("n")).first()
+        counts = two.agg(*[F.count_if(picked("coin", s)).alias(str(s)) for s in tried], F.count(F.lit(1)).alias("n")).first()
         best = max(tried, key=lambda s: (counts[str(s)], -s))
-        return two.filter(chosen(best)).select("id")
+        return two.filter(picked("coin", best)).select("id")
+    if strategy == "conditional":
+        t = two if "g" in two.columns else two.withColumn("g", F.lit(0).cast("long"))
+        found = write(fixed_seeds(t), "seeds").df
+        one = lambda c: f"(bit_count({c} & seed) + flip) % 2"
+        return t.join(found, "g").filter(f"{one('id')} = 1 and {one('lo')} = 0 and {one('hi')} = 0").select("id")
+    return two.filter(picked(strategy, seed)).select("id")
+
+
+def picked(strategy: str, seed: int) -> Column:
+    """Whether a row ``(id, lo, hi)`` is picked by a strategy that needs no aggregate."""
+    if strategy == "coin":
+        coin = lambda c: F.pmod(F.shiftright(poly_hash(F.col(c), coefficients(seed)), 7), F.lit(2))
+        return (coin("id") == 1) & (coin("lo") == 0) & (coin("hi") == 0)
     if strategy == "local_minimum":
         h = lambda c: F.struct(poly_hash(F.col(c), coefficients(seed)), F.col(c))
-        return two.filter((h("id") < h("lo")) & (h("id") < h("hi"))).select("id")
+        return (h("id") < h("lo")) & (h("id") < h("hi"))
     raise ValueError(strategy)
 
 
+def fixed_seeds(two: DataFrame, piece: int = 4) -> DataFrame:
+    """``(g, seed, flip)``: for each group of ``two(g, id, lo, hi)`` a seed that keeps an eighth of its rows at least.
+
+    The coin of x is the parity of ``x & seed``, plus ``flip``: for three different ids these are
+    independent bits over random seeds.  Seed bits are fixed ``piece`` at a time, each time
+    to the value with the largest expected number of kept rows given the bits fixed so far; the number is
+    exact, because it depends only on which of the three ids agree in the bits still open.
+    """
+    t = write(two.select("g", "id", "lo", "hi"), "twos").df
+    row = t.agg(F.min(F.least("id", "lo", "hi")), F.max(F.greatest("id", "lo", "hi"))).first()
+    bits = 0 if row[1] is None else 64 if row[0] < 0 else max(1, int(row[1]).bit_length())
+    seeds = write(t.groupBy("g").agg(F.lit(0).cast("long").alias("seed")), "seeds").df
+    for low in range(0, bits, piece):
+        top = min(low + piece, bits)
+        rest = lambda c: f"shiftrightunsigned({c}, {top})" if top < 64 else "0L"
+        rows = t.join(seeds, "g").selectExpr(
+            "g", "seed", "id", "lo", "hi", f"{rest('id')} = {rest('lo')} as xy", f"{rest('id')} = {rest('hi')} as xz", f"{rest('lo')} = {rest('hi')} as yz"
+        )
+        sums = []
+        for v in range(1 << (top - low)):
+            add = (v << low) - (1 << 64 if (v << low) >> 63 else 0)
+            odd = lambda c: f"bit_count({c} & (seed | {add}L)) % 2"
+            differ = lambda a, b: f"({odd(a)} <> {odd(b)})"
+            # eight times the probability that the coins show 1, 0, 0
+            e = f"""case when xy and yz then if({differ('id', 'lo')} and not {differ('lo', 'hi')}, 4, 0)
+                when yz then if({differ('lo', 'hi')}, 0, 2) when xy then if({differ('id', 'lo')}, 2, 0)
+                when xz then if({differ('id', 'hi')}, 2, 0) else 1 end"""
+            sums.append(F.struct(F.sum(F.expr(e)).alias("e"), F.lit(add).cast("long").alias("v")))
+        seeds = write(rows.groupBy("g").agg(F.first("seed").alias("seed"), F.array_max(F.array(*sums))["v"].alias("v")).selectExpr("g", "seed | v as seed"), "seeds").df
+    one = lambda c, flip: f"(bit_count({c} & seed) + {flip}) % 2"
+    kept = lambda flip: F.count_if(F.expr(f"{one('id', flip)} = 1 and {one('lo', flip)} = 0 and {one('hi', flip)} = 0"))
+    return t.join(seeds, "g").groupBy("g").agg(F.first("seed").alias("seed"), F.when(kept(1) > kept(0), 1).otherwise(0).alias("flip"))
+
+
 @dataclass
 class Shrunk:
     nodes: DataFrame  # id, best: live nodes
@@ -83,19 +123,21 @@ def actions(edges: DataFrame, step: int, strategy: str = "local_minimum", protec
     info = edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("deg"), F.min("dst").alias("lo"), F.max("dst").alias("hi"))
     small = info.filter("deg <= 2")
     if protect is not None:
-        small = small.join(protect, "id", "left_anti")
-    small = write(small, "small").df
+        small = write(small.join(protect, "id", "left_anti"), "small").df
     ask = small.select("id", "deg", "lo", "hi", F.explode(F.array_distinct(F.array("lo", "hi"))).alias("nbr"))
     other = small.select(F.col("id").alias("nbr"), F.col("deg").alias("ndeg"))
-    seen = ask.join(other, "nbr", "left").groupBy("id", "deg", "lo", "hi").agg(
-        F.max(F.when(F.col("ndeg") == 1, F.col("nbr"))).alias("leaf"), F.max(F.when(F.col("ndeg") == 2, F.lit(1))).alias("two")
-    )
-    seen = write(seen, "seen").df
-    leaves = seen.filter("deg = 1 and (leaf is null or id > leaf)").select(F.lit("rake").alias("kind"), F.col("id").alias("node"), F.col("lo").alias("into"), "lo", "hi")
-    middle = seen.filter("deg = 2 and leaf is null").select("id", "lo", "hi")
-    keep = sparse_independent(middle, strategy, seed=step + 1)
-    spliced = middle.join(keep, "id").select(F.lit("splice").alias("kind"), F.col("id").alias("node"), F.greatest("lo", "hi").alias("into"), "lo", "hi")
-    return leaves.unionByName(spliced).select(F.lit(step).alias("step"), "*")
+    seen = ask.join(other, "nbr", "left").groupBy("id", "deg", "lo", "hi").agg(F.max(F.when(F.col("ndeg") == 1, F.col("nbr"))).alias("leaf"))
+    rake = F.expr("deg = 1 and (leaf is null or id > leaf)")
+    middle = F.expr("deg = 2 and leaf is null")
+    if strategy in ("coin", "local_minimum"):
+        kept = middle & picked(strategy, step + 1)
+    else:
+        seen = write(seen, "seen").df
+        chosen = sparse_independent(seen.filter(middle).select("id", "lo", "hi"), strategy, seed=step + 1).withColumn("chosen", F.lit(True))
+        seen = seen.join(chosen, "id", "left")
+        kept = middle & F.coalesce("chosen", F.lit(False))
+    acts = seen.filter(rake | kept).select(F.when(rake, "rake").otherwise("splice").alias("kind"), F.col("id").alias("node"), F.when(rake, F.col("lo")).otherwise(F.greatest("lo", "hi")).alias("into"), "lo", "hi")
+    return acts.select(F.lit(step).alias("step"), "*")
 
 
 def apply_actions(nodes: DataFrame, edges: DataFrame, acts: DataFrame) -> tuple[Cut, Cut]:

@@ -11,12 +11,12 @@ from canopy.components.shrink import replay, shrink
 from canopy.ledger import Ledger
 from canopy.maxid.core import max_id
 from canopy.model.forest import Forest
-from canopy.store import write
+from canopy.store import scope, write
 
 
-def guess_ladder(cap: int) -> list[int]:
-    """4, 16, 256, ... squares up to ``cap``, which is the last rung if no square hits it."""
-    out, g = [], 4
+def guess_ladder(cap: int, first: int = 4) -> list[int]:
+    """Squares from ``first`` on up to ``cap``, which is the last rung if no square hits it."""
+    out, g = [], first
     while g < cap:
         out.append(g)
         g *= g
@@ -36,30 +36,41 @@ def components_fallback(forest: Forest) -> DataFrame:
     return joined.select("id", F.coalesce("component", "id").alias("component"))
 
 
-def components(forest: Forest, budget: Budget | None = None, ledger: Ledger | None = None, shrink_rounds: int | None = None, strategy: str = "local_minimum") -> DataFrame:
+def components(
+    forest: Forest, budget: Budget | None = None, ledger: Ledger | None = None, shrink_rounds: int | None = None, strategy: str = "local_minimum", steps_per_log: int = 3, first_guess: int = 16
+) -> DataFrame:
     """``(id, component)``: every node with the largest id of its tree.
 
-    For each guess the forest left over is shrunk until live nodes times guess^3 fit
-    the memory, then the core runs on the residue; trees that remain go to the next guess
-    and, above the last one, to the fallback.  One replay carries all answers back.
-    ``shrink_rounds=0`` leaves shrinking out.
+    For each guess the forest left over is shrunk by ``steps_per_log * log2(guess)`` steps, and
+    by some more while live nodes times guess^3 don't fit the memory; then the core runs on the
+    residue.  Trees that it can't finish within the guess go to the next one and, above the last
+    one, to the fallback.  One replay carries all answers back.  The ladder starts at ``first_guess``;
+    ``shrink_rounds`` fixes the steps of a rung (0 leaves shrinking out).
     """
-    budget = budget or Budget()
+    with scope() as held:
+        return held(write(_ladder(forest, budget or Budget(), ledger, shrink_rounds, strategy, steps_per_log, first_guess), "components")).df
+
+
+def _ladder(forest: Forest, budget: Budget, ledger: Ledger | None, shrink_rounds: int | None, strategy: str, steps_per_log: int, first_guess: int) -> DataFrame:
     nodes = write(forest.nodes.withColumn("best", F.col("id")), "nodes").df
     edges = write(forest.edges, "edges").df
     folds: list[DataFrame] = []
     step = 0
     answered: list[DataFrame] = []
-    for guess in guess_ladder(budget.light_cap):
+    for guess in guess_ladder(budget.light_cap, min(first_guess, budget.light_cap)):
         if edges.isEmpty():
             break
-        rounds = 32 * max(1, guess.bit_length()) + 4 if shrink_rounds is None else shrink_rounds
-        if rounds:
-            s = shrink(nodes, edges, rounds, step, stop_at=0 if shrink_rounds is None and budget.memory_words >= 1 << 40 else budget.memory_words // guess**3, ledger=ledger, strategy=strategy)
+        rounds = steps_per_log * max(1, (guess - 1).bit_length()) if shrink_rounds is None else shrink_rounds
+        for extra in range(2 if shrink_rounds is None else 1):
+            if not rounds or (extra and edges.select("src").distinct().count() * guess**3 <= budget.memory_words):
+                break
+            s = shrink(nodes, edges, rounds, step, ledger=ledger, strategy=strategy)
             nodes, edges, step = s.nodes, s.edges, step + s.steps
             folds += s.folds
             if edges.isEmpty():
                 break
+        if edges.isEmpty():
+            break
         live = edges.select(F.col("src").alias("id")).distinct()
         lone = nodes.join(live, "id", "left_anti")
         answered.append(write(lone, "answers").df)
