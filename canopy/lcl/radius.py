@@ -28,13 +28,19 @@ def independent_set() -> LclRadius:
     return LclRadius("mis", 2, lambda x, near: (1 in near) != (x == 1))
 
 
+#: Kinds of balls that are checked one by one.
+MAX_KINDS = 100_000
+
+
 def check_radius(problem: LclRadius, edges: DataFrame, labels: DataFrame) -> DataFrame:
     """Ids whose ball is not allowed; ``labels(id, label)``."""
     far = labels.select(F.col("id").alias("dst"), F.col("label").alias("n"))
     near = edges.join(far, "dst").groupBy(F.col("src").alias("id")).agg(F.sort_array(F.collect_list("n")).alias("near"))
     balls = labels.join(near, "id", "left").withColumn("near", F.coalesce("near", F.array().cast("array<int>")))
-    kinds = balls.select("label", "near").distinct()
-    bad = [(r["label"], r["near"]) for r in kinds.limit(100_000).collect() if not problem.ball(r["label"], tuple(r["near"]))]
+    kinds = balls.select("label", "near").distinct().limit(MAX_KINDS + 1).collect()
+    if len(kinds) > MAX_KINDS:
+        raise ValueError(f"more than {MAX_KINDS} kinds of balls: degrees and labels of a problem are constant")
+    bad = [(r["label"], r["near"]) for r in kinds if not problem.ball(r["label"], tuple(r["near"]))]
     wrong = edges.sparkSession.createDataFrame(bad or [(-1, [-1])], "label int, near array<int>")
     return balls.join(F.broadcast(wrong), ["label", "near"]).select("id")
 

@@ -28,6 +28,8 @@ from canopy.rooting import pointers, root_forest
 from canopy.store import write
 
 SIDE = 7
+#: Kinds (degree, input label) of a problem's table; labels are constant in number.
+MAX_KINDS = 10_000
 COLUMN = sum(1 << (SIDE * a) for a in range(SIDE))
 ROW = (1 << SIDE) - 1
 
@@ -62,10 +64,12 @@ def init_compat(forest: Forest, rooted: DataFrame, problem: LclProblem, given: D
     n = rooted.join(deg, "id")
     n = n.join(given.select("id", F.col("given").cast("int").alias("given")), "id", "left") if given is not None else n.withColumn("given", F.lit(0))
     n = n.withColumn("given", F.coalesce("given", F.lit(0)))
-    kinds = [(r["degree"], r["given"]) for r in n.select("degree", "given").distinct().limit(1000).collect()]
-    top = max((d for d, _ in kinds), default=0)
+    top = n.agg(F.max("degree")).first()[0] or 0
     if top > MAX_DEGREE:
         raise ValueError(f"degree {top} is above the limit of {MAX_DEGREE} for labelling problems")
+    kinds = [(r["degree"], r["given"]) for r in n.select("degree", "given").distinct().limit(MAX_KINDS + 1).collect()]
+    if len(kinds) > MAX_KINDS:
+        raise ValueError(f"more than {MAX_KINDS} kinds of degree and input label: a problem has a constant number of them")
     n = n.join(F.broadcast(problem.table(forest.nodes.sparkSession, kinds)), ["degree", "given"])
     up = ports.select(F.col("node").alias("id"), F.col("other").alias("parent"), (F.col("node_port") - 1).alias("op"))
     down = ports.select(F.col("other").alias("id"), F.col("node").alias("parent"), (F.col("node_port") - 1).alias("pp"))
