@@ -153,7 +153,7 @@ def is_fraction(s, d):
     e = write(workloads.event_chain(s, d).edges, "edges").df
     info = e.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("deg"), F.min("dst").alias("lo"), F.max("dst").alias("hi"))
     two = write(info.filter("deg = 2").select("id", "lo", "hi"), "two").df
-    got = write(sparse_independent(two, "seed_search", seeds=16), "chosen").df
+    got = write(sparse_independent(two, "conditional"), "chosen").df
     near = e.join(got.select(F.col("id").alias("src")), "src").join(got.select(F.col("id").alias("dst")), "dst").agg(F.count(F.lit(1)).alias("adjacent"))
     n = two.agg(F.count(F.lit(1)).alias("two")).crossJoin(got.agg(F.count(F.lit(1)).alias("got"))).crossJoin(near)
     return n.select("two", F.greatest(F.lit(0).cast("long"), F.ceil(F.col("two") / 8).cast("long") - F.col("got")).alias("shortfall"), "adjacent")

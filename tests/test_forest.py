@@ -220,3 +220,44 @@ def test_cycles(spark):
     e, report = hardness.shrink_cycles(workloads.cycles(spark, D, 2), 8)
     assert hardness.cycle_count(e.select(F.col("src").alias("a"), F.col("dst").alias("b"))).first().cycles == 2
     assert all(r["before"] / r["after"] > 2 for r in report[:1])
+
+
+def test_fixed_seeds_keep_an_eighth_of_each_component(spark):
+    import random
+
+    rnd = random.Random(5)
+    rows = []
+    for g in range(4):
+        ids = rnd.sample(range(1 << 20), 90)
+        rows += [(g, b, min(a, c), max(a, c)) for a, b, c in zip(ids, ids[1:], ids[2:])]
+    two = spark.createDataFrame(rows, "g long, id long, lo long, hi long")
+    got = {r.id for r in sparse_independent(two, "conditional").collect()}
+    for g in range(4):
+        mine = [r for r in rows if r[0] == g]
+        assert 8 * sum(r[1] in got for r in mine) >= len(mine)
+    assert not any(r[1] in got and (r[2] in got or r[3] in got) for r in rows)
+    # one seed for all without the column
+    assert 8 * sparse_independent(two.drop("g"), "conditional").count() >= len(rows)
+
+
+def test_core_runs_on_the_ladder(spark):
+    from canopy.components.solve import components
+    from canopy.ledger import Ledger
+
+    ledger = Ledger()
+    f = literal(spark, [(k, (k - 1) // 2) for k in range(1, 127)])
+    got = components(f, ledger=ledger, steps_per_log=1, first_guess=4).collect()
+    assert {r.component for r in got} == {126} and len(got) == 127
+    stages = [r[0] for r in ledger.rows]
+    assert "absorb" in stages and stages.count("shrink") <= 2 + 4 + 8
+
+
+def test_scope_drops_tables(spark):
+    import os
+
+    from canopy.store import scope, write
+
+    with scope() as held:
+        a = write(spark.range(3).toDF("id"), "a")
+        b = held(write(a.df, "b"))
+    assert not os.path.exists(a.path.removeprefix("file://")) and b.df.count() == 3
