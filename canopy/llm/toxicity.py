@@ -3,7 +3,7 @@
 * Lexicon.  Terms and stems are mined from labelled training rows only (at most
   ``SAMPLE`` rows of each class, by id hash): a term must be in so many toxic documents
   and so few others that chance is ruled out over all candidates.  Copies and near copies
-  count once (documents are told apart by two min-hashes of their words).
+  count once (documents are told apart by a min-hash of their words).
 * Automaton.  The trie of terms and the edit automaton are walked together.  States (trie node,
   edits) are determinised on demand and shared by all words, so a word costs a few table
   look-ups and most words die after two or three letters.  Short terms and stems allow no edit,
@@ -36,7 +36,6 @@ from canopy.store import write
 
 FOLDS, HELD_OUT, CUT = 4, 2, 0.3
 SAMPLE = 10_000  # labelled rows of each class at most
-MAX_TERMS = 2_000
 SPAN = 8
 WORD = re.compile(r"\w(?:[\w@$!*]*\w)?")
 #: Chance, over all candidates, that a harmless word enters the lexicon.
@@ -177,10 +176,12 @@ FEATURES = 6
 
 def features(text: str, auto: Automaton) -> np.ndarray | None:
     """Hit features of a text, None without a hit."""
-    words = words_of(text)
+    text = text.lower()  # offsets and marks are read from one string: lowering can change the length
+    found = list(WORD.finditer(text))
+    words = [m.group() for m in found]
     if not any(auto.find(w) for w in set(words)):
         return None
-    spans = [m.span() for m in WORD.finditer(text.lower())]
+    spans = [m.span() for m in found]
     exact = fuzzy = quoted = addressed = most = total = 0.0
     for i, w in enumerate(words):
         hit = auto.find(w)
@@ -220,47 +221,51 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, rounds: int = 60, ridge: float =
 
 
 def _terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(term, toxic, copy key) of labelled texts: words and stems; the key is alike for near copies."""
+    """(term, toxic, copy key) of labelled texts: words and stems.
+
+    The key is a min-hash of the words: alike for copies and most near copies.  Unrelated texts that share a word
+    of small hash count as one, so counts of terms err on the low side.
+    """
     for b in batches:
         for text, toxic in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
             words = {w for w in words_of(text or "") if 4 <= len(w) <= 40}
             if not words:
                 continue
-            hashes = [zlib.crc32(w.encode()) for w in words]
-            key = min(hashes) * 2_654_435_761 % (1 << 61)
+            key = min(zlib.crc32(w.encode()) for w in words)
             terms = words | {w[:k] + "*" for w in words for k in (4, 5, 6) if len(w) > k}
             yield pa.RecordBatch.from_arrays(
                 [pa.array(list(terms), pa.string()), pa.array([int(toxic)] * len(terms), pa.int32()), pa.array([key] * len(terms), pa.int64())], names=["term", "toxic", "copy"]
             )
 
 
-def lexicon(rows: list, toxic_docs: int, clean_docs: int) -> dict[str, float]:
-    """Terms whose toxic count can't be chance; rows are (term, toxic documents, other documents)."""
-    base = toxic_docs / max(1, toxic_docs + clean_docs)
-    limit = math.log(CHANCE / max(1, len(rows))) if rows else 0.0
+def beyond_chance(per: DataFrame, toxic_docs: int, clean_docs: int) -> DataFrame:
+    """``(term, rate, t)`` of ``per(term, t, o)``: terms of toxic documents whose count can't be chance.
+
+    The chance of at least t toxic ones of n is bounded by the relative entropy against the share of
+    toxic documents, and has to be below ``CHANCE`` over all candidates.
+    """
+    base = toxic_docs / (toxic_docs + clean_docs)
+    some = per.filter((F.col("t") >= 3) & (F.col("t") > base * (F.col("t") + F.col("o"))))
+    n, q = F.col("t") + F.col("o"), F.col("t") / (F.col("t") + F.col("o"))
+    rest = F.when(F.col("o") > 0, (1 - q) * F.log((1 - q) / (1 - base))).otherwise(0.0)
+    rate = ((F.col("t") + 0.5) / (toxic_docs + 1)) / ((F.col("o") + 0.5) / (clean_docs + 1))
+    tried = some.count()
+    chance = -n * (q * F.log(q / base) + rest)
+    return some.filter((rate >= 8) & (chance < math.log(CHANCE / max(1, tried)))).select("term", F.log(rate).alias("rate"), "t")
 
-    def log_chance(t: int, n: int) -> float:
-        """log of an upper bound of P(at least t of n), binomial with ``base`` (relative entropy bound)."""
-        q = t / n
-        if q <= base:
-            return 0.0
-        return -n * (q * math.log(q / base) + ((1 - q) * math.log((1 - q) / (1 - base)) if q < 1 else 0.0))
 
-    good = {}
-    for term, t, o in rows:
-        rate = ((t + 0.5) / (toxic_docs + 1)) / ((o + 0.5) / (clean_docs + 1))
-        if rate >= 8 and log_chance(t, t + o) < limit:
-            good[term] = (math.log(rate), t)
+def lexicon(rows: list) -> dict[str, float]:
+    """Weights of the terms to keep; rows are (term, log rate, toxic documents)."""
+    good = {term: (rate, t) for term, rate, t in rows}
     whole = {k: v for k, v in good.items() if not k.endswith("*")}
     stems = {k: v for k, v in good.items() if k.endswith("*")}
     # a stem is kept if endings beyond the kept terms carry it, and only its shortest good form
-    out = {k: v[0] for k, v in sorted(whole.items(), key=lambda x: (-x[1][1], x[0]))[:MAX_TERMS]}
+    out = {k: v[0] for k, v in sorted(whole.items(), key=lambda x: (-x[1][1], x[0]))}
     for k, (rate, t) in sorted(stems.items(), key=lambda x: (len(x[0]), x[0])):
         text = k[:-1]
         if any(text[:n] + "*" in out for n in (4, 5)) or t <= 1.5 * max([v[1] for w, v in whole.items() if w.startswith(text)] or [0]):
             continue
-        if len(out) < MAX_TERMS:
-            out[k] = rate
+        out[k] = rate
     return out
 
 
@@ -275,6 +280,18 @@ def _features(model):
     return run
 
 
+def _misspelt(weights):
+    """Words that the automaton would take for a misspelt term."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        auto = Automaton(weights.value)
+        for b in batches:
+            hits = ((w, auto.find(w)) for w in b.column(0).to_pylist())
+            yield pa.RecordBatch.from_arrays([pa.array([w for w, hit in hits if hit and hit[1]], pa.string())], names=["term"])
+
+    return run
+
+
 _KEPT: dict = {}
 
 
@@ -314,11 +331,13 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     per = rows.mapInArrow(_terms, "term string, toxic int, copy long").groupBy("term", "copy").agg(F.max("toxic").alias("toxic"))
     per = per.groupBy("term").agg(F.sum("toxic").alias("t"), F.count_if(F.col("toxic") == 0).alias("o"))
     per = write(per, "terms").df
-    share = bad / max(1, bad + good)
-    picked = per.filter((F.col("t") >= 3) & (F.col("t") > share * (F.col("t") + F.col("o")))).orderBy(F.desc("t"), "term").limit(50_000)
-    weights = lexicon([(r["term"], r["t"], r["o"]) for r in picked.collect()], bad, good) if bad and good else {}
-    clean = per.filter((F.col("o") >= 3) & ~F.col("term").endswith("*")).orderBy(F.desc("o"), "term").limit(50_000).select("term").toArrow()
-    common = frozenset(clean.column("term").to_pylist()) - set(weights)
+    weights: dict[str, float] = {}
+    if bad and good:
+        weights = lexicon([tuple(r) for r in beyond_chance(per, bad, good).select("term", "rate", "t").collect()])
+    # of the words of clean documents only those near a term matter
+    clean = per.filter((F.col("o") >= 3) & ~F.col("term").endswith("*")).select("term")
+    near = clean.mapInArrow(_misspelt(docs.sparkSession.sparkContext.broadcast(weights)), "term string").toArrow()
+    common = frozenset(near.column("term").to_pylist()) - set(weights)
     shared = docs.sparkSession.sparkContext.broadcast((weights, common))
     got = rows.mapInArrow(_features(shared), "x array<double>, toxic int").toArrow()
     w = np.zeros(FEATURES)
