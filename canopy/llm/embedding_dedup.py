@@ -80,8 +80,14 @@ def route(unit: np.ndarray, seed: int, splits: list[float]) -> tuple[np.ndarray,
     return (np.concatenate(rows), np.concatenate(nodes)) if rows else (np.zeros(0, int), np.zeros(0, int))
 
 
-def _unit(vectors: list[np.ndarray]) -> np.ndarray:
+def _scaled(vectors: list[np.ndarray]) -> np.ndarray:
+    """The vectors, each times a power of two that brings its largest component near 1: squares can't overflow."""
     v = np.stack(vectors).astype(np.float64)
+    return np.ldexp(v, -np.frexp(np.abs(v).max(axis=1))[1][:, None])
+
+
+def _unit(vectors: list[np.ndarray]) -> np.ndarray:
+    v = _scaled(vectors)
     return v / np.linalg.norm(v, axis=1)[:, None]
 
 
@@ -122,7 +128,7 @@ def leaves_of(items: DataFrame, trees: int = TREES) -> DataFrame:
         if fit.isEmpty():
             break
         routed = big.join(fit, "grp").select("sid", "v", "grp", "n", "splits")
-        routed = write(routed.mapInArrow(_route, "sid long, v array<float>, grp long, n long, node long"), "routed").df
+        routed = write(routed.mapInArrow(_route, "sid long, v array<double>, grp long, n long, node long"), "routed").df
         child = F.xxhash64("grp", "node")
         stop = F.col("node") == 0  # the tree could not split the group
         done.append(routed.filter(stop).select(F.col("grp").alias("bucket"), "sid"))
@@ -137,7 +143,7 @@ def leaves_of(items: DataFrame, trees: int = TREES) -> DataFrame:
 
 def _close(cosine: float):
     def linked(vectors: list[np.ndarray]) -> np.ndarray:
-        v = np.stack(vectors).astype(np.float64)
+        v = _scaled(vectors)
         n = np.linalg.norm(v, axis=1)
         return (v @ v.T) / (n[:, None] * n[None, :]) >= cosine
 
@@ -146,7 +152,7 @@ def _close(cosine: float):
 
 def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", label_col: str = "label", cosine: float = COSINE, trees: int = TREES) -> DataFrame:
     """``vec_id, n_links, component_id, kept``, one row per input row."""
-    d = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).cast("array<float>").alias("v"), F.col(label_col).cast("string").alias("label"))
+    d = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).cast("array<double>").alias("v"), F.col(label_col).cast("string").alias("label"))
     odd = F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
     zero = ~F.exists("v", lambda x: x != 0)
     fit = F.col("v").isNotNull() & F.col("label").isNotNull() & F.col("vec_id").isNotNull()

@@ -326,3 +326,19 @@ def test_hash_is_sha(spark):
     r = exact_dedup.query(spark, D).orderBy("doc_id").first()
     t = pq.read_table(f"{D}/documents.parquet").to_pandas().sort_values("doc_id").text.iloc[0]
     assert r.text_sha256 == hashlib.sha256(re.sub(r"[\x20\x09-\x0D]+", " ", t).encode()).hexdigest()
+
+
+def test_quotation_after_letters_that_grow_when_lowered():
+    auto = toxicity.Automaton({"idiot": 3.0})
+    same = [toxicity.features(c * 40 + 'x "idiot" y z', auto).tolist() for c in ("İ ", "I ")]
+    assert same[0] == same[1] and same[0][4] == 1
+
+
+def test_double_vectors(spark):
+    """Doubles beyond the range of floats, and cosines that floats would round over the limit."""
+    near = math.acos(0.98)
+    v = [(1, [1e200, 1e200]), (2, [1e200, 1.01e200]), (3, [1e-200, 1e-200]), (4, [-1.0, 1.0])]
+    v += [(i, [math.cos(a), math.sin(a)]) for i, a in ((11, 3.0), (12, 3.0 + near - 1e-9), (13, 3.0 - near - 1e-9))]
+    df = spark.createDataFrame([(i, x, 1 if i < 10 else 2) for i, x in v], "vec_id long, embedding array<double>, label int")
+    got = {r.vec_id: (r.n_links, r.component_id) for r in embedding_dedup.near_duplicates(df).collect()}
+    assert got == {1: (2, 1), 2: (2, 1), 3: (2, 1), 4: (0, 4), 11: (1, 11), 12: (1, 11), 13: (0, 13)}
