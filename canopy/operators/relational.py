@@ -34,7 +34,7 @@ def scan_pruned(s, d) -> DataFrame:
     return table(s, d, "lineitem").select("l_orderkey", F.col("l_linenumber").cast("long").alias("line")).filter("l_orderkey < 1000")
 
 
-@op("format_round_trip", None)
+@op("format_round_trip", "with w as (select (conv_id * 16 + turn) * 8 + 7 as a, lead((conv_id * 16 + turn) * 8 + 7) over (partition by conv_id order by turn) as b from conversations) select format, 2 * count(b) as n, sum(case when b is not null then a + b end)::bigint as total from w, (values ('csv'), ('json'), ('orc')) v(format) group by format")
 def format_round_trip(s, d) -> DataFrame:
     """An edge list through CSV, JSON and ORC; every format must give it back."""
     import uuid
@@ -157,9 +157,12 @@ def distinct_aggregate(s, d):
     return table(s, d, "events").groupBy("event_type").agg(F.count_distinct("user_id").alias("users"))
 
 
-@op("approx_distinct", None)
+@op("approx_distinct", "select count(distinct l_orderkey) as orders, true as near from lineitem")
 def approx_distinct(s, d):
-    return table(s, d, "lineitem").agg(F.approx_count_distinct("l_orderkey", 0.02).alias("orders"))
+    """Exact number of keys, and whether the sketch comes within three standard errors of it."""
+    t = table(s, d, "lineitem").select("l_orderkey")
+    both = t.agg(F.approx_count_distinct("l_orderkey", 0.02).alias("about")).crossJoin(t.distinct().agg(F.count("l_orderkey").alias("orders")))
+    return both.select("orders", (F.abs(F.col("about") - F.col("orders")) <= 0.06 * F.col("orders")).alias("near"))
 
 
 @op("rollup", "select r_name, n_name, count(*) as customers from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by rollup (r_name, n_name)")
@@ -286,7 +289,7 @@ def array_tests(s, d):
     return n.select("nation", F.size(F.filter("a", lambda x: x % 3 == 0)).cast("long").alias("thirds"), F.aggregate("a", F.lit(0).cast("long"), lambda t, x: t + x).alias("total"), F.exists("a", lambda x: x == 7).alias("has_seven"))
 
 
-@op("json", None)
+@op("json", "select event_id, array_to_string(list_sort(json_keys(props)), ',') as keys, json_array_length(to_json(json_keys(props)))::bigint as n from events")
 def json_(s, d):
     e = table(s, d, "events").select("event_id", F.from_json("props", "map<string,string>").alias("m"))
     return e.select("event_id", F.array_join(F.sort_array(F.map_keys("m")), ",").alias("keys"), F.cardinality("m").cast("long").alias("n"))

@@ -8,15 +8,17 @@ from pyspark.sql import functions as F
 
 from canopy import baselines, hardness, streaming, workloads
 from canopy import views as V
+from canopy.baselines import labelling
 from canopy.budget import Budget
-from canopy.components.shrink import sparse_independent
+from canopy.components.shrink import PRIME, actions, coefficients, sparse_independent
 from canopy.components.solve import components, components_fallback
 from canopy.ledger import Ledger
 from canopy.lcl import problem as lcl
 from canopy.lcl.sizing import assign_ports, mark_local_roots, mis_level, path_distances, subtree_sizes
-from canopy.lcl.solve import solve_lcl
+from canopy.lcl.solve import init_compat, solve_lcl
 from canopy.lcl.problem import violations
 from canopy.maxid import contract_paths, max_id
+from canopy.maxid.core import classify_exact
 from canopy.operators.relational import FK_SQL, OPS
 from canopy.rooting import depths, root_defects, root_forest, two_colour
 from canopy.store import table, write
@@ -190,6 +192,43 @@ query("sum_subtree_sizes_heap2", f"{HEAP_DEPTH} select sum(depth + 1)::bigint as
     lambda s, d: depths(_heap_parents(s, d)).agg(F.sum(F.col("depth") + 1).alias("total"), F.count(F.lit(1)).alias("nodes"), F.max("depth").alias("longest"))
 )
 
+# --- single steps: light subtrees, rake, splice -------------------------------------------------------------
+
+
+@query(
+    "light_heavy_heap2",
+    f"{HEAP_SIZES}, n as (select count(*) as n from orders) select id, (id - 1) // 2 as against, size as subtree from z where id > 0 and size <= 100 union all select (id - 1) // 2, id, n - size from z, n where id > 0 and n - size <= 100",
+)
+def light_heavy_heap2(s, d):
+    """Light sides of at most 100 nodes, from subtree sizes."""
+    f, p = workloads.heap(s, d, 2).kept(), write(_heap_parents(s, d), "parents").df
+    sizes = subtree_sizes(p, p.count()).select("id", "size")
+    return classify_exact(f.edges, f.nodes, p.select("id", "parent", F.lit(0).cast("long").alias("root")), sizes, 100)
+
+
+@query("leaf_rake_once", 'select o_orderkey as node, (o_orderkey - 1) // 2 as "into" from orders where 2 * o_orderkey + 1 not in (select o_orderkey from orders)')
+def leaf_rake_once(s, d):
+    """The leaves that one step hangs on their neighbours."""
+    f = workloads.heap(s, d, 2).kept()
+    return actions(write(f.edges, "edges").df, 0).filter("kind = 'rake'").select("node", "into")
+
+
+def _hash_sql(c: str) -> str:
+    out = "0"
+    for k in coefficients(1):
+        out = f"(({out} * ({c} % {PRIME}) + {k}) % {PRIME})"
+    return out
+
+
+@query(
+    "splice_once",
+    f"with s as (select event_id * 8 + 7 as id, row_number() over w as r, count(*) over (partition by user_id) as n, lag(event_id * 8 + 7) over w as p, lead(event_id * 8 + 7) over w as q from events window w as (partition by user_id order by ts, event_id)) select id as node, least(p, q) as lo, greatest(p, q) as hi from s where r between 3 and n - 2 and {_hash_sql('id')} < {_hash_sql('p')} and {_hash_sql('id')} < {_hash_sql('q')}",
+)
+def splice_once(s, d):
+    """The degree-2 nodes that one step splices out: hash minima without an acting leaf beside them."""
+    return actions(write(workloads.event_chain(s, d).edges, "edges").df, 0).filter("kind = 'splice'").select("node", "lo", "hi")
+
+
 # --- labellings ---------------------------------------------------------------------------------------------
 
 query(
@@ -212,9 +251,9 @@ for i in (0, 1, 2):
     )
 
 
-def _lcl(s, d, p, given=None) -> DataFrame:
+def _lcl(s, d, p, given=None, solver=None) -> DataFrame:
     f = workloads.event_cut(s, d, 16).kept()
-    labels, none = solve_lcl(f, p, given, cap=4)
+    labels, none = solver(f, p, given) if solver else solve_lcl(f, p, given, cap=4)
     labels = write(labels, "labels").df
     bad = violations(p, f.edges, labels, given).agg(F.count(F.lit(1)).alias("violations"))
     n = f.nodes.agg(F.count(F.lit(1)).alias("nodes"))
@@ -226,6 +265,36 @@ for name, p in (("mis", lcl.independent_set), ("match", lcl.matching), ("col3",
     query(f"lcl_{name}_violations", f"with {_CUT} select nodes, 2 * (nodes - trees) as half_edges, 0::bigint as violations, 0::bigint as unsolvable from g")(lambda s, d, p=p: _lcl(s, d, p()))
 
 
+@query(
+    "compat_init_cut16",
+    "with s as (select event_id * 8 + 7 as id, user_id, row_number() over (partition by user_id order by ts, event_id) - 1 as r from events), x as (select id, user_id, r // 16 as k, r, lag(id) over w as p, lead(id) over w as q, max(id) over (partition by user_id, r // 16) as root from s window w as (partition by user_id, r // 16 order by r)), y as (select *, max(case when id = root then r end) over (partition by user_id, k) as top from x), z as (select *, case when r < top then q when r > top then p end as parent, case when r < top then p else q end as other from y) select z.id, z.parent, z.root, case when z.parent is not null then (z.other is not null and z.other < z.parent)::int::bigint end as op, case when z.parent is not null then (case when u.p = z.id then u.q else u.p end is not null and case when u.p = z.id then u.q else u.p end < z.id)::int::bigint end as pp from z left join y u on u.id = z.parent",
+)
+def compat_init_cut16(s, d):
+    """Ports of every node towards its parent and of the parent towards it."""
+    f = workloads.event_cut(s, d, 16).kept()
+    rows = init_compat(f, write(root_forest(f), "rooted").df, lcl.independent_set())
+    return rows.select("id", "parent", "root", F.col("op").cast("long").alias("op"), F.col("pp").cast("long").alias("pp"))
+
+
+@query("baseline_lcl_rake_cut16", f"with {_CUT} select nodes, 2 * (nodes - trees) as half_edges, 0::bigint as violations, 0::bigint as unsolvable from g")
+def baseline_lcl_rake_cut16(s, d):
+    return _lcl(s, d, lcl.independent_set(), solver=labelling.lcl_rake_compress)
+
+
+@query("baseline_mis_colours_events", "select count(*) as nodes, 0::bigint as adjacent, 0::bigint as uncovered from events")
+def baseline_mis_colours_events(s, d):
+    """Independent set of the event chains by colour reduction: nodes, adjacent pairs inside, nodes without a member beside them."""
+    w = W.partitionBy("user_id").orderBy("ts", "event_id")
+    chain = write(table(s, d, "events").select((F.col("event_id") * 8 + 7).alias("id"), F.lead(F.col("event_id") * 8 + 7).over(w).alias("next")), "chain").df
+    inside = write(labelling.mis_colour_reduction(chain), "inside").df
+    e = chain.filter("next is not null")
+    e = write(e.select(F.col("id").alias("a"), F.col("next").alias("b")).unionByName(e.select(F.col("next").alias("a"), F.col("id").alias("b"))), "edges").df
+    near = e.join(inside.select(F.col("id").alias("b")), "b", "left_semi").select(F.col("a").alias("id")).distinct()
+    adjacent = inside.join(near, "id", "left_semi").agg(F.count(F.lit(1)).alias("adjacent"))
+    bare = chain.select("id").join(inside, "id", "left_anti").join(near, "id", "left_anti").agg(F.count(F.lit(1)).alias("uncovered"))
+    return chain.agg(F.count(F.lit(1)).alias("nodes")).crossJoin(adjacent).crossJoin(bare)
+
+
 @query("lcl_odd_unsolvable", f"with c as ({cut_sql(16)}) select distinct component from c")
 def lcl_odd_unsolvable(s, d):
     return solve_lcl(workloads.event_cut(s, d, 16), lcl.odd_out_degree(), cap=4)[1]
@@ -294,6 +363,7 @@ def ledger_bounds_heap2(s, d):
 
 for name, f in (("flood", baselines.flood_max), ("peel", baselines.peel), ("uniform", baselines.uniform_doubling), ("rake", baselines.rake_compress)):
     query(f"baseline_{name}_cut16", cut_sql(16))(lambda s, d, f=f: f(workloads.event_cut(s, d, 16).kept()))
+query("baseline_contract_cut16", cut_sql(16))(lambda s, d: labelling.contract_until_small(workloads.event_cut(s, d, 16).kept()))
 query("baseline_star_fk", FK_CC)(lambda s, d: components_fallback(workloads.fk_forest(s, d)))
 query("baseline_broadcast_heap2", ONE_TREE)(lambda s, d: baselines.broadcast_max(workloads.heap(s, d, 2)))
 
