@@ -53,9 +53,34 @@ def view_to_purchase(events: DataFrame, within: str = "1 hour") -> DataFrame:
     return v.join(p, F.expr(f"vu = pu and tp > tv and tp <= tv + interval {within}")).select("v", "p")
 
 
+def spanning(quotient: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Edges ``(ca, cb)`` of a spanning forest of ``quotient(a, b, ca, cb)``, and the ``(a, b)`` that would close a cycle.
+
+    In each round every group picks its smallest edge by (a, b), so picks never form a cycle; the number
+    of groups at least halves.  Of a repeated edge one is used.
+    """
+    k = quotient.groupBy("a", "b").agg(F.first("ca").alias("ca"), F.first("cb").alias("cb"), F.count(F.lit(1)).alias("n"))
+    rest = write(k.select("a", "b", F.col("ca").alias("x"), F.col("cb").alias("y"), "ca", "cb"), "rest").df
+    closing = write(k.filter("n > 1").select("a", "b"), "closing").df
+    kept = rest.select("ca", "cb").limit(0)
+    while not rest.isEmpty():
+        ends = rest.select(F.col("x").alias("g"), "a", "b").unionByName(rest.select(F.col("y").alias("g"), "a", "b"))
+        best = ends.groupBy("g").agg(F.min(F.struct("a", "b")).alias("e")).select("e.a", "e.b").distinct()
+        best = write(best, "best").df
+        used = write(rest.join(best, ["a", "b"], "left_semi"), "used").df
+        kept = write(kept.unionByName(used.select("ca", "cb")), "kept").df
+        at = write(star_components(used, "x", "y"), "groups").df
+        left = rest.join(best, ["a", "b"], "left_anti")
+        left = left.join(at.select(F.col("id").alias("x"), F.col("component").alias("u")), "x").join(at.select(F.col("id").alias("y"), F.col("component").alias("v")), "y")
+        left = write(left.select("a", "b", F.col("u").alias("x"), F.col("v").alias("y"), "ca", "cb"), "left").df
+        closing = write(closing.unionByName(left.filter("x = y").select("a", "b")), "closing").df
+        rest = left.filter("x <> y")
+    return kept, closing
+
+
 class LiveComponents:
-    """Components under arriving edges: a batch is mapped to current labels, the small graph of labels is solved,
-    and only touched labels are rewritten.  Edges inside one component would close a cycle and are set aside."""
+    """Components under arriving edges: a batch is mapped to current labels and the small graph of labels is solved.
+    Edges that would close a cycle, with earlier batches or inside one, are set aside; labels are rewritten as a whole."""
 
     def __init__(self, spark: SparkSession):
         self.spark = spark
@@ -70,7 +95,9 @@ class LiveComponents:
         ca, cb = known.select(F.col("id").alias("a"), F.col("component").alias("ca")), known.select(F.col("id").alias("b"), F.col("component").alias("cb"))
         q = write(p.join(ca, "a").join(cb, "b"), "quotient").df
         self.rejected = write(self.rejected.unionByName(q.filter("ca = cb").select("a", "b")), "rejected").df
-        moved = star_components(q.filter("ca <> cb"), "ca", "cb").select(F.col("id").alias("component"), F.col("component").alias("new"))
+        kept, closing = spanning(q.filter("ca <> cb"))
+        self.rejected = write(self.rejected.unionByName(closing), "rejected").df
+        moved = star_components(kept, "ca", "cb").select(F.col("id").alias("component"), F.col("component").alias("new"))
         self.labels = write(known.join(moved, "component", "left").select("id", F.coalesce("new", "component").alias("component")), "labels").df
 
     def follow(self, pairs_stream: DataFrame) -> None:

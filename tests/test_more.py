@@ -77,3 +77,12 @@ def test_plan_reports(spark):
     assert plans.exchanges(spark.range(10).groupBy(F.col("id") % 3).count()) == 1 and plans.exchanges(spark.range(10)) == 0
     r = plans.skew(e, "src").first()
     assert (r.keys, r.most, r.median) == (30, 29, 1)
+
+
+def test_cycles_inside_a_batch(spark):
+    live = streaming.LiveComponents(spark)
+    live.add(spark.createDataFrame([(1, 2), (2, 3), (3, 1), (4, 5), (4, 5), (5, 6), (7, 7)], "a long, b long"))
+    assert sorted(tuple(r) for r in live.rejected.collect()) == [(3, 1), (4, 5), (7, 7)]
+    live.add(spark.createDataFrame([(6, 1), (3, 4), (8, 1)], "a long, b long"))
+    assert sorted(tuple(r) for r in live.rejected.collect()) == [(3, 1), (4, 5), (6, 1), (7, 7)]
+    assert {tuple(r) for r in live.labels.collect()} == {(i, 7 if i == 7 else 1) for i in range(1, 9)}
