@@ -2,9 +2,9 @@
 
 Fixed patterns find base spans.  A wider pattern finds token-like candidates.  All
 candidate values of the corpus are aggregated by hash: how many distinct owners and
-repositories hold the value.  A value that many owners hold is a copied example; a
-token-like value of few owners that also looks live (mixed classes, entropy, no
-placeholder) becomes a span of kind ``live``.
+repositories hold the value.  A value that many owners or many repositories hold is a
+copied example; a token-like value of few owners and repositories that also looks live
+(mixed classes, entropy, no placeholder) becomes a span of kind ``live``.
 
 Owner = ``source``; repository = ``source`` and ``lang`` (a sub-collection of an
 owner): the table has no finer column, both are parameters.
@@ -30,30 +30,35 @@ HEX = r"[0-9a-f]{24,}"
 TOKEN = r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])(?=[0-9+/_=-]*[A-Za-z])[A-Za-z0-9+/_=-]{20,}"
 PLACEHOLDER = r"(?i)example|sample|changeme|placeholder|dummy|your|test|xxxx|0{6,}|1234567|abcdef0123"
 KINDS = {"assign": 0, "access": 1, "hex": 2, "live": 3}
-#: A value held by more owners than this is an example that was copied around.
+#: A value held by more owners, or in more repositories, than this is an example that was copied around.
 MAX_OWNERS = 2
+MAX_REPOS = 4
 MIN_ENTROPY = 3.0
 
 
+def running(lengths: Column) -> Column:
+    """Running sums of an array, by doubling: log2 of its size passes, so long arrays cost no quadratic time."""
+
+    def double(sums: Column, k: Column) -> Column:
+        back = F.call_function("shiftleft", F.lit(1), k)
+        return F.transform(sums, lambda x, i: x + F.coalesce(F.get(sums, i - back), F.lit(0)))
+
+    return F.aggregate(F.sequence(F.lit(0), F.ceil(F.log2(F.size(lengths))).cast("int")), lengths, double)
+
+
 def matches(text: Column, pattern: str) -> Column:
     """``array<struct<start, end, m>>`` of the leftmost non-overlapping matches, in code points."""
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    parts = F.arrays_zip(
-        F.transform(F.split(text, pattern, -1), lambda p: F.length(p)).alias("gap"), found.alias("m")
-    )
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,m:string>>").alias("out"))
+    gaps = F.transform(F.split(text, pattern, -1), lambda p: F.length(p))
+    parts = F.filter(F.arrays_zip(gaps.alias("gap"), found.alias("m")), lambda x: x["m"].isNotNull())
 
-    def step(acc: Column, p: Column) -> Column:
-        s = acc["at"] + p["gap"]
-        e = s + F.coalesce(F.length(p["m"]), F.lit(0))
-        more = F.when(
-            p["m"].isNotNull(),
-            F.concat(acc["out"], F.array(F.struct(s.alias("start"), e.alias("end"), p["m"].alias("m")))),
-        ).otherwise(acc["out"])
-        return F.struct(e.alias("at"), more.alias("out"))
+    def placed(p: Column) -> Column:
+        ends = running(F.transform(p, lambda x: x["gap"] + F.length(x["m"])))
+        return F.zip_with(p, ends, lambda x, e: F.struct((e - F.length(x["m"])).alias("start"), e.alias("end"), x["m"].alias("m")))
 
+    # the array of one element binds the parts, so patterns are applied once
     none = F.array().cast("array<struct<start:int,end:int,m:string>>")
-    return F.when(text.rlike(pattern), F.aggregate(parts, start, step, lambda a: a["out"])).otherwise(none)
+    return F.when(text.rlike(pattern), F.get(F.transform(F.array(parts), placed), F.lit(0))).otherwise(none)
 
 
 def entropy(value: Column) -> Column:
@@ -131,7 +136,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner:
     key = F.xxhash64("id", "base", "wide").alias("key")
     some = found.filter(F.size("base") + F.size("wide") > 0).select(key, "base", "wide").distinct()
     each = some.select("key", F.explode(F.concat("base", "wide")).alias("s")).select("key", "s", F.sha2("s.value", 256).alias("vh"))
-    live = (F.col("n_owners") <= MAX_OWNERS) & F.col("live_looking")
+    live = (F.col("n_owners") <= MAX_OWNERS) & (F.col("n_repos") <= MAX_REPOS) & F.col("live_looking")
     judged = each.join(known, "vh").select("key", "s", live.alias("live"))
     per = judged.groupBy("key").agg(
         F.array_sort(F.collect_list(F.when(F.col("live") & (F.col("s.k") == KINDS["live"]), F.col("s")))).alias("live"),
