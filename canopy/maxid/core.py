@@ -43,7 +43,9 @@ class Options:
 class Phase:
     nodes: DataFrame  # id, best
     edges: DataFrame
-    folds: DataFrame  # kind, node, into, e_src, e_dst
+    folds: DataFrame  # kind, node, into, hop: the neighbour towards ``into``
+    runs: DataFrame | None = None  # id, lo, hi, to_lo, to_hi: nodes of contracted paths, ends, neighbours towards these
+    trees: DataFrame | None = None  # id, parent: trees without a heavy node, rooted at an end of their middle edge
     report: dict = field(default_factory=dict)
 
 
@@ -114,6 +116,19 @@ def _settle(views: DataFrame, states: DataFrame, edges: DataFrame, cap: int) ->
     return new, rows.select("owner", "known", "first_hop", "last_hop", "dist")
 
 
+def _apart(hang: DataFrame, side: DataFrame) -> DataFrame:
+    """Owners of ``hang(owner, against)`` whose sides ``side(owner, against, node)`` are folded: no two overlap.
+
+    Only a too small guess leaves overlaps, since a heavy node is in no light side.  Of nested sides the outer one
+    stays; of two that cover the tree together, the one with the larger edge.
+    """
+    other = side.select(F.col("owner").alias("o2"), F.col("against").alias("w2"), F.col("node").alias("against"))
+    met = hang.join(other, "against")
+    back = side.select("owner", F.col("node").alias("w2"), F.lit(True).alias("both"))
+    worse = met.join(back, ["owner", "w2"], "left").filter(F.col("both").isNull() | (F.struct("w2", "o2") > F.struct("against", "owner")))
+    return hang.join(worse, "owner", "left_anti").select("owner")
+
+
 def absorb_light(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget, options: Options | None = None, ledger: Ledger | None = None, phase: int = 0) -> Phase:
     """Fold every light subtree; ``guess`` must reach the diameter for a complete result."""
     options = options or Options()
@@ -192,19 +207,24 @@ def absorb_light(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget,
     other = s.select(F.col("id").alias("against"), F.col("against").alias("back"))
     edge = write(s.join(other, "against", "left").select("id", "against", F.coalesce(F.col("back") == F.col("id"), F.lit(False)).alias("mutual"), F.col("back").isNotNull().alias("other")), "borders").df
     hang = edge.filter("not other").select(F.col("id").alias("owner"), "against")
-    side = views.join(hang, "owner").filter("first_hop <> against")
-    into_heavy = side.select(F.col("known").alias("node"), F.col("against").alias("into"), F.col("last_hop").alias("hop")).unionByName(hang.select(F.col("owner").alias("node"), F.col("against").alias("into"), F.col("against").alias("hop")))
+    side = views.join(hang, "owner").filter("first_hop <> against").select("owner", "against", F.col("known").alias("node"), F.col("last_hop").alias("hop"))
+    side = write(side.unionByName(hang.select("owner", "against", F.col("owner").alias("node"), F.col("against").alias("hop"))), "sides").df
+    into_heavy = side.join(_apart(hang, side), "owner", "left_semi").select("node", F.col("against").alias("into"), "hop")
     mutual = edge.filter("mutual and id > against").select(F.col("id").alias("owner"), "against")
     both = mutual.select(F.struct("owner", "against").alias("e"), F.explode(F.array(F.struct(F.col("owner").alias("v"), F.col("against").alias("u")), F.struct(F.col("against").alias("v"), F.col("owner").alias("u")))).alias("x"))
     members = both.select("e", F.col("x.v").alias("owner"), F.col("x.u").alias("u"))
-    whole = members.join(views, "owner").filter("first_hop <> u").select("e", F.col("known").alias("node")).unionByName(members.select("e", F.col("owner").alias("node")))
+    whole = members.join(views, "owner").filter("first_hop <> u").select("e", F.col("known").alias("node"), F.col("last_hop").alias("hop"))
+    whole = write(whole.unionByName(members.select("e", F.col("owner").alias("node"), F.when(F.col("owner") < F.col("u"), F.col("u")).alias("hop"))), "trees").df
+    # a too small guess can leave several such edges in a tree: the largest counts
+    whole = whole.groupBy("node").agg(F.max("e").alias("e"), F.max_by("hop", "e").alias("hop"))
     top = whole.groupBy("e").agg(F.max("node").alias("into"))
     all_light = whole.join(top, "e").filter("node <> into").select("node", "into", F.lit(None).cast("long").alias("hop")).distinct()
     folds = into_heavy.withColumn("kind", F.lit("light")).unionByName(all_light.withColumn("kind", F.lit("tree")))
     folds = write(folds.groupBy("node").agg(F.max("into").alias("into"), F.max("hop").alias("hop"), F.max("kind").alias("kind")), "folds").df
     new_nodes, new_edges = fold(nodes, edges, folds)
     counts = states.groupBy("state").count().collect()
-    return Phase(write(new_nodes, "nodes").df, write(new_edges, "edges").df, folds, {"spike": spike, "iterations": iterations, "states": {r["state"]: r["count"] for r in counts}, "final_states": states, "views": views})
+    trees = whole.select(F.col("node").alias("id"), F.col("hop").alias("parent"))
+    return Phase(write(new_nodes, "nodes").df, write(new_edges, "edges").df, folds, trees=trees, report={"spike": spike, "iterations": iterations, "states": {r["state"]: r["count"] for r in counts}, "final_states": states, "views": views})
 
 
 def contract_paths(nodes: DataFrame, edges: DataFrame, ledger: Ledger | None = None, phase: int = 0) -> Phase:
@@ -233,7 +253,7 @@ def contract_paths(nodes: DataFrame, edges: DataFrame, ledger: Ledger | None = N
         nxt = links.select(F.col("id").alias("to"), F.col("via").alias("v2"), F.col("to").alias("t2"), F.col("from_").alias("f2"), F.col("end").alias("e2"))
         step = go.join(nxt, "to").filter("v2 <> from_").select("id", "via", F.col("t2").alias("to"), F.col("f2").alias("from_"), F.col("e2").alias("end"))
         links = write(links.filter("end").unionByName(step), "links").df
-    ends = links.groupBy("id").agg(F.max("to").alias("hi"), F.min("to").alias("lo"), F.max_by("via", F.struct("to", "via")).alias("hop"))
+    ends = links.groupBy("id").agg(F.max("to").alias("hi"), F.min("to").alias("lo"), F.max_by("via", F.struct("to", "via")).alias("hop"), F.min_by("via", F.struct("to", "via")).alias("back"))
     ends = write(ends, "ends").df
     gone = ends.select(F.col("id").alias("node"), F.col("hi").alias("into"), "hop", F.lit("path").alias("kind"))
     bridges = ends.select("lo", "hi").distinct()
@@ -241,13 +261,17 @@ def contract_paths(nodes: DataFrame, edges: DataFrame, ledger: Ledger | None = N
     new_edges = kept.unionByName(bridges.select(F.col("lo").alias("src"), F.col("hi").alias("dst"))).unionByName(bridges.select(F.col("hi").alias("src"), F.col("lo").alias("dst"))).distinct()
     folds = write(gone, "folds").df
     new_nodes = nodes.join(folds.select(F.col("node").alias("id"), "into"), "id", "left").groupBy(F.coalesce("into", "id").alias("id")).agg(F.max("best").alias("best"))
-    return Phase(write(new_nodes, "nodes").df, write(new_edges, "edges").df, folds)
+    runs = ends.select("id", "lo", "hi", F.col("back").alias("to_lo"), F.col("hop").alias("to_hi"))
+    return Phase(write(new_nodes, "nodes").df, write(new_edges, "edges").df, folds, runs=runs)
 
 
-def max_id(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget | None = None, options: Options | None = None, ledger: Ledger | None = None, phases: int = 40) -> DataFrame:
+def max_id(
+    nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget | None = None, options: Options | None = None, ledger: Ledger | None = None, phases: int = 40, history: list[Phase] | None = None
+) -> DataFrame:
     """``(id, best)`` with ``best`` the largest best of the tree; ``nodes(id)`` or ``nodes(id, best)``.
 
-    Trees that a too small guess leaves unfinished have a null ``best``.
+    Trees that a too small guess leaves unfinished have a null ``best``.  ``history`` takes the phases, two an
+    entry of the loop, in their order.
     """
     budget = budget or Budget()
     if "best" not in nodes.columns:
@@ -260,6 +284,8 @@ def max_id(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget | None
         a = absorb_light(nodes, edges, guess, budget, options, ledger, p)
         c = contract_paths(a.nodes, a.edges, ledger, p)
         done += [a.folds.select("node", "into"), c.folds.select("node", "into")]
+        if history is not None:
+            history += [a, c]
         nodes, edges = c.nodes, c.edges
         after = nodes.count()
         if ledger is not None:

@@ -6,31 +6,98 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.budget import Budget
-from canopy.components.shrink import shrink
-from canopy.components.solve import components
+from canopy.components.solve import Rung, climb
 from canopy.ledger import Ledger
+from canopy.maxid.core import Phase
 from canopy.model.forest import Forest
-from canopy.store import write
+from canopy.store import scope, write
 
 
-def root_forest(forest: Forest, budget: Budget | None = None, ledger: Ledger | None = None) -> DataFrame:
+def root_forest(
+    forest: Forest, budget: Budget | None = None, ledger: Ledger | None = None, shrink_rounds: int | None = None, strategy: str = "local_minimum", steps_per_log: int = 3, first_guess: int = 16
+) -> DataFrame:
     """``(id, parent, root)``; parent is null at the root, the largest id of the tree.
 
-    The forest is shrunk with its largest ids protected, so they are what is left.  Replay
-    in reverse: a raked leaf hangs on its neighbour; a spliced node takes its place on
-    the edge that bridged it, in the direction that this edge has got meanwhile.
+    One run of the components ladder: its rungs are undone from the last to the first, each giving the nodes that
+    come back their place in the orientation so far.  That roots each tree at some node that is left; the path from
+    there to the largest id is then turned round.  All rounds grow with the logarithm of the largest diameter.
     """
-    comp = write(components(forest, budget, ledger), "components").df
-    protect = write(comp.select(F.col("component").alias("id")).distinct(), "roots").df
-    s = shrink(write(forest.nodes.withColumn("best", F.col("id")), "nodes").df, write(forest.edges, "edges").df, 10_000, ledger=ledger, protect=protect)
-    at = s.nodes.select("id", F.lit(None).cast("long").alias("parent"))
-    for acts in reversed(s.folds):
-        leaf = acts.filter("kind = 'rake'").select(F.col("node").alias("id"), F.col("into").alias("parent"))
-        cut = acts.filter("kind = 'splice'").select("node", F.explode(F.array(F.struct(F.col("lo").alias("id"), F.col("hi").alias("parent")), F.struct(F.col("hi").alias("id"), F.col("lo").alias("parent")))).alias("e")).select("node", "e.id", "e.parent")
-        j = at.join(cut, ["id", "parent"], "left")
-        at = j.select("id", F.coalesce("node", "parent").alias("parent")).unionByName(j.filter("node is not null").select(F.col("node").alias("id"), "parent")).unionByName(leaf)
-        at = write(at, "parents").df
-    return at.join(comp, "id").select("id", "parent", F.col("component").alias("root"))
+    with scope() as held:
+        rungs: list[Rung] = []
+        comp = write(climb(forest, budget or Budget(), ledger, shrink_rounds, strategy, steps_per_log, first_guess, rungs), "components").df
+        comp = comp.withColumnRenamed("component", "root")
+        at = forest.nodes.select("id", F.lit(None).cast("long").alias("parent")).limit(0)
+        for r in reversed(rungs):
+            if r.phases:
+                live = r.phases[-1].nodes.join(r.phases[-1].edges.select(F.col("src").alias("id")), "id", "left_anti")
+                done = live.select("id", F.lit(None).cast("long").alias("parent"))
+                for p in reversed(r.phases):
+                    done = undo_phase(done, p, ledger)
+                at = at.unionByName(done)
+            if r.lone is not None:
+                at = at.unionByName(r.lone.select("id", F.lit(None).cast("long").alias("parent")))
+            at = write(at, "parents").df
+            for acts in reversed(r.acts):
+                at = undo_step(at, acts, ledger)
+        return held(write(turn(at, comp, ledger).join(comp, "id").select("id", "parent", "root"), "rooted")).df
+
+
+def undo_step(at: DataFrame, acts: DataFrame, ledger: Ledger | None = None) -> DataFrame:
+    """``at(id, parent)`` before a step of shrinking: a raked leaf hangs on its neighbour, a spliced node takes its
+    place on the edge that bridged it, in the direction that this edge has got meanwhile."""
+    leaf = acts.filter("kind = 'rake'").select(F.col("node").alias("id"), F.col("into").alias("parent"))
+    cut = acts.filter("kind = 'splice'").select("node", F.explode(F.array(F.struct(F.col("lo").alias("id"), F.col("hi").alias("parent")), F.struct(F.col("hi").alias("id"), F.col("lo").alias("parent")))).alias("e")).select("node", "e.id", "e.parent")
+    j = at.join(cut, ["id", "parent"], "left")
+    both = F.when(F.col("node").isNull(), F.array(F.struct("id", "parent"))).otherwise(F.array(F.struct("id", F.col("node").alias("parent")), F.struct(F.col("node").alias("id"), "parent")))
+    out = write(j.select(F.explode(both).alias("x")).select("x.id", "x.parent").unionByName(leaf), "parents").df
+    if ledger is not None:
+        ledger.add("root", "undo step", rounds=1)
+    return out
+
+
+def undo_phase(at: DataFrame, phase: Phase, ledger: Ledger | None = None) -> DataFrame:
+    """``at(id, parent)`` of finished trees before a phase of the core.
+
+    The nodes of a contracted path point along the direction of the edge that stood for it; those of a light
+    subtree point to the heavy node that it hung on; a tree without heavy nodes brings its own orientation.
+    """
+    if phase.runs is None and phase.trees is None:
+        return at
+    if phase.runs is not None:
+        edge = at.filter("parent is not null").select(F.least("id", "parent").alias("lo"), F.greatest("id", "parent").alias("hi"), (F.col("id") < F.col("parent")).alias("up"))
+        run = write(phase.runs.join(edge, ["lo", "hi"]), "runs").df
+        inner = run.select("id", F.when(F.col("up"), F.col("to_hi")).otherwise(F.col("to_lo")).alias("parent"))
+        end = run.filter("up and to_lo = lo").select(F.col("lo").alias("id"), F.col("id").alias("parent")).unionByName(run.filter("not up and to_hi = hi").select(F.col("hi").alias("id"), F.col("id").alias("parent")))
+        at = at.join(end.select("id"), "id", "left_anti").unionByName(end).unionByName(inner)
+    else:
+        here = at.select(F.col("id").alias("into"))
+        light = phase.folds.filter("kind = 'light'").join(here, "into", "left_semi").select(F.col("node").alias("id"), F.col("hop").alias("parent"))
+        at = at.unionByName(light).join(phase.trees.select("id"), "id", "left_anti").unionByName(phase.trees)
+    if ledger is not None:
+        ledger.add("root", "undo phase", rounds=2)
+    return write(at, "parents").df
+
+
+def turn(at: DataFrame, comp: DataFrame, ledger: Ledger | None = None) -> DataFrame:
+    """``at(id, parent)`` with each tree rooted at ``root`` of ``comp(id, root)`` in place of the node it is rooted at.
+
+    The ancestors of a new root are marked by pointer doubling; of their edges each is turned round.
+    """
+    marked = write(comp.select(F.col("root").alias("id")).distinct(), "marked").df
+    jump = at.filter("parent is not null").select("id", F.col("parent").alias("far"))
+    while True:
+        more = write(jump.join(marked, "id", "left_semi").select(F.col("far").alias("id")).distinct(), "ahead").df
+        if ledger is not None:
+            ledger.add("root", "turn", rounds=2)
+        if more.isEmpty():
+            break
+        marked = write(marked.unionByName(more), "marked").df
+        on = jump.select(F.col("id").alias("far"), F.col("far").alias("beyond"))
+        jump = write(jump.join(on, "far").select("id", F.col("beyond").alias("far")), "jump").df
+    path = at.join(marked, "id", "left_semi")
+    turned = path.filter("parent is not null").select(F.col("parent").alias("id"), F.col("id").alias("parent"))
+    tops = comp.select(F.col("root").alias("id")).distinct().withColumn("parent", F.lit(None).cast("long"))
+    return at.join(marked, "id", "left_anti").unionByName(turned).unionByName(tops)
 
 
 def root_defects(forest: Forest, rooted: DataFrame) -> DataFrame:

@@ -201,6 +201,29 @@ def test_rooting(spark):
     assert root_defects(f, bad).count() > 0
 
 
+@pytest.mark.parametrize("budget, more", [(Budget(64), {"shrink_rounds": 0}), (Budget(4), {"shrink_rounds": 0, "first_guess": 4}), (Budget(64), {"steps_per_log": 1, "first_guess": 4})])
+def test_rooting_through_the_core(spark, budget, more):
+    pairs = [(1000 + k, 1000 + (k - 1) // 2) for k in range(1, 31)] + [(2000 + k, 2001 + k) for k in range(13)]
+    # a long path with light subtrees, ids out of order, and single nodes
+    pairs += [(3000 + 7 * k % 31, 3000 + 7 * (k + 1) % 31) for k in range(30)] + [(3000 + k, 4000 + k) for k in range(0, 31, 2)] + [(4000 + k, 5000 + k) for k in range(0, 31, 4)]
+    ids = sorted({x for p in pairs for x in p} | {1, 2})
+    f = literal(spark, pairs, ids).kept()
+    ledger = Ledger()
+    r = root_forest(f, budget, ledger, **more).cache()
+    assert root_defects(f, r).count() == 0 and {x.id: x.root for x in r.collect()} == tops(pairs, ids)
+    assert any(x[0] == "absorb" for x in ledger.rows) and any(x[3] == "undo phase" for x in ledger.rows)
+
+
+def test_rooting_rounds_grow_slower_than_the_depth(spark):
+    took = {}
+    for n in (15, 255):
+        ledger = Ledger()
+        r = root_forest(literal(spark, [(k, (k - 1) // 2) for k in range(1, n)]).kept(), None, ledger)
+        assert r.filter("parent is null").collect()[0].id == n - 1 and r.count() == n
+        took[n] = ledger.rounds()
+    assert took[255] <= 2.5 * took[15], took
+
+
 def test_pointers(spark):
     t = spark.range(40).selectExpr("id", "case when id > 0 then id - 1 end parent")
     assert {r.id: r.depth for r in depths(t).collect()} == {k: k for k in range(40)}
