@@ -375,6 +375,11 @@ def stream_tumbling(s, d):
     return streaming.available(streaming.tumbling(streaming.events_stream(s, f"{d}/events.parquet")), "complete")
 
 
+@query("stream_sliding", "with w as (select time_bucket(interval 1 day, ts) as d, event_type from events) select epoch_us(s) as start, event_type, count(*) as n from (select d as s, event_type from w union all select d - interval 1 day, event_type from w) group by 1, 2")
+def stream_sliding(s, d):
+    return streaming.available(streaming.sliding(streaming.events_stream(s, f"{d}/events.parquet")), "complete")
+
+
 @query("stream_sessions", "with g as (select event_id, user_id, ts, case when ts - lag(ts) over w < interval 6 hour then 0 else 1 end as fresh from events window w as (partition by user_id order by ts, event_id)), s as (select event_id, user_id, sum(fresh) over (partition by user_id order by ts, event_id) as k from g) select user_id, count(*) as n, max(event_id) as top from s group by user_id, k")
 def stream_sessions(s, d):
     return streaming.available(streaming.sessions(streaming.events_stream(s, f"{d}/events.parquet")), "complete")

@@ -100,6 +100,16 @@ def write(df: DataFrame, name: str = "cut") -> Cut:
     return made
 
 
+def folder(spark: SparkSession, name: str) -> Cut:
+    """A path under the shared folder for tables that are added one by one; ``drop()`` deletes it with them."""
+    path = f"{shared_dir(spark)}/canopy-{name}-{uuid.uuid4().hex[:12]}"
+    _OPEN[path] = spark
+    made = Cut(spark, path, spark.range(0).toDF("id"))
+    if _SCOPES:
+        _SCOPES[-1].append(made)
+    return made
+
+
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     """``df`` with its lineage replaced by a scan of a written table."""
     return write(df, name).df

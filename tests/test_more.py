@@ -86,3 +86,7 @@ def test_cycles_inside_a_batch(spark):
     live.add(spark.createDataFrame([(6, 1), (3, 4), (8, 1)], "a long, b long"))
     assert sorted(tuple(r) for r in live.rejected.collect()) == [(3, 1), (4, 5), (6, 1), (7, 7)]
     assert {tuple(r) for r in live.labels.collect()} == {(i, 7 if i == 7 else 1) for i in range(1, 9)}
+    # a batch that comes again changes nothing; rows of earlier nodes stay as they were written
+    live.add(spark.createDataFrame([(6, 1), (3, 4), (8, 1)], "a long, b long"), 1)
+    assert live.rejected.count() == 4 and live.labels.count() == 8
+    assert {tuple(r) for r in spark.read.parquet(f"{live.at}/ids/1").collect()} == {(8, 8)}

@@ -8,7 +8,7 @@ from canopy.queries import ORACLES, QUERIES
 
 D = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-FAST = [q for q in QUERIES if q.startswith("ops_") and q in ORACLES] + ["cc_conversations", "cc_url", "contract_paths_events", "view_growth_cut8", "probe_cut8", "is_fraction", "subtree_sizes_heap2", "local_roots_heap2", "ports_fk", "stream_tumbling", "stream_sessions", "stream_interval_join", "stream_components"]
+FAST = [q for q in QUERIES if q.startswith("ops_") and q in ORACLES] + ["cc_conversations", "cc_url", "contract_paths_events", "view_growth_cut8", "probe_cut8", "is_fraction", "subtree_sizes_heap2", "local_roots_heap2", "ports_fk", "stream_tumbling", "stream_sliding", "stream_sessions", "stream_interval_join", "stream_components"]
 
 
 @pytest.fixture(scope="module")
