@@ -54,8 +54,9 @@ SKETCHED = 2048
 #: Random signs for the estimate of what a split would save.
 SIGNS = 8
 PROBES, TARGET = 512, 0.999
-#: Cells of the incidence matrix that are multiplied at once.
-CELLS = 8_000_000
+#: Cells of the incidence matrix that are multiplied at once, shingles that are matched or handed on at once.
+CELLS = 2_000_000
+ENTRIES = 250_000
 
 _SALT = _mix(np.arange(1, COORDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
@@ -93,8 +94,15 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _payload(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        s = [shingles(d).view(np.int64) for d in _bytes(b.column(3))]
-        yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(s, pa.list_(pa.int64()))], names=["sid", "mult", "leaves", "payload"])
+        s: list[np.ndarray] = []
+        first = entries = 0
+        for i, data in enumerate(_bytes(b.column(3))):
+            s.append(shingles(data).view(np.int64))
+            entries += len(s[-1])
+            if entries > ENTRIES or i + 1 == b.num_rows:
+                rows = b.slice(first, len(s))
+                yield pa.RecordBatch.from_arrays([*rows.columns[:3], pa.array(s, pa.list_(pa.int64()))], names=["sid", "mult", "leaves", "payload"])
+                s, first, entries = [], i + 1, 0
 
 
 def alike(one: np.ndarray, two: np.ndarray) -> np.ndarray:
@@ -104,25 +112,31 @@ def alike(one: np.ndarray, two: np.ndarray) -> np.ndarray:
 
 
 def similar(sets: list[np.ndarray]) -> np.ndarray:
-    """Which pairs of shingle sets reach the similarity, exactly."""
+    """Which pairs of shingle sets (sorted as unsigned numbers) reach the similarity, exactly.
+
+    The hashes are taken range by range, about ``ENTRIES`` at a time, so memory doesn't grow with the texts.
+    """
     n = len(sets)
+    sets = [s.view(np.uint64) for s in sets]
     size = np.array([len(s) for s in sets])
-    flat = np.concatenate(sets)
-    who = np.repeat(np.arange(n), size)
-    _, place, count = np.unique(flat, return_inverse=True, return_counts=True)
-    some = count[place] > 1
-    order = np.cumsum(count > 1) - 1
-    who, column = who[some], order[place[some]]
-    width = int(order[-1]) + 1 if len(order) else 0
     common = np.zeros((n, n), dtype=np.float64)
-    by = np.argsort(column, kind="stable")
-    who, column = who[by], column[by]
-    step = max(1, CELLS // n)
-    for lo in range(0, width, step):
-        a, z = np.searchsorted(column, [lo, lo + step])
-        m = np.zeros((n, min(step, width - lo)), dtype=np.float32)
-        m[who[a:z], column[a:z] - lo] = 1
-        common += m @ m.T
+    ranges = int(size.sum()) // ENTRIES + 1
+    bounds = np.array([i * (1 << 64) // ranges for i in range(1, ranges)], dtype=np.uint64)
+    cuts = np.stack([np.concatenate([[0], np.searchsorted(s, bounds), [len(s)]]) for s in sets], axis=1).astype(np.int64)
+    for lo, hi in zip(cuts[:-1], cuts[1:]):
+        _, place, count = np.unique(np.concatenate([s[i:j] for s, i, j in zip(sets, lo, hi)]), return_inverse=True, return_counts=True)
+        some = count[place] > 1
+        who = np.repeat(np.arange(n), hi - lo)[some]
+        column = (np.cumsum(count > 1) - 1)[place[some]]
+        by = np.argsort(column, kind="stable")
+        who, column = who[by], column[by]
+        width = int(column[-1]) + 1 if len(column) else 0
+        step = max(1, CELLS // n)
+        for left in range(0, width, step):
+            a, z = np.searchsorted(column, [left, left + step])
+            m = np.zeros((n, min(step, width - left)), dtype=np.float32)
+            m[who[a:z], column[a:z] - left] = 1
+            common += m @ m.T
     return DEN * common >= NUM * (size[:, None] + size[None, :] - common)
 
 
