@@ -15,7 +15,7 @@ marginals and one end piece.
   from a histogram of counts) are looked up in memory; all other words are joined by a
   shuffle, so nothing that is broadcast grows with the data.
 
-Code points outside the vocabulary are spelt with its byte pieces, as one edge.
+Code points outside the vocabulary are spelt with its byte pieces, as one edge; so are bytes that are not UTF-8.
 
 Defined results: null text counts as empty (one end token); null ids are held in (their
 remainder is unknown); repeated rows are scored alike; an empty table gives an empty
@@ -62,7 +62,8 @@ def held_out(doc_id):
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string")), F.lit(FOLDS)) == HELD_OUT, F.lit(False))
 
 
-_COUNTS = "word string, n long, t long"
+#: Words are bytes from here to the join: a text need not be valid UTF-8.
+_COUNTS = "word binary, n long, t long"
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -72,7 +73,7 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = list(all_)
         return pa.RecordBatch.from_arrays(
             [
-                pa.array([w.decode() for w in words], pa.string()),
+                pa.array(words, pa.binary()),
                 pa.array([all_[w] for w in words], pa.int64()),
                 pa.array([train[w] for w in words], pa.int64()),
             ],
@@ -98,7 +99,7 @@ def _segment(vocabulary: str):
         sp = _model(vocabulary)
         total = np.zeros(sp.get_piece_size(), dtype=np.int64)
         for b in batches:
-            words, t = b.column(0).to_pylist(), b.column(1).to_numpy()
+            words, t = [w.decode(errors="replace") for w in b.column(0).to_pylist()], b.column(1).to_numpy()
             for lo in range(0, len(words), 4096):
                 ids = sp.encode(words[lo : lo + 4096], num_threads=1)
                 flat = np.fromiter((i for x in ids for i in x), dtype=np.int64)
@@ -161,7 +162,7 @@ class Lattice:
                     else:
                         into[j].append(a + p)
             if not single:
-                p = a + sum(self.bytes[c] for c in s[i].encode())
+                p = a + sum(self.bytes[c] for c in s[i].encode(errors="surrogateescape"))
                 if into[i + 1] is None:
                     into[i + 1] = [p]
                 else:
@@ -176,14 +177,14 @@ def _score_words(lattice, n_train: int, v_train: int):
         lat = lattice.value
         for b in batches:
             t = b.column(2).to_numpy()
-            score = np.array([lat.word(w) for w in b.column(0).to_pylist()]) / math.log(10)
+            score = np.array([lat.word(w.decode(errors="surrogateescape")) for w in b.column(0).to_pylist()]) / math.log(10)
             base = np.log10((t + 1) / (n_train + v_train + 1))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(base, pa.float64()), pa.array(score, pa.float64())], names=["word", "n", "t", "base", "score"])
 
     return run
 
 
-_DOC = "doc_id long, held_out boolean, key long, tokens long, known long, base double, score double, word string, times long"
+_DOC = "doc_id long, held_out boolean, key long, tokens long, known long, base double, score double, word binary, times long"
 
 
 def _look_up(head):
@@ -205,14 +206,14 @@ def _look_up(head):
                     size += len(texts[at] or b"") + 64
                     spot = np.fromiter([get(w, -1) for w in tokens], dtype=np.int64, count=len(tokens))
                     hit = spot[spot >= 0]
-                    rows = [(ids[at], out_of[at], keys[at], len(tokens), int(known_[hit].sum()), float(base_[hit].sum()), float(score_[hit].sum()), None, 1)]
+                    rows = [(ids[at], out_of[at], keys[at], len(hit), int(known_[hit].sum()), float(base_[hit].sum()), float(score_[hit].sum()), None, 1)]
                     if len(hit) < len(tokens):
                         rest = Counter([w for w, k in zip(tokens, spot.tolist()) if k < 0])
-                        rows += [(ids[at], out_of[at], keys[at], 0, 0, 0.0, 0.0, w.decode(), c) for w, c in rest.items()]
+                        rows += [(ids[at], out_of[at], keys[at], 0, 0, 0.0, 0.0, w, c) for w, c in rest.items()]
                     for c, x in zip(cols, zip(*rows)):
                         c.extend(x)
                     at += 1
-                kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.string(), pa.int64())
+                kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary(), pa.int64())
                 names = ["doc_id", "held_out", "key", "tokens", "known", "base", "score", "word", "times"]
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=names)
 
@@ -245,10 +246,10 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     counted = words.filter("t > 0").select("word", "t").mapInArrow(_segment(vocabulary), "piece long, t long").groupBy("piece").agg(F.sum("t").alias("t"))
     lattice = Lattice({r["piece"]: r["t"] for r in counted.collect()}, ends, vocabulary)
     shared = spark.sparkContext.broadcast(lattice)
-    scored = write(words.mapInArrow(_score_words(shared, n_train, v_train), "word string, n long, t long, base double, score double"), "scored").df
+    scored = write(words.mapInArrow(_score_words(shared, n_train, v_train), "word binary, n long, t long, base double, score double"), "scored").df
     least = head_threshold(scored, head)
     top = scored.filter(F.col("n") >= least).select("word", (F.col("t") > 0).alias("k"), "base", "score").toArrow()
-    table = ([w.encode() for w in top.column("word").to_pylist()], *(top.column(c).to_numpy().astype(np.float64) for c in ("k", "base", "score")))
+    table = (top.column("word").to_pylist(), *(top.column(c).to_numpy().astype(np.float64) for c in ("k", "base", "score")))
     rows = d.mapInArrow(_look_up(spark.sparkContext.broadcast(table)), _DOC)
     rows = write(rows, "lookups").df
     tail = rows.filter("word is not null").join(scored.filter(F.col("n") < least).select("word", "t", F.col("base").alias("b"), F.col("score").alias("s")), "word")

@@ -80,6 +80,21 @@ def test_lattice(docs):
     assert sum(map(len, r.values())) == len(ROWS)
 
 
+def test_lattice_rare_words(spark, docs):
+    """Words outside the table in memory count once, like those in it."""
+    exact = lambda df: sorted(((r.doc_id or 0, r.held_out, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 6), round(r.score, 6)) for r in df.collect()))
+    want = exact(lattice_lm.score_documents(docs))
+    assert want[-1][2] == 2
+    for head in (0, 100):
+        assert exact(lattice_lm.score_documents(docs, head=head)) == want
+
+
+def test_lattice_odd_bytes(spark):
+    d = spark.createDataFrame([(3, bytearray(b"ok \xff\xfe A")), (4, bytearray(b"\xff\xfe"))], "doc_id long, t binary").selectExpr("doc_id", "cast(t as string) text")
+    r = by_id(lattice_lm.score_documents(d))
+    assert (r[3][0].n_tokens, r[4][0].n_tokens, r[3][0].n_known, r[4][0].n_known, r[3][0].train_tokens) == (4, 2, 4, 2, 6)
+
+
 def test_secrets(docs):
     r = by_id(secret_scan.scan(docs), "id")
     assert all(not x.base for v in r.values() for x in v) and sum(map(len, r.values())) == len(ROWS)
