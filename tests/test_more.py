@@ -90,3 +90,21 @@ def test_cycles_inside_a_batch(spark):
     live.add(spark.createDataFrame([(6, 1), (3, 4), (8, 1)], "a long, b long"), 1)
     assert live.rejected.count() == 4 and live.labels.count() == 8
     assert {tuple(r) for r in spark.read.parquet(f"{live.at}/ids/1").collect()} == {(8, 8)}
+
+
+def test_compressed_tables_stay_where_they_are(spark):
+    """A table that is small as a file and large as rows is not broadcast, whatever stands on the other side."""
+    from canopy.store import write
+
+    had = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "10m")
+    try:
+        big = write(spark.range(0, 1_500_000, 1, 2).selectExpr("id", "id div 64 as up", "0L as hops")).df
+        plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+        assert int(str(big._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) < 10 << 20
+        both = big.join(big.selectExpr("id as up", "hops as h"), "up")
+        assert "BroadcastHashJoin" not in plan(both) and both.count() == 1_500_000
+        assert "BroadcastHashJoin" in plan(big.join(spark.range(9), "id"))
+        assert "BroadcastHashJoin" in plan(big.join(write(spark.range(9).toDF("id")).df, "id"))
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", had)
