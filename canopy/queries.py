@@ -187,7 +187,7 @@ query("subtree_sizes_heap2", f"{HEAP_SIZES} select id, least(size, 101) as size,
 query(
     "local_roots_heap2",
     f"{HEAP_SIZES} select distinct p.id from z p join z c on c.id in (2 * p.id + 1, 2 * p.id + 2) where p.size > 100 and c.size <= 100",
-)(lambda s, d: mark_local_roots(_heap_parents(s, d), subtree_sizes(_heap_parents(s, d), 100)))
+)(lambda s, d: mark_local_roots(p := write(_heap_parents(s, d), "parents").df, subtree_sizes(p, 100)))
 query("sum_subtree_sizes_heap2", f"{HEAP_DEPTH} select sum(depth + 1)::bigint as total, count(*) as nodes, max(depth) as longest from t")(
     lambda s, d: depths(_heap_parents(s, d)).agg(F.sum(F.col("depth") + 1).alias("total"), F.count(F.lit(1)).alias("nodes"), F.max("depth").alias("longest"))
 )
