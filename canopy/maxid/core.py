@@ -140,6 +140,7 @@ def absorb_light(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget,
     spike = 1.0
     limit = math.ceil(math.log(max(2, guess)) / math.log(4 / 3)) + 2
     iterations = 0
+    still = None  # active nodes of the last iteration, if its views did not grow
     for it in range(limit):
         new, rows = _settle(views, states, edges, cap)
         settled_now = new.count()
@@ -153,7 +154,8 @@ def absorb_light(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget,
         n_active = active.count()
         if ledger is not None:
             ledger.add("absorb", "settle", phase, it, 3, n_active, settled_now)
-        if not n_active or it == limit - 1:
+        # the same views and states as before would only give the same again
+        if not n_active or it == limit - 1 or (still == n_active and not settled_now):
             break
         iterations += 1
         est = write(V.estimates(views).join(active, "owner"), "estimates").df
@@ -200,8 +202,7 @@ def absorb_light(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget,
         if ledger is not None:
             widest = views.groupBy("owner").count().agg(F.max("count")).first()[0]
             ledger.add("absorb", "grow", phase, it, 4, raw, have, widest, 5)
-        if have == had and not settled_now and not raw:
-            break
+        still = n_active if have == had else None
     # fold: a settled node beside an unsettled one takes its side there; mutually settled trees go to their largest id
     s = states.filter(F.col("state") == SETTLED).select("id", "against")
     other = s.select(F.col("id").alias("against"), F.col("against").alias("back"))

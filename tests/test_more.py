@@ -2,6 +2,7 @@
 
 import math
 
+import pytest
 from pyspark.sql import functions as F
 
 from canopy import functions, plans, sources, streaming, workloads
@@ -108,3 +109,36 @@ def test_compressed_tables_stay_where_they_are(spark):
         assert "BroadcastHashJoin" in plan(big.join(write(spark.range(9).toDF("id")).df, "id"))
     finally:
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", had)
+
+
+def test_uniform_doubling_does_the_whole_job(spark):
+    """No cap on rows unless one is asked for; each pair of a tree is seen once, by the round of its distance."""
+    from inspect import signature
+
+    from canopy.baselines import uniform_doubling
+
+    assert signature(uniform_doubling).parameters["row_cap"].default is None
+    ledger = Ledger()
+    f = workloads.shapes(spark, "caterpillar", 40)
+    assert {r.component for r in uniform_doubling(f, ledger).collect()} == {39}
+    assert ledger.rows[-1][6] == 40 * 39 and ledger.rows[-1][5] == 40 * 39
+    with pytest.raises(MemoryError):
+        uniform_doubling(f, row_cap=100)
+
+
+def test_absorption_stops_when_nothing_changes(spark):
+    """Nodes that can neither settle nor learn do not keep the iterations going."""
+    from canopy.budget import Budget
+    from canopy.maxid import absorb_light
+    from canopy.model import literal
+
+    pairs, at = [], 1
+    for _ in range(80):
+        c, at = at, at + 1
+        pairs.append((0, c))
+        for _ in range(5):
+            o, at = at, at + 4
+            pairs += [(c, o), (o, o + 1), (o, o + 2), (o, o + 3)]
+    f = literal(spark, pairs).kept()
+    a = absorb_light(f.nodes.withColumn("best", F.col("id")), f.edges, 8, Budget(8))
+    assert a.nodes.count() == 81 and a.report["iterations"] <= 3
