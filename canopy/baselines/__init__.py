@@ -47,22 +47,24 @@ def peel(forest: Forest, ledger: Ledger | None = None) -> DataFrame:
     return replay(folds, nodes).select("id", F.col("best").alias("component"))
 
 
-def uniform_doubling(forest: Forest, ledger: Ledger | None = None, radius: int | None = None, row_cap: int = 50_000_000) -> DataFrame:
+def uniform_doubling(forest: Forest, ledger: Ledger | None = None, radius: int | None = None, row_cap: int | None = None) -> DataFrame:
     """Everyone doubles in all directions: O(log D) rounds, memory up to the sum of squared tree sizes.
 
-    ``radius`` stops early (answers are then the maximum within 2^radius hops); ``row_cap`` guards memory.
+    ``radius`` stops early (answers are then the maximum within 2^radius hops); ``row_cap`` raises an
+    error above so many rows, where one is given.
     """
     views = write(V.start(forest.edges), "views").df
     have = views.count()
     k = 0
     while radius is None or k < radius:
-        new = write(V.distinct_rows(views.unionByName(V.grow(views, views))), "views").df
-        n = new.count()
+        # all nodes within 2^k hops are known: those further on are seen once each, by way of the last of these
+        new = write(V.grow(views.filter(F.col("dist") == 1 << k), views), "views").df
+        n = have + new.count()
         k += 1
         if ledger is not None:
             ledger.add("uniform", "double", iter=k, rounds=2, rows_in=have, rows_out=n, width=5)
-        views = new
-        if n > row_cap:
+        views = views.unionByName(new)
+        if row_cap is not None and n > row_cap:
             raise MemoryError(f"uniform doubling reached {n} rows")
         if n == have:
             break
