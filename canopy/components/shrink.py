@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from canopy.ledger import Ledger
-from canopy.store import Cut, write
+from canopy.store import Cut, unsent, write
 
 #: A prime above any 31-bit residue, for the polynomial hash family.
 PRIME = 2_147_483_647
@@ -145,7 +145,7 @@ def apply_actions(nodes: DataFrame, edges: DataFrame, acts: DataFrame) -> tuple[
     gone = acts.select(F.explode(F.array(F.struct("node", F.col("lo").alias("other")), F.struct("node", F.col("hi").alias("other")))).alias("x")).select("x.*")
     both = gone.select(F.col("node").alias("src"), F.col("other").alias("dst")).unionByName(gone.select(F.col("other").alias("src"), F.col("node").alias("dst")))
     bridge = acts.filter("kind = 'splice'").select(F.explode(F.array(F.struct(F.col("lo").alias("src"), F.col("hi").alias("dst")), F.struct(F.col("hi").alias("src"), F.col("lo").alias("dst")))).alias("x")).select("x.*")
-    new_edges = write(edges.join(both.distinct(), ["src", "dst"], "left_anti").unionByName(bridge), "edges")
+    new_edges = write(edges.join(unsent(both.distinct()), ["src", "dst"], "left_anti").unionByName(bridge), "edges")
     moved = nodes.join(acts.select(F.col("node").alias("id"), "into"), "id", "left")
     new_nodes = write(moved.groupBy(F.coalesce("into", "id").alias("id")).agg(F.max("best").alias("best")), "nodes")
     return new_nodes, new_edges

@@ -352,9 +352,9 @@ def ledger_bounds_heap2(s, d):
     t = write(depths(_heap_parents(s, d), ledger), "depths").df
     row = t.agg(F.count(F.lit(1)).alias("n"), F.max("depth").alias("deep"), F.sum(F.col("depth") + 1).alias("total")).first()
     n, deep, total = row["n"], row["deep"], row["total"]
-    write(components(workloads.heap(s, d, 2), ledger=steps), "components")
+    f = workloads.heap(s, d, 2).kept()
+    write(components(f, ledger=steps), "components")
     broken = [ledger.rounds("pointers") > max(1, deep).bit_length() + 2, total > (2 * deep + 1) * n, len([r for r in steps.rows if r[0] == "shrink"]) > 32 * n.bit_length()]
-    f = workloads.heap(s, d, 2)
     edges = f.edges.agg((F.count(F.lit(1)) / 2).cast("long").alias("edges"))
     return t.agg(F.count(F.lit(1)).alias("nodes"), F.sum(F.col("depth") + 1).alias("subtree_total")).crossJoin(edges).withColumn("broken", F.lit(sum(broken)).cast("long"))
 

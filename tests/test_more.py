@@ -111,6 +111,46 @@ def test_compressed_tables_stay_where_they_are(spark):
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", had)
 
 
+def sent(spark, monkeypatch, run):
+    """Plans with broadcasts of what ``run`` writes, if each written table is one that only compression makes small."""
+    import sys
+
+    from canopy import store
+
+    monkeypatch.setattr(store, "SMALL", 0)
+    monkeypatch.setattr(store, "PACKED", 1 << 40)
+    plans_, real = [], store.write
+
+    def watch(df, name="cut"):
+        plans_.append((name, df._jdf.queryExecution().executedPlan().toString()))
+        return real(df, name)
+
+    for name, m in list(sys.modules.items()):
+        if name.startswith("canopy.") and getattr(m, "write", None) is real and m is not store:
+            monkeypatch.setattr(m, "write", watch)
+    had = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "64k")
+    try:
+        run()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", had)
+    assert plans_
+    return [(name, p) for name, p in plans_ if p.count("BroadcastExchange") > p.count("Scan ExistingRDD")]
+
+
+def test_shrinking_sends_no_union_of_its_tables(spark, monkeypatch):
+    from canopy.components import shrink
+
+    f = workloads.shapes(spark, "caterpillar", 300)
+
+    def step():
+        e = shrink.write(f.edges, "edges").df
+        nodes = shrink.write(f.nodes.withColumn("best", F.col("id")), "nodes").df
+        shrink.apply_actions(nodes, e, shrink.write(shrink.actions(e, 0), "folds").df)
+
+    assert not sent(spark, monkeypatch, step)
+
+
 def test_uniform_doubling_does_the_whole_job(spark):
     """No cap on rows unless one is asked for; each pair of a tree is seen once, by the round of its distance."""
     from inspect import signature
