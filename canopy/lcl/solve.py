@@ -205,7 +205,7 @@ def solve_lcl(forest: Forest, problem: LclProblem, given: DataFrame | None = Non
         hosts = write(gather_light(tree, sizes, ledger), "hosts").df
         # in a tree that is light as a whole the root itself is the local root
         lone = sizes.filter("not heavy").join(tree.filter("parent is null"), "id").select("id")
-        hosts = hosts.join(lone.select(F.col("id").alias("light")), "light", "left_anti")
+        hosts = write(hosts.join(lone.select(F.col("id").alias("light")), "light", "left_anti"), "hosts").df
         rows, folded = fold_subtrees(rows, hosts)
         if ledger is not None:
             ledger.add("fold", "subtrees", phase, 0, 1, folded.count(), rows.count())

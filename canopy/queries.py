@@ -297,7 +297,7 @@ def baseline_mis_colours_events(s, d):
 
 @query("lcl_odd_unsolvable", f"with c as ({cut_sql(16)}) select distinct component from c")
 def lcl_odd_unsolvable(s, d):
-    return solve_lcl(workloads.event_cut(s, d, 16), lcl.odd_out_degree(), cap=4)[1]
+    return solve_lcl(workloads.event_cut(s, d, 16).kept(), lcl.odd_out_degree(), cap=4)[1]
 
 
 @query("lcl_reach", "with x as (select event_id * 8 + 7 as id, user_id, row_number() over (partition by user_id order by ts, event_id) as r, count(*) over (partition by user_id) as n from events where user_id % 2 = 0) select id as node, case when n > 1 then (r > 1) end as entered from x where r = 1 or r = n")

@@ -10,7 +10,7 @@ from canopy.components.solve import Rung, climb
 from canopy.ledger import Ledger
 from canopy.maxid.core import Phase
 from canopy.model.forest import Forest
-from canopy.store import scope, write
+from canopy.store import scope, unsent, write
 
 
 def root_forest(
@@ -39,7 +39,7 @@ def root_forest(
             at = write(at, "parents").df
             for acts in reversed(r.acts):
                 at = undo_step(at, acts, ledger)
-        return held(write(turn(at, comp, ledger).join(comp, "id").select("id", "parent", "root"), "rooted")).df
+        return held(write(unsent(turn(at, comp, ledger)).join(comp, "id").select("id", "parent", "root"), "rooted")).df
 
 
 def undo_step(at: DataFrame, acts: DataFrame, ledger: Ledger | None = None) -> DataFrame:
@@ -68,7 +68,7 @@ def undo_phase(at: DataFrame, phase: Phase, ledger: Ledger | None = None) -> Dat
         run = write(phase.runs.join(edge, ["lo", "hi"]), "runs").df
         inner = run.select("id", F.when(F.col("up"), F.col("to_hi")).otherwise(F.col("to_lo")).alias("parent"))
         end = run.filter("up and to_lo = lo").select(F.col("lo").alias("id"), F.col("id").alias("parent")).unionByName(run.filter("not up and to_hi = hi").select(F.col("hi").alias("id"), F.col("id").alias("parent")))
-        at = at.join(end.select("id"), "id", "left_anti").unionByName(end).unionByName(inner)
+        at = at.join(unsent(end.select("id")), "id", "left_anti").unionByName(end).unionByName(inner)
     else:
         here = at.select(F.col("id").alias("into"))
         light = phase.folds.filter("kind = 'light'").join(here, "into", "left_semi").select(F.col("node").alias("id"), F.col("hop").alias("parent"))
