@@ -161,6 +161,23 @@ def test_labelling_sends_no_part_of_its_tables(spark, monkeypatch):
     assert not sent(spark, monkeypatch, lambda: solve.solve_lcl(workloads.shapes(spark, "path", 20).kept(), P.odd_out_degree(), cap=4))
 
 
+@pytest.mark.parametrize("name", ["light_heavy_heap2"])
+def test_heap_queries_hash_none_of_their_tables_on_the_driver(spark, monkeypatch, name):
+    """Parents, pointers and sizes are joined where they are and give what the SQL gives; a row of totals may be sent."""
+    import duckdb
+
+    from canopy import rooting
+    from canopy.queries import ORACLES, QUERIES
+
+    made = []
+    plans_ = sent(spark, monkeypatch, lambda: made.append(rooting.write(QUERIES[name](spark, D), "result").df))
+    assert not [n for n, p in plans_ if "BroadcastHashJoin" in p]
+    duck = duckdb.connect()
+    duck.sql(f"create view orders as select * from '{D}/orders.parquet'")
+    want = duck.sql(ORACLES[name])
+    assert sorted(map(tuple, made[0].select(*want.columns).collect())) == sorted(want.fetchall())
+
+
 def test_uniform_doubling_does_the_whole_job(spark):
     """No cap on rows unless one is asked for; each pair of a tree is seen once, by the round of its distance."""
     from inspect import signature
