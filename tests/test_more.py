@@ -161,7 +161,7 @@ def test_labelling_sends_no_part_of_its_tables(spark, monkeypatch):
     assert not sent(spark, monkeypatch, lambda: solve.solve_lcl(workloads.shapes(spark, "path", 20).kept(), P.odd_out_degree(), cap=4))
 
 
-@pytest.mark.parametrize("name", ["light_heavy_heap2", "subtree_sizes_heap2", "sum_subtree_sizes_heap2"])
+@pytest.mark.parametrize("name", ["light_heavy_heap2", "subtree_sizes_heap2", "sum_subtree_sizes_heap2", "two_colour_heap2"])
 def test_heap_queries_hash_none_of_their_tables_on_the_driver(spark, monkeypatch, name):
     """Parents, pointers and sizes are joined where they are and give what the SQL gives; a row of totals may be sent."""
     import duckdb
