@@ -16,6 +16,7 @@ directions and these hold at most ``light_cap - 1`` nodes.
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
@@ -25,7 +26,7 @@ from pyspark.sql import Window as W
 from canopy import views as V
 from canopy.budget import Budget
 from canopy.ledger import Ledger
-from canopy.store import write
+from canopy.store import Cut, scope, swept, unsent, write
 
 ACTIVE, SETTLED, OVERFULL, HOPELESS = 0, 1, 2, 3
 
@@ -67,8 +68,9 @@ def fold(nodes: DataFrame, edges: DataFrame, into: DataFrame) -> tuple[DataFrame
     new_nodes = nodes.join(m, "id", "left").groupBy(F.coalesce("into", "id").alias("id")).agg(F.max("best").alias("best"))
     a = into.select(F.col("node").alias("src"), F.col("into").alias("s"))
     b = into.select(F.col("node").alias("dst"), F.col("into").alias("t"))
-    e = edges.join(a, "src", "left").join(b, "dst", "left").select(F.coalesce("s", "src").alias("src"), F.coalesce("t", "dst").alias("dst"))
-    return new_nodes, e.filter("src <> dst").distinct()
+    half = edges.filter("src < dst")  # the other half is the same turned round
+    e = half.join(a, "src", "left").join(b, "dst", "left").select(F.coalesce("s", "src").alias("src"), F.coalesce("t", "dst").alias("dst")).filter("src <> dst")
+    return new_nodes, e.unionByName(e.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
 
 
 def unfold(answers: DataFrame, folds: DataFrame) -> DataFrame:
@@ -85,22 +87,41 @@ def _decide(est: DataFrame, guess: int, cap: int, options: Options) -> DataFrame
     return e.withColumns({"rank": F.row_number().over(order), "rival": F.lead("est", 1, 0).over(order), "n_blocked": F.count_if(F.col("blocked")).over(w)})
 
 
-def _settle(views: DataFrame, states: DataFrame, edges: DataFrame, cap: int) -> tuple[DataFrame, DataFrame]:
-    """Newly settled ``(id, against, subtree)`` and the rows that complete their views.
+def _first(edges: DataFrame, cap: int) -> DataFrame:
+    """``(id, state, against, subtree, deg)`` of views of one step, which `_settle` need not build.
 
-    For an owner v and a direction d, X is what v knows there.  Nodes of X that are settled
-    against the hop back to v are terminal: their own views hold all below them.  d is closed if each
-    neighbour beyond a non-terminal node of X is known or comes from a terminal one.
+    A direction is closed if its node is a leaf, and holds that node alone.  The one open neighbour is what is left of
+    all neighbours xored with the leaves among them.
     """
-    active = states.filter(F.col("state") == ACTIVE).select(F.col("id").alias("owner"))
-    mine = views.join(active, "owner")
-    settled = states.filter(F.col("state") == SETTLED).select(F.col("id").alias("known"), F.col("against").alias("last_hop"), F.lit(True).alias("terminal"))
-    x = write(mine.join(settled, ["known", "last_hop"], "left").select(*mine.columns, F.coalesce("terminal", F.lit(False)).alias("terminal")), "closure").df
-    below = V.grow(x.filter("terminal").drop("terminal"), views)
-    known = write(V.distinct_rows(x.drop("terminal").unionByName(below)), "closed").df
-    beyond = x.filter("not terminal").join(edges.select(F.col("src").alias("known"), F.col("dst").alias("y")), "known").filter(F.col("y") != F.col("last_hop"))
-    need = beyond.select("owner", "first_hop", F.col("y").alias("known"))
-    open_ = need.join(known.select("owner", "known"), ["owner", "known"], "left_anti").select("owner", "first_hop").distinct().withColumn("open", F.lit(1))
+    ends = write(edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("deg"), F.bit_xor("dst").alias("others")), "ends")
+    # what is left of a single neighbour is the neighbour
+    closed = ends.df.filter("deg = 1").groupBy(F.col("others").alias("id")).agg(F.count(F.lit(1)).alias("shut"), F.bit_xor("id").alias("leaves"), F.max("id").alias("top"))
+    j = ends.df.join(closed, "id", "left").withColumn("opens", F.col("deg") - F.coalesce("shut", F.lit(0)))
+    done = (F.col("opens") <= 1) & (F.col("deg") <= cap)
+    against = F.when(F.col("opens") == 1, F.col("others").bitwiseXOR(F.coalesce("leaves", F.lit(0).cast("long")))).otherwise(F.col("top"))
+    state = F.when(F.col("deg") > cap + 1, HOPELESS).when(done, SETTLED).otherwise(ACTIVE)
+    states = write(j.select("id", state.alias("state"), F.when(done, against).alias("against"), F.when(done, F.col("deg")).alias("subtree"), "deg"), "states")
+    ends.drop()
+    return states.df
+
+
+def _settle(mine: DataFrame, theirs: DataFrame, states: DataFrame, cap: int) -> tuple[DataFrame, DataFrame]:
+    """Newly settled ``(id, against, subtree)`` and the rows of two steps or more that complete their views.
+
+    ``mine`` are the views of the active owners, ``theirs`` those of the nodes in them.  For an owner v and a direction
+    d, X is what v knows there.  Nodes of X that are settled against the hop back to v are terminal: their own views
+    hold all below them.  d is closed if each neighbour beyond a non-terminal node of X is known or comes from a
+    terminal one.  In a forest these are the known nodes whose last hop is that node, so they are counted.
+    """
+    info = states.select(F.col("id").alias("known"), "deg", F.when(F.col("state") == SETTLED, F.col("against")).alias("back"))
+    x_cut = write(mine.join(unsent(info), "known").select(*mine.columns, "deg", F.coalesce(F.col("back") == F.col("last_hop"), F.lit(False)).alias("terminal")), "closure")
+    x = x_cut.df
+    below = V.grow(x.filter("terminal").drop("deg", "terminal"), theirs)
+    known_cut = write(V.distinct_rows(x.drop("deg", "terminal").unionByName(below)), "closed")
+    known = known_cut.df
+    have = known.groupBy("owner", F.col("last_hop").alias("known")).agg(F.count(F.lit(1)).alias("have"))
+    beyond = x.filter("not terminal and deg > 1").select("owner", "first_hop", "known", "deg").join(have, ["owner", "known"], "left")
+    open_ = beyond.filter(F.coalesce("have", F.lit(0)) < F.col("deg") - 1).select("owner", "first_hop").distinct().withColumn("open", F.lit(1))
     size = known.groupBy("owner", "first_hop").agg(F.count(F.lit(1)).alias("n"))
     side = size.join(open_, ["owner", "first_hop"], "left").withColumn("open", F.coalesce("open", F.lit(0)))
     per = side.groupBy("owner").agg(
@@ -112,53 +133,100 @@ def _settle(views: DataFrame, states: DataFrame, edges: DataFrame, cap: int) ->
     j = per.join(largest, "owner").join(open_n, "owner", "left")
     j = j.select(F.col("owner").alias("id"), "opens", F.coalesce("open_hop", "top_hop").alias("against"), (F.col("all") - F.coalesce("open_n", "largest") + 1).alias("subtree"))
     new = write(j.filter((F.col("opens") <= 1) & (F.col("subtree") <= cap)).select("id", "against", "subtree"), "settled").df
-    rows = known.join(new.select(F.col("id").alias("owner"), "against"), "owner").filter("first_hop <> against").drop("against")
-    return new, rows.select("owner", "known", "first_hop", "last_hop", "dist")
+    rows = known.join(new.select(F.col("id").alias("owner"), "against"), "owner").filter("first_hop <> against and dist > 1")
+    rows = write(rows.select("owner", "known", "first_hop", "last_hop", "dist"), "completed").df
+    x_cut.drop()
+    known_cut.drop()
+    return new, rows
 
 
-def _apart(hang: DataFrame, side: DataFrame) -> DataFrame:
+def _apart(hang: DataFrame, side: DataFrame) -> DataFrame | None:
     """Owners of ``hang(owner, against)`` whose sides ``side(owner, against, node)`` are folded: no two overlap.
 
-    Only a too small guess leaves overlaps, since a heavy node is in no light side.  Of nested sides the outer one
-    stays; of two that cover the tree together, the one with the larger edge.
+    None if no two sides overlap anyway.  Only a too small guess leaves overlaps, since a heavy node is in no light
+    side.  Of nested sides the outer one stays; of two that cover the tree together, the one with the larger edge.
     """
     other = side.select(F.col("owner").alias("o2"), F.col("against").alias("w2"), F.col("node").alias("against"))
-    met = hang.join(other, "against")
+    met = write(hang.join(other, "against"), "overlaps").df
+    if met.isEmpty():
+        return None
     back = side.select("owner", F.col("node").alias("w2"), F.lit(True).alias("both"))
     worse = met.join(back, ["owner", "w2"], "left").filter(F.col("both").isNull() | (F.struct("w2", "o2") > F.struct("against", "owner")))
     return hang.join(worse, "owner", "left_anti").select("owner")
 
 
 def absorb_light(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget, options: Options | None = None, ledger: Ledger | None = None, phase: int = 0) -> Phase:
-    """Fold every light subtree; ``guess`` must reach the diameter for a complete result."""
-    options = options or Options()
+    """Fold every light subtree; ``guess`` must reach the diameter for a complete result.
+
+    Rows of one step are the edges and never written again; ``more`` has those of two steps or more.
+    """
+    with scope() as held, swept(edges.sparkSession):
+        return _absorb(nodes, edges, guess, budget, options or Options(), ledger, phase, held)
+
+
+def _absorb(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget, options: Options, ledger: Ledger | None, phase: int, held: Callable[[Cut], Cut]) -> Phase:
     cap, full = budget.light_cap, budget.full_cap
-    deg = edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("deg"))
-    states = deg.select("id", F.when(F.col("deg") > cap + 1, HOPELESS).otherwise(ACTIVE).alias("state"), F.lit(None).cast("long").alias("against"), F.lit(None).cast("long").alias("subtree"))
-    states = write(states, "states").df
-    views = write(V.start(edges), "views").df
+    start = V.start(edges)
+    first = _first(edges, cap)
+    live = write(first.filter(F.col("state") == ACTIVE), "live").df
+    fixed = [first.filter(F.col("state") != ACTIVE)]  # states that change no more
+    more = write(start.limit(0), "views")
+    reached = live.select("id").limit(0)  # nodes whose edges are in ``base``
+    base = start.limit(0)
+
+    def states() -> DataFrame:
+        out = live
+        for f in fixed:
+            out = out.unionByName(f)
+        return out
+
+    def owners() -> DataFrame:
+        return live.select(F.col("id").alias("owner"))
+
+    def look() -> tuple[Cut, DataFrame]:
+        """Views of the active nodes, and those of the nodes in them."""
+        nonlocal reached, base
+        mine = write(near.join(owners(), "owner", "left_semi").unionByName(more.df.join(owners(), "owner", "left_semi")), "mine")
+        asked = write(mine.df.select(F.col("known").alias("id")).distinct().join(reached, "id", "left_anti"), "asked").df
+        if not asked.isEmpty():
+            base = base.unionByName(write(start.join(asked.withColumnRenamed("id", "owner"), "owner", "left_semi"), "base").df)
+            reached = reached.unionByName(asked)
+        return mine, around()
+
+    def around() -> DataFrame:
+        return unsent(base.unionByName(more.df.join(reached.withColumnRenamed("id", "owner"), "owner", "left_semi")))
+
     spike = 1.0
     limit = math.ceil(math.log(max(2, guess)) / math.log(4 / 3)) + 2
     iterations = 0
     still = None  # active nodes of the last iteration, if its views did not grow
+    n_edges = edges.count() if ledger is not None else 0
     for it in range(limit):
-        new, rows = _settle(views, states, edges, cap)
-        settled_now = new.count()
-        if settled_now:
-            states = states.join(new.select("id", F.col("against").alias("a"), F.col("subtree").alias("s")), "id", "left").select(
-                "id", F.when(F.col("a").isNotNull(), SETTLED).otherwise(F.col("state")).alias("state"), F.coalesce("a", "against").alias("against"), F.coalesce("s", "subtree").alias("subtree")
-            )
-            states = write(states, "states").df
-            views = write(V.distinct_rows(views.unionByName(rows)), "views").df
-        active = states.filter(F.col("state") == ACTIVE).select(F.col("id").alias("owner"))
-        n_active = active.count()
+        if not it:
+            settled_now = first.filter(F.col("state") == SETTLED).count()
+        else:
+            mine, theirs = look()
+            new, rows = _settle(mine.df, theirs, states(), cap)
+            settled_now = new.count()
+            if settled_now:
+                got = new.select("id", F.col("against").alias("a"), F.col("subtree").alias("s"))
+                fixed.append(write(live.join(got, "id").select("id", F.lit(SETTLED).alias("state"), F.col("a").alias("against"), F.col("s").alias("subtree"), "deg"), "states").df)
+                live = write(live.join(got, "id", "left_anti"), "live").df
+                old, more = more, write(V.distinct_rows(more.df.unionByName(rows)), "views")
+                old.drop()
+                theirs = around()
+        n_active = live.count()
         if ledger is not None:
             ledger.add("absorb", "settle", phase, it, 3, n_active, settled_now)
         # the same views and states as before would only give the same again
         if not n_active or it == limit - 1 or (still == n_active and not settled_now):
             break
         iterations += 1
-        est = write(V.estimates(views).join(active, "owner"), "estimates").df
+        if not it:
+            near = write(start.join(owners(), "owner", "left_semi"), "near").df
+            mine, theirs = look()
+        views = mine.df.join(owners(), "owner", "left_semi") if it and settled_now else mine.df
+        est = write(V.estimates(views, theirs), "estimates").df
         d = write(_decide(est, guess, cap, options), "directions").df
         hopeless = d.filter("n_blocked >= 2").select(F.col("owner").alias("id")).distinct()
         clear = (F.col("rank") == 1) & (F.col("est") >= guess * F.col("rival"))
@@ -168,7 +236,8 @@ def absorb_light(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget,
             sure = free.filter(clear).select("owner", F.col("first_hop").alias("spared"))
             if options.trial:
                 unsure = free.join(sure.select("owner"), "owner", "left_anti").select("owner").distinct()
-                tried = V.distinct_rows(views.join(unsure, "owner").unionByName(V.grow(views.join(unsure, "owner"), views)))
+                asking = views.join(unsure, "owner")
+                tried = V.distinct_rows(asking.unionByName(V.grow(asking, theirs)))
                 size = tried.groupBy("owner", "first_hop").agg(F.count(F.lit(1)).alias("n"))
                 top = W.partitionBy("owner").orderBy(F.desc("n"), F.desc("first_hop"))
                 best = size.withColumn("r", F.row_number().over(top)).filter("r = 1").select("owner", F.col("first_hop").alias("spared"))
@@ -179,53 +248,66 @@ def absorb_light(nodes: DataFrame, edges: DataFrame, guess: int, budget: Budget,
         else:
             widen = free.select("owner", "first_hop", F.lit(True).alias("free"))
         chosen = write(chosen.unionByName(widen), "chosen").df
-        learned = write(V.grow(views.join(chosen.select("owner", "first_hop"), ["owner", "first_hop"]), views), "learned").df
+        learned_cut = write(V.grow(views.join(chosen.select("owner", "first_hop"), ["owner", "first_hop"]), theirs), "learned")
+        learned = learned_cut.df
         raw = learned.count()
-        more = learned
+        gained = learned
         if options.mirror:
             generous = chosen.filter("free").select("owner").distinct()
-            hubs = states.filter(F.col("state") == HOPELESS).select(F.col("id").alias("owner"))
-            more = learned.unionByName(V.mirror(learned.join(generous, "owner")).join(hubs, "owner", "left_anti"))
-        grown = write(V.distinct_rows(views.unionByName(more)), "views").df
-        had, have = views.count(), grown.count()
-        views = grown
-        per = views.groupBy(F.col("owner").alias("id")).agg(F.count(F.lit(1)).alias("n"))
-        states = states.join(hopeless.withColumn("h", F.lit(1)), "id", "left").join(per, "id", "left").select(
+            hubs = states().filter(F.col("state") == HOPELESS).select(F.col("id").alias("owner"))
+            gained = learned.unionByName(V.mirror(learned.join(generous, "owner")).join(hubs, "owner", "left_anti"))
+        if raw:
+            spike = max(spike, raw / max(1, learned.select("owner", "known").distinct().count()))
+        old, more = more, write(V.distinct_rows(more.df.unionByName(gained)), "views")
+        had, have = old.df.count(), more.df.count()
+        per = more.df.groupBy(F.col("owner").alias("id")).agg(F.count(F.lit(1)).alias("n"))
+        marked = live.join(hopeless.withColumn("h", F.lit(1)), "id", "left").join(per, "id", "left").select(
             "id",
-            F.when(F.col("state") != ACTIVE, F.col("state")).when(F.col("h") == 1, HOPELESS).when(F.col("n") >= full, OVERFULL).otherwise(ACTIVE).alias("state"),
+            F.when(F.col("h") == 1, HOPELESS).when(F.col("deg") + F.coalesce("n", F.lit(0)) >= full, OVERFULL).otherwise(ACTIVE).alias("state"),
             "against",
             "subtree",
+            "deg",
         )
-        states = write(states, "states").df
-        if raw:
-            spike = max(spike, raw / max(1, learned.select("owner", "known").distinct().count()))
+        marked = write(marked, "live").df
+        live = marked.filter(F.col("state") == ACTIVE)
+        fixed.append(marked.filter(F.col("state") != ACTIVE))
+        for cut in (old, mine, learned_cut):
+            cut.drop()
         if ledger is not None:
-            widest = views.groupBy("owner").count().agg(F.max("count")).first()[0]
-            ledger.add("absorb", "grow", phase, it, 4, raw, have, widest, 5)
+            widest = start.unionByName(more.df).groupBy("owner").count().agg(F.max("count")).first()[0]
+            ledger.add("absorb", "grow", phase, it, 4, raw, n_edges + have, widest, 5)
         still = n_active if have == had else None
     # fold: a settled node beside an unsettled one takes its side there; mutually settled trees go to their largest id
-    s = states.filter(F.col("state") == SETTLED).select("id", "against")
+    counts = states().groupBy("state").count().collect()
+    s = unsent(states().filter(F.col("state") == SETTLED).select("id", "against"))
     other = s.select(F.col("id").alias("against"), F.col("against").alias("back"))
-    edge = write(s.join(other, "against", "left").select("id", "against", F.coalesce(F.col("back") == F.col("id"), F.lit(False)).alias("mutual"), F.col("back").isNotNull().alias("other")), "borders").df
+    edge = s.join(other, "against", "left").select("id", "against", F.coalesce(F.col("back") == F.col("id"), F.lit(False)).alias("mutual"), F.col("back").isNotNull().alias("other"))
+    edge = write(edge.filter("not other or (mutual and id > against)"), "borders").df
     hang = edge.filter("not other").select(F.col("id").alias("owner"), "against")
-    side = views.join(hang, "owner").filter("first_hop <> against").select("owner", "against", F.col("known").alias("node"), F.col("last_hop").alias("hop"))
-    side = write(side.unionByName(hang.select("owner", "against", F.col("owner").alias("node"), F.col("against").alias("hop"))), "sides").df
-    into_heavy = side.join(_apart(hang, side), "owner", "left_semi").select("node", F.col("against").alias("into"), "hop")
-    mutual = edge.filter("mutual and id > against").select(F.col("id").alias("owner"), "against")
+    mutual = edge.filter("mutual").select(F.col("id").alias("owner"), "against")
     both = mutual.select(F.struct("owner", "against").alias("e"), F.explode(F.array(F.struct(F.col("owner").alias("v"), F.col("against").alias("u")), F.struct(F.col("against").alias("v"), F.col("owner").alias("u")))).alias("x"))
-    members = both.select("e", F.col("x.v").alias("owner"), F.col("x.u").alias("u"))
-    whole = members.join(views, "owner").filter("first_hop <> u").select("e", F.col("known").alias("node"), F.col("last_hop").alias("hop"))
-    whole = write(whole.unionByName(members.select("e", F.col("owner").alias("node"), F.when(F.col("owner") < F.col("u"), F.col("u")).alias("hop"))), "trees").df
+    # trees have an ``e``, light sides none
+    ends = both.select(F.col("x.v").alias("owner"), F.col("x.u").alias("against"), "e")
+    ends = unsent(ends.unionByName(hang.withColumn("e", F.lit(None).cast(ends.schema["e"].dataType))))
+    tip = F.when(F.col("e").isNull() | (F.col("owner") < F.col("against")), F.col("against"))
+    sides = unsent(start.unionByName(more.df)).join(ends, "owner").filter("first_hop <> against").select("owner", "against", "e", F.col("known").alias("node"), F.col("last_hop").alias("hop"))
+    sides = write(sides.unionByName(ends.select("owner", "against", "e", F.col("owner").alias("node"), tip.alias("hop"))), "sides")
+    side = sides.df.filter("e is null").drop("e")
+    apart = _apart(hang, side)
+    into_heavy = (side if apart is None else side.join(apart, "owner", "left_semi")).select("node", F.col("against").alias("into"), "hop", F.lit("light").alias("kind"))
     # a too small guess can leave several such edges in a tree: the largest counts
-    whole = whole.groupBy("node").agg(F.max("e").alias("e"), F.max_by("hop", "e").alias("hop"))
-    top = whole.groupBy("e").agg(F.max("node").alias("into"))
-    all_light = whole.join(top, "e").filter("node <> into").select("node", "into", F.lit(None).cast("long").alias("hop")).distinct()
-    folds = into_heavy.withColumn("kind", F.lit("light")).unionByName(all_light.withColumn("kind", F.lit("tree")))
-    folds = write(folds.groupBy("node").agg(F.max("into").alias("into"), F.max("hop").alias("hop"), F.max("kind").alias("kind")), "folds").df
+    whole = held(write(sides.df.filter("e is not null").groupBy("node").agg(F.max("e").alias("e"), F.max_by("hop", "e").alias("hop")), "trees")).df
+    if apart is None and whole.isEmpty():  # each node is in one side at most
+        folds = into_heavy
+    else:
+        top = whole.groupBy("e").agg(F.max("node").alias("into"))
+        all_light = whole.join(top, "e").filter("node <> into").select("node", "into", F.lit(None).cast("long").alias("hop"), F.lit("tree").alias("kind")).distinct()
+        folds = into_heavy.unionByName(all_light).groupBy("node").agg(F.max("into").alias("into"), F.max("hop").alias("hop"), F.max("kind").alias("kind"))
+    folds = held(write(folds, "folds")).df
+    sides.drop()
     new_nodes, new_edges = fold(nodes, edges, folds)
-    counts = states.groupBy("state").count().collect()
     trees = whole.select(F.col("node").alias("id"), F.col("hop").alias("parent"))
-    return Phase(write(new_nodes, "nodes").df, write(new_edges, "edges").df, folds, trees=trees, report={"spike": spike, "iterations": iterations, "states": {r["state"]: r["count"] for r in counts}, "final_states": states, "views": views})
+    return Phase(held(write(new_nodes, "nodes")).df, held(write(new_edges, "edges")).df, folds, trees=trees, report={"spike": spike, "iterations": iterations, "states": {r["state"]: r["count"] for r in counts}})
 
 
 def contract_paths(nodes: DataFrame, edges: DataFrame, ledger: Ledger | None = None, phase: int = 0) -> Phase:
@@ -295,6 +377,11 @@ def max_id(
             break
     left = edges.select(F.col("src").alias("id")).distinct().withColumn("open", F.lit(1))
     answers = nodes.join(left, "id", "left").select("id", F.when(F.col("open").isNull(), F.col("best")).alias("best"))
-    for f in reversed(done):
-        answers = write(unfold(answers, f), "answers").df
+    last = None
+    with swept(answers.sparkSession):
+        for f in reversed(done):
+            made = write(unfold(answers, f), "answers")
+            if last is not None:
+                last.drop()
+            answers, last = made.df, made
     return answers

@@ -21,7 +21,7 @@ from canopy.maxid import contract_paths, max_id
 from canopy.maxid.core import classify_exact
 from canopy.operators.relational import FK_SQL, OPS
 from canopy.rooting import depths, root_defects, root_forest, two_colour
-from canopy.store import table, write
+from canopy.store import swept, table, write
 
 QUERIES: dict = {k: f for k, (f, _) in OPS.items()}
 ORACLES: dict = {k: sql for k, (_, sql) in OPS.items() if sql}
@@ -124,7 +124,8 @@ query("maxid_core_fk", FK_CC)(lambda s, d: _named(max_id(*_parts(workloads.fk_fo
 
 
 def _parts(forest):
-    k = forest.kept()
+    with swept(forest.nodes.sparkSession):
+        k = forest.kept()
     return k.nodes, k.edges
 
 

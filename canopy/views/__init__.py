@@ -37,13 +37,15 @@ def mirror(views: DataFrame) -> DataFrame:
     return views.select(F.col("known").alias("owner"), F.col("owner").alias("known"), F.col("last_hop").alias("first_hop"), F.col("first_hop").alias("last_hop"), "dist")
 
 
-def estimates(views: DataFrame) -> DataFrame:
+def estimates(asking: DataFrame, views: DataFrame | None = None) -> DataFrame:
     """``(owner, first_hop, est)``: for each direction the sum of what its known nodes know beyond, repeats counted.
 
-    Two count tables and one equi-join; no pair is built.
+    Two count tables and one equi-join; no pair is built.  ``views`` has the rows of the nodes in ``asking``, if these
+    are not in ``asking`` itself.
     """
+    views = asking if views is None else views
     per = views.groupBy(F.col("owner").alias("known"), F.col("first_hop").alias("last_hop")).agg(F.count(F.lit(1)).alias("back"))
     total = views.groupBy(F.col("owner").alias("known")).agg(F.count(F.lit(1)).alias("all"))
-    j = views.join(total, "known", "left").join(per, ["known", "last_hop"], "left")
+    j = asking.join(total, "known", "left").join(per, ["known", "last_hop"], "left")
     beyond: Column = F.coalesce("all", F.lit(0)) - F.coalesce("back", F.lit(0))
     return j.groupBy("owner", "first_hop").agg(F.sum(beyond).alias("est"), F.count(F.lit(1)).alias("have"))

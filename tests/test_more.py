@@ -209,3 +209,29 @@ def test_absorption_stops_when_nothing_changes(spark):
     f = literal(spark, pairs).kept()
     a = absorb_light(f.nodes.withColumn("best", F.col("id")), f.edges, 8, Budget(8))
     assert a.nodes.count() == 81 and a.report["iterations"] <= 3
+
+
+def test_absorption_keeps_its_results_alone(spark, tmp_path, monkeypatch):
+    """Of all tables that the core writes, those of views and states are gone when a phase ends."""
+    import os
+
+    from canopy import store
+    from canopy.budget import Budget
+    from canopy.maxid import absorb_light, max_id
+    from canopy.model import literal
+
+    pairs, at = [], 1
+    for _ in range(12):  # a hub, on it centres of three stars and one star by itself
+        c, at = at, at + 1
+        pairs.append((0, c))
+        for _ in range(3):
+            o, at = at, at + 4
+            pairs += [(c, o), (o, o + 1), (o, o + 2), (o, o + 3)]
+    pairs += [(1000, 1001), (1000, 1002)]
+    monkeypatch.setattr(store, "shared_dir", lambda s: f"file://{tmp_path}")
+    f = literal(spark, pairs).kept()
+    absorb_light(f.nodes.withColumn("best", F.col("id")), f.edges, 8, Budget(8))
+    left = {name.split("-")[1] for name in os.listdir(tmp_path)}
+    assert left == {"forest", "folds", "trees", "nodes", "edges"}
+    got = {r.id: r.best for r in max_id(f.nodes, f.edges, 8, Budget(8)).collect()}
+    assert got == {k: (1002 if k >= 1000 else at - 1) for p in pairs for k in p}
